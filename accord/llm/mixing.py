@@ -61,7 +61,7 @@ def mixed(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str
     sizes = written(sized(docs, key, text, source), "sizes")
     per = written(targets(sizes, weights, budget, most), "targets")
     largest = sizes.groupBy("source").count().agg(F.max("count")).first()[0] or 1
-    digits = max(1, math.ceil(math.log(max(1.0, largest / slice_rows), 16)) + 1)
+    digits = max(1, math.ceil(math.log(max(1.0, largest / slice_rows), 16)))
     cut = F.substring("mix_tie", 1, digits)
 
     rows = docs.withColumns({"mix_source": F.col(source), "mix_size": F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long"), "mix_tie": _tie(F.col(key)), "mix_key": F.col(key)})
