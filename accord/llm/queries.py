@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from accord.llm import langid, licences, mixing, packing, quality, secretscan, simhash
+from accord.llm import extract, langid, licences, mixing, packing, quality, secretscan, simhash
 
 QUERIES = {
     "op1_quality": quality.op1_quality,
     "op2_packing": packing.op2_packing,
     "op3_secrets": secretscan.op3_secrets,
     "op5_language": langid.op5_language,
+    "op6_extract": extract.op6_extract,
     "op7_mix": mixing.op7_mix,
     "op9_simhash": simhash.op9_simhash,
     "op10_licences": licences.op10_licences,
