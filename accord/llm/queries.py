@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from accord.llm import extract, langid, licences, mixing, packing, quality, secretscan, simhash
+from accord.llm import extract, langid, licences, mixing, packing, quality, secretscan, simhash, vectors
 
 QUERIES = {
     "op1_quality": quality.op1_quality,
@@ -11,6 +11,7 @@ QUERIES = {
     "op5_language": langid.op5_language,
     "op6_extract": extract.op6_extract,
     "op7_mix": mixing.op7_mix,
+    "op8_vectors": vectors.op8_vectors,
     "op9_simhash": simhash.op9_simhash,
     "op10_licences": licences.op10_licences,
 }
