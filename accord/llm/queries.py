@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from accord.llm import extract, langid, licences, mixing, packing, quality, secretscan, simhash, vectors
+from accord.llm import extract, langid, licences, mixing, packing, quality, repeats, secretscan, simhash, vectors
 
 QUERIES = {
     "op1_quality": quality.op1_quality,
     "op2_packing": packing.op2_packing,
     "op3_secrets": secretscan.op3_secrets,
+    "op4_repeats": repeats.op4_repeats,
     "op5_language": langid.op5_language,
     "op6_extract": extract.op6_extract,
     "op7_mix": mixing.op7_mix,
