@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from accord.queries import method
+from accord.queries import flows, method, study
 
+_ = (flows, study)  # they register their queries with method.query
 QUERIES = {**method.Q}
 ORACLES = {**method.S}
