@@ -50,8 +50,8 @@ def _as_matrix(column, rows: int) -> np.ndarray:
     return np.frombuffer(b"".join(raw), np.uint8).reshape(rows, -1) if rows else np.zeros((0, 0), np.uint8)
 
 
-def round_histogram(binned: DataFrame, model: list[Stump]) -> DataFrame:
-    """(f, b, pos, neg): weights by class, feature and bin under the stumps so far."""
+def round_histogram(binned: DataFrame, models: dict[str, list[Stump]]) -> DataFrame:
+    """(task, f, b, pos, neg): weights by task, class, feature and bin under each task's stumps so far."""
 
     def run(batches):
         import pyarrow as pa
@@ -59,50 +59,72 @@ def round_histogram(binned: DataFrame, model: list[Stump]) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = _as_matrix(batch.column(1), batch.num_rows)
-            s = np.where(batch.column(0).to_numpy(zero_copy_only=False) == 1, 1.0, -1.0)
-            w = np.exp(-s * margin(x, model))
-            width = int(x.max()) + 1
-            cell = (np.arange(x.shape[1])[None, :] * width + x).ravel()
-            pos, neg = (np.bincount(cell, weights=np.repeat(np.where(s == c, w, 0.0), x.shape[1]), minlength=x.shape[1] * width) for c in (1, -1))
-            some = np.nonzero(pos + neg)[0]
-            yield pa.RecordBatch.from_arrays([pa.array((some // width).astype(np.int32)), pa.array((some % width).astype(np.int32)), pa.array(pos[some]), pa.array(neg[some])], names=["f", "b", "pos", "neg"])
-
-    part = binned.select("y", "bins").mapInArrow(run, "f int, b int, pos double, neg double")
-    return part.groupBy("f", "b").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
+            tasks = np.array(batch.column(0).to_pylist(), object)
+            for task in sorted(set(tasks)):
+                rows = np.nonzero(tasks == task)[0]
+                part = batch.take(pa.array(rows))
+                x = _as_matrix(part.column(2), part.num_rows)
+                s = np.where(part.column(1).to_numpy(zero_copy_only=False) == 1, 1.0, -1.0)
+                w = np.exp(-s * margin(x, models.get(task, [])))
+                width = int(x.max()) + 1
+                cell = (np.arange(x.shape[1])[None, :] * width + x).ravel()
+                pos, neg = (np.bincount(cell, weights=np.repeat(np.where(s == c, w, 0.0), x.shape[1]), minlength=x.shape[1] * width) for c in (1, -1))
+                some = np.nonzero(pos + neg)[0]
+                yield pa.RecordBatch.from_arrays([pa.array([task] * len(some), pa.string()), pa.array((some // width).astype(np.int32)), pa.array((some % width).astype(np.int32)), pa.array(pos[some]), pa.array(neg[some])], names=["task", "f", "b", "pos", "neg"])
+
+    part = binned.select("task", "y", "bins").mapInArrow(run, "task string, f int, b int, pos double, neg double")
+    return part.groupBy("task", "f", "b").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
 
 
 def best_stump(hist: DataFrame) -> DataFrame:
-    """One row (f, b, polarity, err, total): the stump of least weighted error; on ties the least feature, then bin, then polarity 1."""
+    """(task, f, b, polarity, err): each task's stump of least weighted error; on ties the least feature, then bin, then polarity 1."""
     from pyspark.sql.window import Window as W
 
-    up = W.partitionBy("f").orderBy("b").rowsBetween(W.unboundedPreceding, 0)
-    whole = W.partitionBy("f")
-    c = hist.select("f", "b", F.sum("pos").over(up).alias("lp"), F.sum("neg").over(up).alias("ln"), F.sum("pos").over(whole).alias("p"), F.sum("neg").over(whole).alias("n"))
+    up = W.partitionBy("task", "f").orderBy("b").rowsBetween(W.unboundedPreceding, 0)
+    whole = W.partitionBy("task", "f")
+    c = hist.select("task", "f", "b", F.sum("pos").over(up).alias("lp"), F.sum("neg").over(up).alias("ln"), F.sum("pos").over(whole).alias("p"), F.sum("neg").over(whole).alias("n"))
     over = F.struct((F.col("lp") + F.col("n") - F.col("ln")).alias("err"), F.lit(1).alias("polarity"))
     under = F.struct((F.col("ln") + F.col("p") - F.col("lp")).alias("err"), F.lit(-1).alias("polarity"))
-    each = c.select("f", "b", F.explode(F.array(over, under)).alias("s"), (F.col("p") + F.col("n")).alias("total"))
+    each = c.select("task", "f", "b", F.explode(F.array(over, under)).alias("s"), (F.col("p") + F.col("n")).alias("total"))
     rank = F.struct(F.round(F.col("s.err") / F.col("total"), 12), F.col("f"), F.col("b"), -F.col("s.polarity"))
-    return each.agg(F.min_by(F.struct("f", "b", F.col("s.polarity").alias("polarity"), (F.col("s.err") / F.col("total")).alias("err")), rank).alias("r")).select("r.*")
+    return each.groupBy("task").agg(F.min_by(F.struct("f", "b", F.col("s.polarity").alias("polarity"), (F.col("s.err") / F.col("total")).alias("err")), rank).alias("r")).select("task", "r.*")
 
 
-def boost_fit(df: DataFrame, rounds: int = 50, bins: int = 32, most_alpha: float = 5.0) -> tuple[list[Stump], list[list[float]]]:
-    """(stumps, bin edges) from (y, features). Stops at a stump without error or one no better than chance."""
+def boost_fit_many(df: DataFrame, rounds: int = 50, bins: int = 32, most_alpha: float = 5.0) -> tuple[dict[str, list[Stump]], list[list[float]]]:
+    """(stumps of each task, bin edges) from (task, y, features): one job per round for all tasks. A task stops at a stump without error or no better than chance."""
     edges = bin_edges(df, bins)
-    binned = binize(df.select("y", "features"), edges).persist()
-    model: list[Stump] = []
+    binned = binize(df.select("task", "y", "features"), edges).persist()
+    models: dict[str, list[Stump]] = {}
+    live: set[str] | None = None
     try:
         for _ in range(rounds):
-            r = best_stump(round_histogram(binned, model)).first()
-            if r is None or r.f is None or r.err >= 0.5 - 1e-12:
-                break
-            alpha = min(most_alpha, 0.5 * math.log((1 - r.err) / max(r.err, 1e-12)))
-            model.append((r.f, r.b, r.polarity, alpha))
-            if r.err <= 1e-12:
+            rows = binned if live is None else binned.where(F.col("task").isin(sorted(live)))
+            best = best_stump(round_histogram(rows, models)).collect()  # a row per task
+            live = set()
+            for r in best:
+                if r.err >= 0.5 - 1e-12:
+                    continue
+                models.setdefault(r.task, []).append((r.f, r.b, r.polarity, min(most_alpha, 0.5 * math.log((1 - r.err) / max(r.err, 1e-12)))))
+                if r.err > 1e-12:
+                    live.add(r.task)
+            if not live:
                 break
     finally:
         binned.unpersist()
-    return model, edges
+    return models, edges
+
+
+def boost_fit(df: DataFrame, rounds: int = 50, bins: int = 32) -> tuple[list[Stump], list[list[float]]]:
+    models, edges = boost_fit_many(df.withColumn("task", F.lit("one")), rounds, bins)
+    return models.get("one", []), edges
+
+
+def boost_predict_many(df: DataFrame, models: dict[str, list[Stump]], edges: list[list[float]], column: str = "task") -> DataFrame:
+    """margin and pred by the model that `column` names."""
+    out: Column = F.lit(0.0)
+    for task, model in models.items():
+        out = F.when(F.col(column) == task, model_column(model, edges)).otherwise(out)
+    return df.withColumn("margin", out).withColumn("pred", (F.col("margin") > 0).cast("int"))
 
 
 def model_column(model: list[Stump], edges: list[list[float]]) -> Column:

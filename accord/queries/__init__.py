@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from accord.queries import flows, method, study, surface
+from accord.queries import experiments, flows, method, study, surface
 
-_ = (flows, study, surface)  # they register their queries with method.query
+_ = (experiments, flows, study, surface)  # they register their queries with method.query
 QUERIES = {**method.Q}
 ORACLES = {**method.S}

@@ -306,18 +306,42 @@ def spectral_auc(spark, d):
     return out
 
 
-@query("boost_accuracy")
-def boost_accuracy(spark, d):
-    """Boosted stumps on each forged source against the genuine one, N = 10 and 35: accuracy on the other half's videos."""
-    out = None
-    for n in (10, 35):
-        rows = classify.binary_tasks(learnt(spark, d, n)).persist()
-        for task in ("A", "D"):
-            own = rows.where(F.col("task") == task)
-            model, edges = classify.boost_fit(own.where("half = 'a'"), rounds=20)
-            one = metrics.accuracy(classify.boost_predict(own.where("half = 'b'"), model, edges), "task").withColumn("n_pick", F.lit(n))
-            out = one if out is None else out.union(one)
-    return out
+# ---------------------------------------------------------------- stumps over a feature table that SQL has too
+
+_COUNTS = "cf AS (SELECT video_id, any_value(source) AS source, any_value(y) AS y, [sum((k_found = 2)::INT), sum((k_found = 3)::INT), sum((k_found = 4)::INT), sum((k_found = 5)::INT), sum((k_found = 6)::INT)] AS c FROM grp JOIN picked USING (video_id, t) GROUP BY video_id)"
+
+
+def _count_features(spark, d) -> DataFrame:
+    """(video_id, source, y, features): of 10 pairs, how many use 2 to 6 sectors."""
+    n = [F.sum((F.col("k") == k).cast("int")).cast("double") for k in range(2, 7)]
+    return picked_groups(spark, d).groupBy("video_id", "source", "y").agg(F.array(*n).alias("features"))
+
+
+@query(
+    "boost_first_stump",
+    P.q(
+        _FACE,
+        P.STRONG,
+        P.picked(10),
+        P.sectors(),
+        _COUNTS,
+        "tsk AS (SELECT task, y, f::INT AS f, c[f + 1]::INT AS b FROM cf JOIN (VALUES ('A'), ('B'), ('C'), ('D')) k(task) ON (y = 1 AND source = task) OR source = 'R', range(5) g(f))",
+        "cut AS (SELECT DISTINCT task, f, b FROM tsk)",
+        "er AS (SELECT c.task, c.f, c.b, pol, sum(CASE WHEN (CASE WHEN t.b > c.b THEN pol ELSE -pol END) = 2 * t.y - 1 THEN 0 ELSE 1 END)::DOUBLE / count(*) AS err FROM cut c JOIN tsk t ON t.task = c.task AND t.f = c.f, (VALUES (1), (-1)) p(pol) GROUP BY ALL)",
+        select="SELECT task, f, b, pol::INT AS polarity, round(err, 9) AS err FROM er QUALIFY row_number() OVER (PARTITION BY task ORDER BY round(err, 12), f, b, -pol) = 1",
+    ),
+)
+def boost_first_stump(spark, d):
+    rows = classify.binary_tasks(_count_features(spark, d))
+    binned = classify.binize(rows.select("task", "y", "features"), [[x + 0.5 for x in range(10)]] * 5)
+    return classify.best_stump(classify.round_histogram(binned, {})).withColumn("err", F.round("err", 9))
+
+
+@query("boost_predict", P.q(_FACE, P.STRONG, P.picked(10), P.sectors(), _COUNTS, select="SELECT video_id, round(CASE WHEN c[3] > 2 THEN 0.7 ELSE -0.7 END + CASE WHEN c[4] > 4 THEN -0.4 ELSE 0.4 END + CASE WHEN c[5] > 0 THEN 0.2 ELSE -0.2 END, 6)::DOUBLE AS margin FROM cf"))
+def boost_predict(spark, d):
+    edges = [[x + 0.5 for x in range(10)]] * 5
+    out = classify.boost_predict(_count_features(spark, d), [(2, 2, 1, 0.7), (3, 4, -1, 0.4), (4, 0, 1, 0.2)], edges)
+    return out.select("video_id", F.round("margin", 6).alias("margin"))
 
 
 @query("baseline_majority", P.q(_FACE, P.STRONG, "vid AS (SELECT DISTINCT video_id, y FROM strong), cnt AS (SELECT y, count(*) AS n FROM vid GROUP BY y)", select="SELECT y, n, round(n / (SELECT sum(n) FROM cnt), 6) AS share FROM cnt ORDER BY n DESC, y LIMIT 1"))

@@ -265,10 +265,10 @@ def fn_date(spark, d):
     return o.select("o_orderkey", F.year("o_orderdate").cast("bigint").alias("y"), F.quarter("o_orderdate").cast("bigint").alias("q"), F.datediff(F.col("o_orderdate").cast("date"), F.lit("1995-01-01").cast("date")).cast("bigint").alias("days"), F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM-dd").alias("month"), F.unix_timestamp(F.col("o_orderdate").cast("timestamp")).alias("epoch"))
 
 
-@query("fn_math", "SELECT event_id, round(sqrt(value), 6) AS root, round(ln(value + 1), 5) AS log, floor(value)::BIGINT AS low, greatest(value, 50.0) AS high, round(atan2(value, 2.0), 6) AS angle, CASE WHEN user_id = 0 THEN NULL ELSE round(value / user_id, 6) END AS ratio, round(pow(value, 0.5), 6) AS pw FROM events")
+@query("fn_math", "SELECT event_id, round(sqrt(value), 6) AS root, round(ln(value + 1), 5) AS log, floor(value)::BIGINT AS low, greatest(value, 50.0) AS high, round(atan2(value, 2.0), 6) AS angle, CASE WHEN user_id = 0 THEN NULL ELSE round(value / user_id, 10) END AS ratio, round(pow(value, 0.5), 6) AS pw FROM events")
 def fn_math(spark, d):
     v = F.col("value")
-    return events(spark, d).select("event_id", F.round(F.sqrt(v), 6).alias("root"), F.round(F.log(v + 1), 5).alias("log"), F.floor(v).alias("low"), F.greatest(v, F.lit(50.0)).alias("high"), F.round(F.atan2(v, F.lit(2.0)), 6).alias("angle"), F.round(F.try_divide(v, F.col("user_id")), 6).alias("ratio"), F.round(F.pow(v, F.lit(0.5)), 6).alias("pw"))
+    return events(spark, d).select("event_id", F.round(F.sqrt(v), 6).alias("root"), F.round(F.log(v + 1), 5).alias("log"), F.floor(v).alias("low"), F.greatest(v, F.lit(50.0)).alias("high"), F.round(F.atan2(v, F.lit(2.0)), 6).alias("angle"), F.round(F.try_divide(v, F.col("user_id")), 10).alias("ratio"), F.round(F.pow(v, F.lit(0.5)), 6).alias("pw"))
 
 
 @query("fn_array_hof", "SELECT vec_id, len(list_filter(embedding, lambda x: x > 0)) AS n_up, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 5) AS norm2, round(embedding[3]::DOUBLE, 6) AS third, len(embedding[5:12]) AS cut FROM embeddings")
