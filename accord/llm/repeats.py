@@ -168,7 +168,9 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
     crowd = entries.groupBy("g").agg((F.count("*") > MOST_TOGETHER).alias("crowded"), F.min("c").alias("least")).where("least = 1").select(F.col("g").alias("cg"), "crowded")
     ask = entries.join(crowd, F.col("g") == F.col("cg")).select("at.doc", "at.chk", "at.pos", F.when(F.col("c") > 1, 2).otherwise(1).alias("role"), "g", "crowded")
     sure = entries.where("c > 1").select(F.col("g").alias("eg"), F.col("x").alias("ex"))
-    whole = met.where("not mixed").select("doc", "chk", "pos").union(mixed.join(sure, (F.col("g") == F.col("eg")) & (F.col("x") == F.col("ex"))).select("doc", "chk", "pos"))
+    # a join of its own, so that Spark can split the occurrences of a very common entry over tasks
+    again = written(mixed.join(sure, (F.col("g") == F.col("eg")) & (F.col("x") == F.col("ex"))).select("doc", "chk", "pos"), "again")
+    whole = met.where("not mixed").select("doc", "chk", "pos").union(again)
     marks = whole.select("doc", "chk", "pos", F.lit(0).alias("role"), F.lit(0).cast("bigint").alias("g"), F.lit(False).alias("crowded")).unionByName(ask)
     marks = marks.groupBy(F.col("doc").alias("md"), F.col("chk").alias("mc")).agg(F.collect_list(F.struct("pos", "role", "g", "crowded")).alias("marks"))
 
