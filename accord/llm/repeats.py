@@ -119,7 +119,7 @@ def _phrase_rows(docs: DataFrame, with_place: bool) -> DataFrame:
     def run(batches):
         import pyarrow as pa
 
-        for b in batches:
+        for b in _small(batches):
             out: list[list] = [[] for _ in names]
             docs_, chks = b.column(0).to_pylist(), b.column(1).to_pylist()
             for i, raw in enumerate(b.column(2).cast(pa.binary()).to_pylist()):
@@ -138,6 +138,13 @@ def _phrase_rows(docs: DataFrame, with_place: bool) -> DataFrame:
     return docs.select("doc", "chk", "text").mapInArrow(run, "g bigint, x bigint" + ", doc bigint, chk int, pos bigint" * with_place)
 
 
+def _small(batches, rows: int = 256):
+    """Batches of no more than so many rows: what is made from a row takes several times its bytes."""
+    for b in batches:
+        for at in range(0, b.num_rows, rows):
+            yield b.slice(at, rows)
+
+
 def _collected(spark) -> None:
     """Lets Spark remove the shuffle files of plans that are done with."""
     gc.collect()
@@ -157,19 +164,19 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
 
     # trigger strings that occur twice or more; mixed: in more than one dictionary entry
     strings = _phrase_rows(docs, False).groupBy("g").agg(F.count("*").alias("n"), F.min("x").alias("a"), F.max("x").alias("b")).where("n > 1")
-    strings = written(strings.select(F.col("g").alias("sg"), (F.col("a") != F.col("b")).alias("mixed")), "strings")
+    strings = written(strings.select(F.col("g").alias("sg"), (F.col("a") != F.col("b")).alias("mixed")), "strings", "uncompressed")
     _collected(spark)
-    met = written(_phrase_rows(docs, True).join(strings, F.col("g") == F.col("sg")).drop("sg"), "met")
+    met = written(_phrase_rows(docs, True).join(strings, F.col("g") == F.col("sg")).drop("sg"), "met", "uncompressed")
     _collected(spark)
 
     # entries of mixed strings: counted, and one occurrence of each
     mixed = met.where("mixed")
-    entries = written(mixed.groupBy("g", "x").agg(F.count("*").alias("c"), F.min(F.struct("doc", "chk", "pos")).alias("at")), "entries")
+    entries = written(mixed.groupBy("g", "x").agg(F.count("*").alias("c"), F.min(F.struct("doc", "chk", "pos")).alias("at")), "entries", "uncompressed")
     crowd = entries.groupBy("g").agg((F.count("*") > MOST_TOGETHER).alias("crowded"), F.min("c").alias("least")).where("least = 1").select(F.col("g").alias("cg"), "crowded")
     ask = entries.join(crowd, F.col("g") == F.col("cg")).select("at.doc", "at.chk", "at.pos", F.when(F.col("c") > 1, 2).otherwise(1).alias("role"), "g", "crowded")
     sure = entries.where("c > 1").select(F.col("g").alias("eg"), F.col("x").alias("ex"))
     # a join of its own, so that Spark can split the occurrences of a very common entry over tasks
-    again = written(mixed.join(sure, (F.col("g") == F.col("eg")) & (F.col("x") == F.col("ex"))).select("doc", "chk", "pos"), "again")
+    again = written(mixed.join(sure, (F.col("g") == F.col("eg")) & (F.col("x") == F.col("ex"))).select("doc", "chk", "pos"), "again", "uncompressed")
     whole = met.where("not mixed").select("doc", "chk", "pos").union(again)
     marks = whole.select("doc", "chk", "pos", F.lit(0).alias("role"), F.lit(0).cast("bigint").alias("g"), F.lit(False).alias("crowded")).unionByName(ask)
     marks = marks.groupBy(F.col("doc").alias("md"), F.col("chk").alias("mc")).agg(F.collect_list(F.struct("pos", "role", "g", "crowded")).alias("marks"))
@@ -178,7 +185,7 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
         """Finished rows (kind 0); texts that wait for their phrases at edges (1); entries to compare (2)."""
         import pyarrow as pa
 
-        for b in batches:
+        for b in _small(batches):
             ids, docs_, chks, marks_ = b.column(0), b.column(1).to_pylist(), b.column(2).to_pylist(), b.column(4).to_pylist()
             rows, whose = [], []
             for i, raw in enumerate(b.column(3).cast(pa.binary()).to_pylist()):
@@ -201,7 +208,7 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
             yield pa.RecordBatch.from_arrays([made[0], ids.take(pa.array(whose, pa.int64())), *made[1:]], names=["kind", "id", "doc", "chk", "n_bytes", "n_removed", "n_spans", "kept_sha256", "raw", "runs", "g", "role", "pos", "crowded"])
 
     told = docs.join(marks, (F.col("doc") == F.col("md")) & (F.col("chk") == F.col("mc")), "left").select("id", "doc", "chk", "text", "marks")
-    told = written(told.mapInArrow(settle, f"kind int, id {kind}, {_PLACE}, {_FINAL}, raw binary, runs array<bigint>, g bigint, role int, pos bigint, crowded boolean"), "settled")
+    told = written(told.mapInArrow(settle, f"kind int, id {kind}, {_PLACE}, {_FINAL}, raw binary, runs array<bigint>, g bigint, role int, pos bigint, crowded boolean"), "settled", "uncompressed")
     _collected(spark)
 
     def together(batches):
@@ -237,7 +244,7 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
         """Each window under two hashes."""
         import pyarrow as pa
 
-        for b in batches:
+        for b in _small(batches):
             rows = [(g, _key(x[i : i + WINDOW], 1), doc, chk, role, (pos >> 14) + i) for g, doc, chk, role, pos, x in zip(*(c.to_pylist() for c in b.columns)) for i in range(len(x) - WINDOW + 1)]
             cols = list(zip(*rows)) or [()] * 6
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64()])], names=["g", "h", "doc", "chk", "role", "w"])
@@ -252,7 +259,7 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
     def finish(batches):
         import pyarrow as pa
 
-        for b in batches:
+        for b in _small(batches):
             out = []
             for raw, runs, ws in zip(*(b.column(i).to_pylist() for i in (1, 2, 3))):
                 out.append((len(raw), *kept(raw, [_unpack(p)[:2] for p in runs] + [(w, w) for w in ws or ()])))
