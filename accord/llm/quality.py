@@ -76,6 +76,26 @@ def votes(rules=RULES) -> Column:
 KINDS = ("symbols", "repeats", "capitals", "sentences")
 
 
+#: What is held of a witness beforehand, as a single rule can't tell by itself whether it is right: it votes against at least so many of its own kind,
+#: against at most so many good documents, and its kind has at least such a share.
+WITNESS = (0.95, 0.001, 0.01)
+
+
+def _held(shares: list[float], tables: list[dict[int, list[float]]], kinds: tuple[int, ...]) -> None:
+    """Moves estimates that contradict WITNESS to its bounds."""
+    hit, false, share = WITNESS
+    for j, r in enumerate(kinds, 1):
+        shares[j] = max(shares[j], share)
+        for c, least, most in ((j, hit, 1.0), (0, 0.0, false)):
+            p = min(most, max(least, tables[r][-1][c]))
+            rest = sum(tables[r][v][c] for v in (0, 1))
+            tables[r][-1][c] = p
+            for v in (0, 1):
+                tables[r][v][c] *= (1 - p) / rest
+    total = sum(shares)
+    shares[:] = [x / total for x in shares]
+
+
 def fit(counts: dict[tuple, int], kinds: tuple[int, ...], rounds: int = 100, prior: float = 1.0) -> tuple[list[float], list[dict[int, list[float]]]]:
     """(share of each class, for each rule and vote its chance in each class) from counts of vote patterns.
 
@@ -103,6 +123,7 @@ def fit(counts: dict[tuple, int], kinds: tuple[int, ...], rounds: int = 100, pri
                 for j in range(classes):
                     seen[p[i]][j] += c * belief[p][j]
             tables.append({v: [x / (y + 3 * prior) for x, y in zip(row, sizes, strict=True)] for v, row in seen.items()})
+        _held(shares, tables, kinds)
         after = {}
         for p in counts:
             logs = [math.log(shares[j]) + sum(math.log(t[v][j]) for v, t in zip(p, tables, strict=True)) for j in range(classes)]
