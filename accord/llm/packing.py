@@ -2,7 +2,7 @@
 
 Documents become token ids and only those longer than a sequence are cut. Pieces are dealt to parts of some thousands, each packed by best-fit
 decreasing. Dual-feasible functions give a lower bound on the sequences that any packing of a part needs; a part that uses more has a gap. The sequences
-of such parts that aren't full give up their pieces, which are dealt anew over fewer parts and packed again, while that saves sequences.
+of such parts that aren't full give up their pieces, which are dealt anew over fewer and somewhat larger parts and packed again; a round that saves no sequence is undone.
 
 Nulls: a null text is an empty one, whose only token is the end mark. A null id stays null. Repeated rows are packed each by itself.
 Long texts are tokenised whole. Equal lengths are packed in order of their number in the written table of pieces. An empty table gives no rows.
@@ -106,9 +106,9 @@ def best_fit(lengths, capacity: int = SEQUENCE) -> list[int]:
 _PLACED = "sequence_id bigint, offset bigint, room bigint, gap bigint"
 
 
-def _pack(rows: DataFrame, n: int, deal: int, capacity: int) -> DataFrame:
-    """Deals rows (uid, length, ...) to parts and packs each; sequence_id is the least uid in the sequence."""
-    parts = max(1, -(-n // PART))
+def _pack(rows: DataFrame, n: int, deal: int, capacity: int, most: int) -> DataFrame:
+    """Deals rows (uid, length, ...) to parts of about `most` and packs each; sequence_id is the least uid in the sequence."""
+    parts = max(1, -(-n // most))
     names = [c for c in rows.columns if c not in ("sequence_id", "offset", "room", "gap")]
 
     def one(pdf):
@@ -132,22 +132,23 @@ def _pack(rows: DataFrame, n: int, deal: int, capacity: int) -> DataFrame:
 
 
 def packed(cut: DataFrame, capacity: int = SEQUENCE, most_rounds: int = 5, open_room: int = 16) -> DataFrame:
-    """The rows of pieces() with sequence_id and offset. A sequence of a part with a gap is opened again if it has open_room or more left."""
+    """The rows of pieces() with sequence_id and offset. A sequence of a part with a gap is opened again if it has open_room or more left; of a
+    certified part, whose bound is rounded up to a whole sequence, if a quarter of it is left."""
     cut = written(cut, "pieces")
     loose = cut.where(F.col("length") < capacity)
     n = loose.count()
-    now = written(_pack(loose, n, 0, capacity), "packed")
+    now = written(_pack(loose, n, 0, capacity, PART), "packed")
     done = [cut.where(F.col("length") == capacity).select("*", F.col("uid").alias("sequence_id"), F.lit(0).cast("bigint").alias("offset"))]
     final = [*cut.columns, "sequence_id", "offset"]
     for deal in range(1, most_rounds + 1):
-        opened = (F.col("gap") > 0) & (F.col("room") >= open_room)
+        opened = (F.col("gap") > 0) & (F.col("room") >= open_room) | (F.col("room") >= capacity // 4)
         again = now.where(opened)
         n, before = again.agg(F.count("*"), F.count_distinct("sequence_id")).first()
         if before < 2:
             break
-        after = written(_pack(again, n, deal, capacity), "packed")
+        after = written(_pack(again, n, deal, capacity, PART * 2 ** min(deal, 3)), "packed")
         if after.agg(F.count_distinct("sequence_id")).first()[0] >= before:
-            break
+            continue  # the next round's parts are larger
         done.append(now.where(~opened).select(*final))
         now = after
     done.append(now.select(*final))
