@@ -85,6 +85,8 @@ class _Shard:
         """Rows (a, b, links): a query, a node of the shard that it is linked with, how many vectors those links stand for; links 0: only joined."""
         import numpy as np
 
+        if not self.parts:  # no vector of this length is in the shard
+            return []
         if self.graph is None:
             self.build()
         out = []
