@@ -14,6 +14,10 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
+#: Files of a written() table for each core of the cluster.
+FILES_PER_CORE = 4
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*columns) if columns else df
@@ -34,9 +38,11 @@ def scratch_dir(spark: SparkSession) -> str:
 def written(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     """The rows as a table in the shared folder: cuts lineage, survives lost executors, and is read as often as needed.
 
-    Codecs keep buffers outside the heap until it is collected; a table of hashes gains nothing from one.
+    Codecs keep buffers outside the heap until it is collected; a table of hashes gains nothing from one. It has a few files for each
+    core at most, however many partitions the plan ends in.
     """
     path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    df = df.coalesce(FILES_PER_CORE * df.sparkSession.sparkContext.defaultParallelism)
     df.write.option("compression", compression).parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out.scratch_path = path

@@ -189,7 +189,7 @@ def test_licences(spark, odd, none):
     rows = [(1, "Copyright (c) 2020 Someone\nAll rights reserved.\n" + mit.upper().replace(",", " ;").replace("LICENSE", "LICENCE")), (2, mit + " more"), (3, "intro\n  released under the mit licence!\nend"), (4, None)]
     df = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r.doc_id: (r.licence, r.notices) for r in licences.scan(df).collect()}
-    assert got == {1: ("MIT", ""), 2: (None, ""), 3: (None, "MIT"), 4: (None, "")}
+    assert got == {1: ("MIT", "MIT"), 2: (None, ""), 3: (None, "MIT"), 4: (None, "")}
     assert licences.scan(odd).count() == 11 and licences.scan(none).count() == 0
 
 
