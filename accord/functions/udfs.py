@@ -4,11 +4,16 @@ from __future__ import annotations
 
 import pandas as pd
 from pyspark.sql.functions import pandas_udf
+from pyspark.sql.types import ArrayType, DoubleType, IntegerType, StructField, StructType
 
 from accord.operators import grouping
 
 
-@pandas_udf("struct<labels:array<int>,k:int,score:double>")
+#: Types are given as objects: the module is imported before there is a session.
+GROUPS = StructType([StructField("labels", ArrayType(IntegerType())), StructField("k", IntegerType()), StructField("score", DoubleType())])
+
+
+@pandas_udf(GROUPS)
 def group_motion(dx: pd.Series, dy: pd.Series) -> pd.DataFrame:
     """Spectral groups of arrays dx and dy, row by row of one batch at once per length."""
     import numpy as np
@@ -28,7 +33,7 @@ def group_motion(dx: pd.Series, dy: pd.Series) -> pd.DataFrame:
     return pd.DataFrame(out)
 
 
-@pandas_udf("array<double>")
+@pandas_udf(ArrayType(DoubleType()))
 def pattern_agg(labels: pd.Series, w: pd.Series) -> list:
     """Grouped aggregate: the weighted sum of agreement over a group's pairs, strict lower triangle. For groups of bounded size; pattern.build() has no such bound."""
     import numpy as np

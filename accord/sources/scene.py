@@ -73,9 +73,8 @@ class _Stream(SimpleDataSourceStreamReader):
         return {"t": 0}
 
     def _rows(self, a: int, b: int):
-        for v in range(self.videos):
-            for r in rows_of(v, range(a, b), **self.made):
-                yield (*r[:4], [(x["dx"], x["dy"]) for x in r[4]], r[5])
+        """An iterator over a list: Spark copies it, which a generator doesn't allow."""
+        return iter([(*r[:4], [(x["dx"], x["dy"]) for x in r[4]], r[5]) for v in range(self.videos) for r in rows_of(v, range(a, b), **self.made)])
 
     def read(self, start: dict):
         end = min(self.frames, start["t"] + 1)
