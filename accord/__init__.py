@@ -3,18 +3,13 @@
 from __future__ import annotations
 
 import os
-import sys
 
 _ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 
 
-def _ship_code() -> None:
-    """Python workers import this package by name only if the repository is on their path; else its functions travel by value."""
-    there = [os.path.abspath(p) for p in os.environ.get("PYTHONPATH", "").split(os.pathsep) if p]
-    if _ROOT not in there and os.path.abspath(os.getcwd()) != _ROOT:
-        from pyspark import cloudpickle
-
-        cloudpickle.register_pickle_by_value(sys.modules[__name__])
-
-
-_ship_code()
+def ready(spark) -> None:
+    """Lets Python workers import this package from where the driver has it. Where executors don't see that folder, ship the package with addPyFile()."""
+    env = spark.sparkContext.environment
+    paths = [p for p in env.get("PYTHONPATH", "").split(os.pathsep) if p]
+    if _ROOT not in paths:
+        env["PYTHONPATH"] = os.pathsep.join([_ROOT, *paths])

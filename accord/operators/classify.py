@@ -30,7 +30,7 @@ def binize(df: DataFrame, edges: list[list[float]]) -> DataFrame:
         import pyarrow as pa
 
         for b in batches:
-            x = np.array(b.column(b.num_columns - 1).to_pylist(), float).reshape(b.num_rows, -1)
+            x = b.column(b.num_columns - 1).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1) if b.num_rows else None
             out = np.stack([np.searchsorted(np.array(e), x[:, f], side="left") for f, e in enumerate(edges)], 1).astype(np.uint8) if b.num_rows else np.zeros((0, len(edges)), np.uint8)
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array([r.tobytes() for r in out], pa.binary())], names=[*keep, "bins"])
 

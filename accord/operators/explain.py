@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from accord.operators import distance, pattern, sampling
-from accord.sources.carriers import COMPONENTS, LANDMARKS, component_of
+from accord.sources.carriers import LANDMARKS, component_of
 
 
 def mean_agreement(groups: DataFrame, n: int = 1000, seed: int = 0) -> DataFrame:
@@ -61,7 +61,6 @@ def convergence(groups: DataFrame, by: list[str], ns: tuple = (1, 10, 35, 70)) -
         step = step.when(F.col("pick") <= n, n)
     bands = groups.withColumn("band", step.otherwise(2**31 - 1))
     cells, sums = pattern.build_tall(bands, [*by, "band"]), pattern.totals(bands, [*by, "band"])
-    top = sums.groupBy(*by).agg(F.max("n").alias("n"))
     full = pattern.l1_tall(cells.groupBy(*by, "i", "j").agg(F.sum("w").alias("w")), sums.groupBy(*by).agg(F.sum("w_sum").alias("w_sum"), F.max("n").alias("n")), by)
     grow = F.explode(F.array(*[F.lit(n) for n in ns]))
     upto = lambda df: df.withColumn("n_pick", grow).where("band <= n_pick")
@@ -69,7 +68,6 @@ def convergence(groups: DataFrame, by: list[str], ns: tuple = (1, 10, 35, 70)) -
     part = pattern.l1_tall(upto(cells).groupBy(*keys, "i", "j").agg(F.sum("w").alias("w")), upto(sums).groupBy(*keys).agg(F.sum("w_sum").alias("w_sum"), F.max("n").alias("n")), keys)
     each = upto(sums).select(*keys).distinct().crossJoin(_grid(groups))
     both = each.join(part.select(*keys, "i", "j", F.col("p").alias("pa")), [*keys, "i", "j"], "left").join(full.select(*by, "i", "j", F.col("p").alias("pb")), [*by, "i", "j"], "left")
-    del top
     return both.groupBy(*keys).agg(F.sum(distance.js_term(F.coalesce("pa", F.lit(0.0)), F.coalesce("pb", F.lit(0.0)))).alias("d"))
 
 
@@ -83,6 +81,3 @@ def signed_view(mean: DataFrame) -> DataFrame:
     """mean less the source's mean over all cells: below 0 where landmarks agree less than usual."""
     return mean.withColumn("signed", F.col("mean") - F.avg("mean").over(W.partitionBy("source")))
 
-
-def size_of(component: int) -> int:
-    return len(tuple(COMPONENTS[component]))

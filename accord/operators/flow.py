@@ -19,11 +19,11 @@ from pyspark.sql.window import Window as W
 def frame_pairs(df: DataFrame, stride: int = 1) -> DataFrame:
     """(video_id, t, t_next): frames that have one `stride` later; a gap gives no pair."""
     frames = df.select("video_id", "t").distinct()
-    nxt = F.lead("t", 1).over(W.partitionBy("video_id").orderBy("t")) if stride == 1 else None
-    if nxt is None:
-        later = frames.select("video_id", (F.col("t") - stride).alias("t"), F.col("t").alias("t_next"))
-        return frames.join(later, ["video_id", "t"])
-    return frames.withColumn("t_next", nxt).where(F.col("t_next") == F.col("t") + 1)
+    if stride == 1:
+        following = F.lead("t").over(W.partitionBy("video_id").orderBy("t"))
+        return frames.withColumn("t_next", following).where(F.col("t_next") == F.col("t") + 1)
+    later = frames.select("video_id", (F.col("t") - stride).alias("t"), F.col("t").alias("t_next"))
+    return frames.join(later, ["video_id", "t"])
 
 
 def pack_pairs(images: DataFrame) -> DataFrame:
@@ -148,12 +148,11 @@ def _grad(a: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _resize(a: np.ndarray, h: int, w: int) -> np.ndarray:
+    if a.shape == (h, w):
+        return a
     y = (np.arange(h) + 0.5) * a.shape[0] / h - 0.5
     x = (np.arange(w) + 0.5) * a.shape[1] / w - 0.5
     yy, xx = np.meshgrid(np.clip(y, 0, a.shape[0] - 1), np.clip(x, 0, a.shape[1] - 1), indexing="ij")
-    gy, gx = np.mgrid[0:h, 0:w] if a.shape == (h, w) else (None, None)
-    if gy is not None:
-        return a
     y0, x0 = np.minimum(yy.astype(int), max(a.shape[0] - 2, 0)), np.minimum(xx.astype(int), max(a.shape[1] - 2, 0))
     y1, x1 = np.minimum(y0 + 1, a.shape[0] - 1), np.minimum(x0 + 1, a.shape[1] - 1)
     fy, fx = yy - y0, xx - x0

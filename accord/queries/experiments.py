@@ -16,19 +16,20 @@ NS = (1, 10, 35, 70)
 TASKS = ("A", "B", "C", "D")
 
 
-def pool(spark, d, n: int = 300, df: DataFrame | None = None, o: grouping.Options = grouping.Options()) -> DataFrame:
+def pool(spark, d, n: int = 200, df: DataFrame | None = None, o: grouping.Options = grouping.Options()) -> DataFrame:
     """Grouped pairs, n of each source and half, with weight w: every experiment draws its patterns from such a pool."""
     df = carriers.face(spark, d) if df is None else df
     pairs = motion.keep_strong(df).withColumn("pool", F.concat_ws("/", "source", "half"))
-    return grouping.group_pairs(sampling.pick_n(pairs, n, "pool"), o).withColumn("w", pattern.weight("k_score"))
+    # kept: every N draws from it, and grouping is nearly all of the cost; a pool is a few thousand pairs, whatever the input
+    return grouping.group_pairs(sampling.pick_n(pairs, n, "pool"), o).withColumn("w", pattern.weight("k_score")).persist()
 
 
-def sets(groups: DataFrame, n: int, m: int = 60) -> DataFrame:
+def sets(groups: DataFrame, n: int, m: int = 40) -> DataFrame:
     """Packed patterns (source, half, y, pattern_id) of n pairs, m of each source and half."""
     return pattern.build(sampling.pattern_sets(groups, m, n, "pool"), ["source", "half", "y", "pattern_id"])
 
 
-def features(groups: DataFrame, ns: tuple = NS, m: int = 60) -> DataFrame:
+def features(groups: DataFrame, ns: tuple = NS, m: int = 40) -> DataFrame:
     out = None
     for n in ns:
         one = pattern.features(pattern.l1(sets(groups, n, m))).select("source", "half", "y", "pattern_id", "features").withColumn("n_pick", F.lit(n))
@@ -46,7 +47,7 @@ def tasks(rows: DataFrame) -> DataFrame:
 def experiment_accuracy(spark, d):
     """Accuracy of boosted stumps on videos' other half, by forged source (and all of them) and N: 20 cells."""
     rows = tasks(features(pool(spark, d))).persist()
-    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=15)
+    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=10, bins=16)
     judged = classify.boost_predict_many(rows.where("half = 'b'"), models, edges)
     return metrics.accuracy(judged, "forged", "n_pick")
 
@@ -56,8 +57,8 @@ def experiment_null(spark, d):
     """The same on the carrier whose labels carry no signal: accuracy should be about a half."""
     e = carriers.emb(spark, d)
     g = grouping.group_pairs(e.withColumn("pool", F.concat_ws("/", "source", "half"))).withColumn("w", pattern.weight("k_score"))
-    rows = classify.binary_tasks(features(g, (10,), 60)).persist()
-    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=10)
+    rows = classify.binary_tasks(features(g, (10,), 40)).persist()
+    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=10, bins=16)
     return metrics.accuracy(classify.boost_predict_many(rows.where("half = 'b'"), models, edges), "task")
 
 
@@ -96,7 +97,7 @@ def experiment_robustness(spark, d):
 def experiment_transfer(spark, d):
     """Accuracy on each source of a model learnt on another one, N = 35, boosted stumps."""
     rows = classify.binary_tasks(features(pool(spark, d), (35,))).persist()
-    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=15)
+    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=10, bins=16)
     test = rows.where("half = 'b'").withColumnRenamed("task", "test_source").withColumn("train_source", F.explode(F.array(*[F.lit(x) for x in TASKS]))).where("train_source <> test_source")
     judged = classify.boost_predict_many(test, models, edges, "train_source")
     return metrics.accuracy(judged, "train_source", "test_source")

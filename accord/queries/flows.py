@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -163,6 +161,3 @@ def flow_to_groups(spark, d):
     g = grouping.group_pairs(landmarks.motion_of(flows))
     return g.select("video_id", "t", "k", F.round("score", 3).alias("score"), F.concat_ws("", F.transform("labels", lambda x: x.cast("string"))).alias("labels"))
 
-
-def kernel_check() -> float:
-    return sum(w for *_, w in landmarks.kernel(3)) / (2 * math.pi * 1.5**2)

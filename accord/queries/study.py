@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from accord.operators import anomaly, baselines, classify, explain, grouping, metrics, motion, pattern, robustness, sampling
 from accord.queries import prelude as P
-from accord.queries.method import _BYSRC, _FACE, _JS, _L1, genuine_template, picked_groups, query, scores_sql, sector_groups, strong_face, tall_patterns
+from accord.queries.method import _BYSRC, _FACE, _JS, _L1, S, genuine_template, picked_groups, query, scores_sql, sector_groups, strong_face, tall_patterns
 from accord.sources import carriers
 
 # ---------------------------------------------------------------- reading patterns
@@ -193,7 +193,7 @@ def robustness_auc(spark, d):
     return _grade_auc(spark, d)
 
 
-@query("robustness_delta", None)
+@query("robustness_delta", f"WITH q AS ({S['robustness_auc']}) SELECT grade, auc, round((SELECT auc FROM q WHERE grade = 'raw') - auc, 6) AS loss FROM q")
 def robustness_delta(spark, d):
     return metrics.delta(_grade_auc(spark, d), "raw", "auc")
 
@@ -260,14 +260,6 @@ def spectral_groups(spark, d, n: int = 20, pool: str = "source", o: grouping.Opt
     return grouping.group_pairs(sampling.pick_n(pairs, n, "pool"), o).withColumn("w", pattern.weight("k_score"))
 
 
-def learnt(spark, d, n: int = 10, m: int = 40) -> DataFrame:
-    """(source, half, pattern_id, y, features): m patterns of n pairs of each source and half, drawn over the source, L1-normalised."""
-    g = spectral_groups(spark, d, 200)
-    sets = sampling.pattern_sets(g, m, n, "pool")
-    p = pattern.features(pattern.l1(pattern.build(sets, ["source", "half", "y", "pattern_id"])))
-    return p.select("source", "half", "y", "pattern_id", "features")
-
-
 @query("group_pairs")
 def group_pairs(spark, d):
     g = spectral_groups(spark, d)
@@ -293,7 +285,7 @@ def k_histogram_spectral(spark, d):
 @query("spectral_auc")
 def spectral_auc(spark, d):
     """The method proper: spectral groups, patterns of n pairs drawn over the source, distance to a genuine template of the other half."""
-    g = spectral_groups(spark, d, 200)
+    g = spectral_groups(spark, d, 200).persist()  # a few thousand pairs, read for every N
     template = anomaly.template(g.where("half = 'a'"), 3000)
     out = None
     for n in (1, 10, 35, 70):

@@ -139,7 +139,6 @@ def _line_motion(lines: DataFrame) -> DataFrame:
     """(video_id, t, line) to packed motion: change of each class's share in the first and the second half of the line to the next line."""
     low = F.lower("line")
     n = F.length("line")
-    first, second = F.substring(low, 1, 2**31 - 1), low
     half = F.ceil(n / 2).cast("int")
     first, second = low.substr(F.lit(1), half), low.substr(half + 1, n)
     share = lambda part, c: F.coalesce(F.try_divide(F.regexp_count(part, F.lit(f"[{c}]")), F.length(part)), F.lit(0.0))
