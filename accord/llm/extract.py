@@ -31,7 +31,7 @@ ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr"}, "td"
 LIMITS = frozenset("ul ol dl table article section div body main".split())
 ROLES = frozenset("alert alertdialog banner complementary contentinfo dialog form menu menubar navigation search toolbar".split())
 #: Words of class and id, whole or as a beginning, of what isn't content.
-WORDS = frozenset("ad ads adv alert aside asides byline crumbs dfp dialog disclaimer footer footnav form gdpr header infobar legal login masthead menu meta modal nav navbar navigation notice notification overlay paywall popup related respond rail replies reply search share sharing signin signup sidebar skip social subscribe tags toolbar topbar warning widget widgets".split())
+WORDS = frozenset("ad ads adv alert aside asides byline crumbs dfp dialog disclaimer footer footnav form gdpr infobar legal login menu modal nav navbar navigation notice notification overlay paywall popup related respond rail replies reply search share sharing signin signup sidebar skip social subscribe toolbar topbar warning widget widgets".split())
 BEGINNINGS = ("advert", "adsense", "adslot", "adbox", "banner", "breadcrumb", "comment", "consent", "cookie", "copyright", "disqus", "newsletter", "pagination", "pager", "promo", "recommend", "sponsor", "subscri", "sidebar", "sitenav", "toolbar", "trending")
 _PARTS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+|\d+")
 
@@ -99,10 +99,8 @@ class _Lines(HTMLParser):
                     break
         attrs = dict(attrs)
         drops = _dropped(tag, attrs)
-        if tag == "header" and not drops:
+        if not drops and (tag == "header" or tag not in HEADING and _words(attrs) & {"header", "masthead"} and tag not in ("html", "body")):
             drops = not any(x[0] in REGION for x in self.stack)  # an article's own header has its title
-        if drops and tag not in DROPPED and tag in HEADING:
-            drops = False
         self.stack.append([tag, drops, len(self.tags_of)])
         self.tags_of.append(tag)
         self.drops += drops
