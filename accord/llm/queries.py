@@ -20,5 +20,6 @@ QUERIES = {
 ORACLES = {
     "op3_secrets": secretscan.OP3_SQL,
     "op7_mix": mixing.OP7_SQL,
+    "op8_vectors": vectors.OP8_SQL,
     "op10_licences": licences.OP10_SQL,
 }

@@ -164,3 +164,17 @@ def near_duplicates(rows: DataFrame, key: str = "vec_id", vector: str = "embeddi
 def op8_vectors(spark, sf_dir: str) -> DataFrame:
     out = near_duplicates(table(spark, sf_dir, "embeddings", "vec_id", "embedding"))
     return out.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
+
+
+OP8_SQL = """
+WITH RECURSIVE v AS (
+  SELECT vec_id, embedding::DOUBLE[] AS e, embedding IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+    AND len(list_filter(embedding, lambda x: x <> 0)) > 0 AS usable FROM embeddings
+), l AS (
+  SELECT a.vec_id AS x, b.vec_id AS y FROM (SELECT * FROM v WHERE usable) a JOIN (SELECT * FROM v WHERE usable) b ON a.vec_id <> b.vec_id AND len(a.e) = len(b.e) AND list_cosine_similarity(a.e, b.e) >= 0.95
+), r AS (
+  SELECT vec_id, vec_id AS y FROM v UNION SELECT r.vec_id, l.y FROM r JOIN l ON l.x = r.y
+)
+SELECT v.vec_id, coalesce(n.n, 0)::BIGINT AS n_links, c.component_id, v.vec_id = c.component_id AS kept
+FROM v LEFT JOIN (SELECT x, count(*) AS n FROM l GROUP BY x) n ON n.x = v.vec_id JOIN (SELECT vec_id, min(y) AS component_id FROM r GROUP BY vec_id) c USING (vec_id)
+"""
