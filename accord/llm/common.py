@@ -35,6 +35,11 @@ def scratch_dir(spark: SparkSession) -> str:
     return at
 
 
+def few_files(df: DataFrame) -> DataFrame:
+    """df in FILES_PER_CORE partitions for each core at most, without another shuffle: what is written from it has so many files."""
+    return df.coalesce(FILES_PER_CORE * df.sparkSession.sparkContext.defaultParallelism)
+
+
 def written(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     """The rows as a table in the shared folder: cuts lineage, survives lost executors, and is read as often as needed.
 
@@ -42,7 +47,7 @@ def written(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     core at most, however many partitions the plan ends in.
     """
     path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df = df.coalesce(FILES_PER_CORE * df.sparkSession.sparkContext.defaultParallelism)
+    df = few_files(df)
     df.write.option("compression", compression).parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out.scratch_path = path

@@ -9,32 +9,33 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from accord.llm import langid, mixing, packing, secretscan, simhash
-from accord.llm.common import table, written
+from accord.llm.common import few_files, table, written
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is told; those that the model rejects go."""
-    return langid.identified(docs, langid.fit(docs)).where(~F.col("lang_rejected")).select(*[F.col(f"`{c}`") for c in docs.columns])
+    told = langid.identified(docs, langid.fit(docs))
+    return few_files(told.where(~F.col("lang_rejected")).select(*[F.col(f"`{c}`") for c in docs.columns]))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates."""
-    return simhash.one_each(docs)
+    return few_files(simhash.one_each(docs))
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with secrets taken out of their texts."""
-    return secretscan.redact(docs).withColumn("n_chars", F.length("text").cast("long"))
+    return few_files(secretscan.redact(docs).withColumn("n_chars", F.length("text").cast("long")))
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them, in its order."""
-    return mixing.mix(docs)
+    return few_files(mixing.mix(docs))
 
 
 def sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The place of every piece of every document in the sequences."""
-    return packing.pack(docs).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+    return few_files(packing.pack(docs)).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
 STAGES = [("language_id", language), ("near_duplicates", near_duplicates), ("secret_scan", secrets), ("source_mix", mix), ("packing", sequences)]
