@@ -14,8 +14,8 @@ from pyspark.sql import functions as F
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-#: Files of a written() table for each core of the cluster.
-FILES_PER_CORE = 4
+#: Files of a table that is written, at most: so many for each core, or a part of the shuffle partitions where those are more.
+FILES_PER_CORE, PARTITIONS_PER_FILE = 8, 4
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -36,15 +36,17 @@ def scratch_dir(spark: SparkSession) -> str:
 
 
 def few_files(df: DataFrame) -> DataFrame:
-    """df in FILES_PER_CORE partitions for each core at most, without another shuffle: what is written from it has so many files."""
-    return df.coalesce(FILES_PER_CORE * df.sparkSession.sparkContext.defaultParallelism)
+    """df in fewer partitions, without another shuffle, where a plan ends in very many: what is written from it has so many files. Their number
+    follows the cores and the shuffle partitions, so a task never takes more than PARTITIONS_PER_FILE of those once there are many."""
+    spark = df.sparkSession
+    return df.coalesce(max(FILES_PER_CORE * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // PARTITIONS_PER_FILE))
 
 
 def written(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     """The rows as a table in the shared folder: cuts lineage, survives lost executors, and is read as often as needed.
 
-    Codecs keep buffers outside the heap until it is collected; a table of hashes gains nothing from one. It has a few files for each
-    core at most, however many partitions the plan ends in.
+    Codecs keep buffers outside the heap until it is collected; a table of hashes gains nothing from one. Its files are
+    as few as those of few_files().
     """
     path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df = few_files(df)
