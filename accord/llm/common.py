@@ -42,15 +42,11 @@ def few_files(df: DataFrame) -> DataFrame:
     return df.coalesce(max(FILES_PER_CORE * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // PARTITIONS_PER_FILE))
 
 
-def written(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
-    """The rows as a table in the shared folder: cuts lineage, survives lost executors, and is read as often as needed.
-
-    Codecs keep buffers outside the heap until it is collected; a table of hashes gains nothing from one. Its files are
-    as few as those of few_files().
-    """
+def written(df: DataFrame, name: str) -> DataFrame:
+    """The rows as a table in the shared folder, in as many files as few_files() allows: cuts lineage, survives lost executors, and is read as often as needed."""
     path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df = few_files(df)
-    df.write.option("compression", compression).parquet(path)
+    df.write.parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out.scratch_path = path
     return out
