@@ -104,11 +104,11 @@ def motion_filter(spark, d):
     return strong_face(spark, d).select("video_id", "source", "y", "t")
 
 
-@query("motion_filter_mean", P.q(_FACE, select="SELECT video_id, t FROM face GROUP BY video_id, t HAVING round(avg(sqrt((dx_m * dx_m + dy_m * dy_m)::DOUBLE)), 3) >= 14000"))
+@query("motion_filter_mean", P.q(_FACE, select="SELECT video_id, t FROM face GROUP BY video_id, t HAVING round(avg(sqrt((dx_m * dx_m + dy_m * dy_m)::DOUBLE)), 3) >= 1400"))
 def motion_filter_mean(spark, d):
     m = carriers.milli(carriers.face(spark, d))
     mean = F.aggregate(F.transform("motion_m", lambda v: F.sqrt((v["x"] * v["x"] + v["y"] * v["y"]).cast("double"))), F.lit(0.0), lambda a, x: a + x) / F.size("motion_m")
-    return m.where(F.round(mean, 3) >= 14000).select("video_id", "t")
+    return m.where(F.round(mean, 3) >= 1400).select("video_id", "t")
 
 
 @query("motion_filter_report", P.q(_FACE, P.STRONG, select="SELECT source, count(*) AS n_pairs, count(*) FILTER (EXISTS (SELECT 1 FROM strong s WHERE s.video_id = p.video_id AND s.t = p.t)) AS n_kept FROM (SELECT DISTINCT video_id, source, t FROM face) p GROUP BY source"))
