@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from accord.llm.common import written
 from accord.operators import anomaly, baselines, classify, explain, grouping, metrics, motion, pattern, robustness, sampling
 from accord.queries import prelude as P
 from accord.queries.method import _BYSRC, _FACE, _JS, _L1, S, genuine_template, picked_groups, query, scores_sql, sector_groups, strong_face, tall_patterns
@@ -254,10 +255,9 @@ def transfer_summary(spark, d):
     return _transfer(spark, d).rollup("train_source").agg(F.count("*").alias("n_tests"), F.round(F.avg("accuracy"), 6).alias("mean_accuracy"))
 
 
-def spectral_groups(spark, d, n: int = 20, pool: str = "source", o: grouping.Options = grouping.Options()) -> DataFrame:
-    """Strong pairs, n of each pool and half, grouped: the filter and the choice come before the kernel, which is nearly all of the cost."""
-    pairs = motion.keep_strong(carriers.face(spark, d)).withColumn("pool", F.concat_ws("/", pool, "half"))
-    return grouping.group_pairs(sampling.pick_n(pairs, n, "pool"), o).withColumn("w", pattern.weight("k_score"))
+def spectral_groups(spark, d, o: grouping.Options = grouping.Options()) -> DataFrame:
+    """All strong pairs, grouped: only the filter comes before the kernel."""
+    return grouping.group_pairs(motion.keep_strong(carriers.face(spark, d)), o).withColumn("w", pattern.weight("k_score"))
 
 
 @query("group_pairs")
@@ -268,7 +268,7 @@ def group_pairs(spark, d):
 
 @query("group_pairs_all_k")
 def group_pairs_all_k(spark, d):
-    g = spectral_groups(spark, d, 4, o=grouping.Options(k_max=None))
+    g = spectral_groups(spark, d, grouping.Options(k_max=None))
     return g.select("video_id", "t", "source", "k", F.round("score", 3).alias("score"))
 
 
@@ -285,7 +285,7 @@ def k_histogram_spectral(spark, d):
 @query("spectral_auc")
 def spectral_auc(spark, d):
     """The method proper: spectral groups, patterns of n pairs drawn over the source, distance to a genuine template of the other half."""
-    g = spectral_groups(spark, d, 200).persist()  # a few thousand pairs, read for every N
+    g = written(spectral_groups(spark, d), "groups")  # read for every N
     template = anomaly.template(g.where("half = 'a'"), 3000)
     out = None
     for n in (1, 10, 35, 70):
