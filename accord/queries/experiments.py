@@ -8,6 +8,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from accord.llm.common import written
 from accord.operators import anomaly, baselines, classify, distance, grouping, metrics, motion, pattern, robustness, sampling
 from accord.queries.method import query
 from accord.sources import carriers
@@ -16,20 +17,19 @@ NS = (1, 10, 35, 70)
 TASKS = ("A", "B", "C", "D")
 
 
-def pool(spark, d, n: int = 200, df: DataFrame | None = None, o: grouping.Options = grouping.Options()) -> DataFrame:
-    """Grouped pairs, n of each source and half, with weight w: every experiment draws its patterns from such a pool."""
+def pool(spark, d, df: DataFrame | None = None, o: grouping.Options = grouping.Options()) -> DataFrame:
+    """All strong pairs, grouped once, with weight w: every experiment draws its patterns and templates from such a table."""
     df = carriers.face(spark, d) if df is None else df
     pairs = motion.keep_strong(df).withColumn("pool", F.concat_ws("/", "source", "half"))
-    # kept: every N draws from it, and grouping is nearly all of the cost; a pool is a few thousand pairs, whatever the input
-    return grouping.group_pairs(sampling.pick_n(pairs, n, "pool"), o).withColumn("w", pattern.weight("k_score")).persist()
+    return written(grouping.group_pairs(pairs, o).withColumn("w", pattern.weight("k_score")), "pool")
 
 
-def sets(groups: DataFrame, n: int, m: int = 40) -> DataFrame:
+def sets(groups: DataFrame, n: int, m: int = 60) -> DataFrame:
     """Packed patterns (source, half, y, pattern_id) of n pairs, m of each source and half."""
     return pattern.build(sampling.pattern_sets(groups, m, n, "pool"), ["source", "half", "y", "pattern_id"])
 
 
-def features(groups: DataFrame, ns: tuple = NS, m: int = 40) -> DataFrame:
+def features(groups: DataFrame, ns: tuple = NS, m: int = 60) -> DataFrame:
     out = None
     for n in ns:
         one = pattern.features(pattern.l1(sets(groups, n, m))).select("source", "half", "y", "pattern_id", "features").withColumn("n_pick", F.lit(n))
@@ -47,7 +47,7 @@ def tasks(rows: DataFrame) -> DataFrame:
 def experiment_accuracy(spark, d):
     """Accuracy of boosted stumps on videos' other half, by forged source (and all of them) and N: 20 cells."""
     rows = tasks(features(pool(spark, d))).persist()
-    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=10, bins=16)
+    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=15)
     judged = classify.boost_predict_many(rows.where("half = 'b'"), models, edges)
     return metrics.accuracy(judged, "forged", "n_pick")
 
@@ -88,7 +88,7 @@ def experiment_robustness(spark, d):
     for grade in robustness.GRADES:
         g = robustness.graded(face, grade)
         back = g.withColumn("motion", F.transform("motion_m", lambda v: F.struct((v["x"] / 1000.0).alias("dx"), (v["y"] / 1000.0).alias("dy")))).drop("motion_m")
-        one = _auc(pool(spark, d, 200, back), (35,)).withColumn("grade", F.lit(grade)).where("task = 'A'")
+        one = _auc(pool(spark, d, back), (35,)).withColumn("grade", F.lit(grade)).where("task = 'A'")
         out = one if out is None else out.unionByName(one)
     return metrics.delta(out.select("grade", "auc"), "raw", "auc")
 
@@ -97,7 +97,7 @@ def experiment_robustness(spark, d):
 def experiment_transfer(spark, d):
     """Accuracy on each source of a model learnt on another one, N = 35, boosted stumps."""
     rows = classify.binary_tasks(features(pool(spark, d), (35,))).persist()
-    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=10, bins=16)
+    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=15)
     test = rows.where("half = 'b'").withColumnRenamed("task", "test_source").withColumn("train_source", F.explode(F.array(*[F.lit(x) for x in TASKS]))).where("train_source <> test_source")
     judged = classify.boost_predict_many(test, models, edges, "train_source")
     return metrics.accuracy(judged, "train_source", "test_source")
@@ -160,10 +160,9 @@ def experiment_baselines(spark, d):
 def experiment_ablations(spark, d):
     """One-class AUC of sources A and D at N = 35 with one choice of the method changed at a time."""
     face = carriers.face(spark, d).where("source IN ('R', 'A', 'D')").withColumn("pool", F.concat_ws("/", "source", "half"))
-    few = sampling.pick_n(face, 100, "pool")
     out = None
     for name in baselines.ABLATIONS:
-        one = _auc(baselines.ablated_groups(few, name), (35,)).where("task IN ('A', 'D')").select("task", "auc").withColumn("ablation", F.lit(name))
+        one = _auc(written(baselines.ablated_groups(face, name), "pool"), (35,)).where("task IN ('A', 'D')").select("task", "auc").withColumn("ablation", F.lit(name))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -171,7 +170,7 @@ def experiment_ablations(spark, d):
 @query("experiment_learners")
 def experiment_learners(spark, d):
     """Other learners on the same patterns, source A, N = 35."""
-    rows = features(pool(spark, d, 200), (35,)).where("source IN ('R', 'A')").persist()
+    rows = features(pool(spark, d), (35,)).where("source IN ('R', 'A')").persist()
     a, b = rows.where("half = 'a'"), rows.where("half = 'b'")
     out = None
     for kind in ("lr", "svc", "rf"):

@@ -4,8 +4,8 @@ from collections import Counter
 
 import numpy as np
 
-from accord.operators import grouping
-from accord.queries import study
+from accord.operators import anomaly, grouping
+from accord.queries import experiments, study
 from accord.sources import carriers
 from conftest import SF
 
@@ -37,3 +37,14 @@ def test_spectral_queries_take_all_strong_pairs(spark):
             n[r.source] += r.n_pairs
         assert n == of_source
     assert {(r.video_id, r.t) for r in study.group_pairs_all_k(spark, SF).collect()} == strong.keys()
+
+
+def test_experiments_draw_from_all_strong_pairs(spark):
+    strong = strong_motion(spark)
+    whole = experiments.pool(spark, SF)
+    assert {(r.video_id, r.t) for r in whole.select("video_id", "t").collect()} == strong.keys()
+    genuine = sum(source == "R" and half == "a" for source, half, _ in strong.values())
+    assert genuine > 200
+    template = anomaly.template_pairs(whole.where("half = 'a'"), 3000)
+    assert template.count() == min(3000, genuine)
+    assert experiments.sets(whole, 1).groupBy("source", "half").count().where("count != 60").isEmpty()
