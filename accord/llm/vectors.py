@@ -30,23 +30,28 @@ def _usable(v):
 
 
 def _audited(graph, x, least: float) -> int:
-    """The beam at which the audit passes: some members, moved to a cosine near the limit, and their neighbours among all nodes, are found again."""
+    """The beam at which the audit passes: some members, moved to a cosine near the limit, and their neighbours among all nodes, are found again.
+    Each query counts alike, however many neighbours it has."""
     import numpy as np
 
     n = len(x)
     rng = np.random.default_rng(7)
-    some = x[rng.integers(0, n, min(AUDIT, n))]
+    own = rng.integers(0, n, min(AUDIT, n))
+    some = x[own]
     aside = rng.normal(size=some.shape)
     aside -= (aside * some).sum(axis=1, keepdims=True) * some
     aside /= np.maximum(np.linalg.norm(aside, axis=1, keepdims=True), 1e-12)
     cos = least + 0.1 * (1 - least)
     q = np.concatenate([cos * some + np.sqrt(1 - cos * cos) * aside, some])
     true = q @ x.T >= least
+    true[len(own) + np.arange(len(own)), own] = False  # a member finds itself
+    sizes = true.sum(axis=1)
+    asked = sizes > 0
     ef = BEAM
     while 8 * ef < n:
         found = graph.within(q, least - SLACK, ef)
-        hits = sum(int(t[f].sum()) for t, f in zip(true, found))
-        if hits >= RECALL * true.sum():
+        hits = np.array([t[f].sum() for t, f in zip(true, found)])
+        if not asked.any() or (hits[asked] / sizes[asked]).mean() >= RECALL:
             break
         ef *= 2
     return ef
