@@ -4,7 +4,8 @@ A text and each of its lines are brought to one canonical form (lower case, copy
 letters and digits to single spaces) and their SHA-256 is looked up in a table of known digests by a hash join. The known table is part of
 the code, so its broadcast has a fixed size.
 
-Nulls: a null or empty text has the digest of the empty text and no licence. Repeated rows give repeated rows. Notices are listed once each.
+Nulls: a null or empty text has the digest of the empty text and no licence; a null id stays. Repeated rows give repeated rows. Notices are listed once
+each. Lines are brought to canonical form whole, however long. Other columns of the input, whatever their names, aren't read. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -76,7 +77,12 @@ def digest(text: Column) -> Column:
 
 def known(spark: SparkSession) -> DataFrame:
     """(licence, digest) of the known texts; of a fixed size."""
-    return spark.createDataFrame(KNOWN, "licence string, text string").select("licence", digest(F.col("text")).alias("known_digest")).distinct()
+    rows = ", ".join(f"({_literal(a)}, {_literal(b)})" for a, b in KNOWN)
+    return spark.sql(f"SELECT * FROM VALUES {rows} AS k(licence, text)").select("licence", digest(F.col("text")).alias("known_digest")).distinct()
+
+
+def _literal(x: str) -> str:
+    return "'" + x.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
 def scan(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -84,11 +90,10 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
 
     Lines reach the join one by one and only those that are known leave it; matches are summed per row before they are dealt.
     """
-    whole = F.coalesce(F.col(text), F.lit(""))
-    rows = docs.select(F.col(key).alias("doc_id"), whole.alias("whole"), F.xxhash64(key, text).alias("row"))
-    short = max(len(t) for _, t in KNOWN) * 2
+    k, t = F.col(f"`{key}`"), F.col(f"`{text}`")
+    rows = docs.select(k.alias("doc_id"), F.coalesce(t, F.lit("")).alias("whole"), F.xxhash64(k, t).alias("row"))
     spark = docs.sparkSession
-    kept = F.filter(F.split("whole", "\n"), lambda x: (F.length(x) <= short) & x.rlike(r"\p{L}"))  # no longer line has a known digest
+    kept = F.filter(F.split("whole", "\n"), lambda x: x.rlike(r"\p{L}"))  # every known text has letters
     lines = rows.select("row", F.explode(kept).alias("line")).select("row", digest(F.col("line")).alias("known_digest"))
     found = lines.join(F.broadcast(known(spark)), "known_digest").groupBy("row").agg(F.concat_ws(",", F.array_sort(F.collect_set("licence"))).alias("notices"))
     out = rows.select("doc_id", "row", digest(F.col("whole")).alias("digest"))
