@@ -10,18 +10,24 @@ Long texts are tokenised whole. Equal lengths are packed in order of their numbe
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from accord.llm.common import table, written
 
+#: A run of blanks of which the quick library's pattern search makes so many steps back that its stack may not hold them.
+_BLANKS = re.compile(r"\s{65536}")
 #: Tokens of a sequence, the id after each document, and about how many pieces a part has.
 SEQUENCE, END, PART = 2048, 0, 8192
 
 
 def encoder(name: str = "byte_bpe_50k"):
-    """Text to ids. The vocabulary file in ranks gives the ids of the tokenizers file of the same name, several times as fast."""
+    """Text to ids. The vocabulary file in ranks gives the ids of the tokenizers file of the same name, several times as fast; a text on which its
+    library gives up (very long runs of blanks) goes to the tokenizers file itself."""
     import base64
+    import functools
 
     import public_tokenizers
     import tiktoken
@@ -30,7 +36,19 @@ def encoder(name: str = "byte_bpe_50k"):
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
     mark = "<|endoftext|>"
     made = tiktoken.Encoding(name, pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={mark: len(ranks)})
-    return lambda text: made.encode(text, allowed_special="all") if mark in text else made.encode_ordinary(text)
+
+    @functools.cache
+    def whole():
+        from tokenizers import Tokenizer
+
+        return Tokenizer.from_file(public_tokenizers.path(f"{name}.json"))
+
+    def encode(text: str) -> list[int]:
+        if len(text) >= 65536 and _BLANKS.search(text):
+            return whole().encode(text, add_special_tokens=False).ids
+        return made.encode(text, allowed_special="all") if mark in text else made.encode_ordinary(text)
+
+    return encode
 
 
 def pieces(docs: DataFrame, key: str = "doc_id", text: str = "text", tokenizer: str = "byte_bpe_50k", capacity: int = SEQUENCE, with_ids: bool = False) -> DataFrame:
