@@ -24,8 +24,11 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or one of our own where that is unset."""
+    """The folder that all executors share: spark.checkpoint.dir; where that is unset, one in the warehouse, or on a single machine a temporary one."""
     at = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    master = spark.sparkContext.master
+    if not at and (not master.startswith("local") or master.startswith("local-cluster")):
+        at = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/scratch"
     if not at:
         at = getattr(scratch_dir, "own", None)
         if at is None:
@@ -65,6 +68,10 @@ def let(value: Column, use) -> Column:
     return F.transform(F.array(value), use)[0]
 
 
-def only(df: DataFrame, *columns: str) -> DataFrame:
-    """The named columns; extra columns, whatever their names, are left out."""
-    return df.select(*[F.col(f"`{c}`") for c in columns])
+def spare(name: str, taken) -> str:
+    """name, with underscores after it until it is none of the names taken (compared as Spark does, without case)."""
+    low = {c.lower() for c in taken}
+    while name.lower() in low:
+        name += "_"
+    return name
+

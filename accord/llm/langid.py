@@ -1,8 +1,9 @@
 """Language identification by nearest centroid.
 
 Texts become TF-IDF vectors of hashed byte n-grams of the lower-case text, of length 1. Each language has several centroids, from spherical k-means
-over a bounded sample of labelled documents (train_docs in all, dealt over the languages; the choice goes by a hash of the id). A text gets the language of the
-centroid with the largest cosine; it is rejected if that is below what nearly all training texts of the language reach, by a margin.
+over a bounded sample of labelled documents (about train_docs in all, dealt evenly over the languages, and some LEAST_DOCS of each at least; the choice goes by
+a hash of the id). The sample's texts become counts where they are read, and each language is clustered by itself. A text gets the language of the centroid with
+the largest cosine; it is rejected if that is below what nearly all training texts of the language reach, by a margin.
 
 Nulls: a null text, or one without a letter, is `und` with score 0 and rejected; a null language isn't learnt from; a null id is never held out. Texts are
 read whole. Ties go to the language first by code point. Without any labelled document all texts are `und`. An empty table gives no rows.
@@ -10,18 +11,18 @@ read whole. Ties go to the language first by code point. Without any labelled do
 
 from __future__ import annotations
 
-import re
-
-from pyspark.sql import DataFrame
+import regex
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from accord.llm.common import table
+from accord.llm.common import spare, table, written
 
-#: Cells for hashed n-grams, n-gram lengths in bytes, centroids per language, documents to learn from, and languages at most (the most frequent ones).
-CELLS, GRAMS, CENTROIDS, TRAIN_DOCS, LANGUAGES = 4096, (1, 2, 3), 4, 4000, 256
-#: A text is rejected under MARGIN times the cosine that all but a hundredth of the language's training texts reach.
-MARGIN = 0.2
-_LETTER = re.compile(r"[^\W\d_]")
+#: Cells for hashed n-grams, n-gram lengths in bytes, centroids per language, documents to learn from, and documents of a language at least.
+CELLS, GRAMS, CENTROIDS, TRAIN_DOCS, LEAST_DOCS = 4096, (1, 2, 3), 4, 4000, 40
+#: A text is rejected under MARGIN times the cosine that all but a hundredth of the language's training texts reach. That is above what texts of random
+#: letters reach and under what short texts of learnt languages do.
+MARGIN = 0.4
+_LETTER = regex.compile(r"\p{L}")
 _PLAIN = bytes(c if c >= 128 or 97 <= c <= 122 else 32 for c in range(256))
 
 
@@ -47,15 +48,12 @@ def counts(text: str):
     return out
 
 
-def vectors(texts: list[str], idf=None):
+def vectors(tf, idf):
+    """Rows of length 1 from rows of counts."""
     import numpy as np
 
-    tf = np.log1p(np.stack([counts(t) for t in texts]).astype(np.float32)) if texts else np.zeros((0, CELLS), np.float32)
-    if idf is None:
-        idf = (np.log((1 + len(texts)) / (1 + (tf > 0).sum(axis=0))) + 1).astype(np.float32)
-    tf *= idf
-    tf /= np.maximum(np.linalg.norm(tf, axis=1, keepdims=True), 1e-12)
-    return tf, idf
+    x = np.log1p(tf.astype(np.float32)) * idf
+    return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
 
 
 def centroids(x, k: int = CENTROIDS, rounds: int = 10):
@@ -80,42 +78,63 @@ def held_out(key: str):
     return F.coalesce(F.pmod(F.crc32(F.col(f"`{key}`").cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
 
 
+def _counted(sample: DataFrame) -> DataFrame:
+    """(l, k, tf): the counts of each text (l, k, t) as little-endian 32-bit numbers, of a fixed size."""
+    kind = sample.schema["k"].dataType.simpleString()
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([counts(t).astype("<u4").tobytes() for t in b.column(2).to_pylist()], pa.binary())], names=["l", "k", "tf"])
+
+    return sample.select("l", "k", "t").mapInArrow(run, f"l string, k {kind}, tf binary")
+
+
 def fit(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", train_docs: int = TRAIN_DOCS):
     """(languages of the centroids, centroids, idf, least cosine of each centroid's language), or None without labelled documents."""
     import numpy as np
 
-    rows = docs.select(F.col(f"`{key}`").alias("k"), F.col(f"`{text}`").alias("t"), F.col(f"`{lang}`").alias("l")).where(~held_out("k") & F.col("l").isNotNull())
-    sizes = rows.groupBy("l").count().orderBy(F.desc("count"), "l").limit(LANGUAGES).collect()
-    if not sizes:
+    rows = docs.select(F.col(f"`{key}`").alias("k"), F.col(f"`{text}`").alias("t"), F.col(f"`{lang}`").cast("string").alias("l"))
+    rows = rows.where(~held_out("k") & F.col("l").isNotNull())
+    sizes = rows.groupBy("l").count()  # one row per language
+    each = F.greatest(F.lit(train_docs) / F.greatest(F.count("*").over(Window.partitionBy()), F.lit(1)), F.lit(LEAST_DOCS))
+    share = sizes.select(F.col("l").alias("known"), (each / F.col("count") * (1 << 30)).alias("share"))
+    sample = rows.where(F.col("t").rlike(r"\p{L}")).join(F.broadcast(share), (F.col("l") == F.col("known")) & (F.pmod(F.xxhash64("k"), F.lit(1 << 30)) < F.col("share")))
+    sample = written(_counted(sample), "sample")
+    docs_in = sample.count()
+    if not docs_in:
         return None
-    each = train_docs / len(sizes)
-    share = F.create_map(*[x for r in sizes for x in (F.lit(r[0]), F.lit(min(1.0, each / r[1])))])
-    sample = rows.where((F.pmod(F.xxhash64("k"), F.lit(1 << 30)) < F.try_element_at(share, F.col("l")) * (1 << 30)) & F.col("t").rlike(r"\p{L}"))
+
+    def holding(batches):
+        import pyarrow as pa
+
+        n = np.zeros(CELLS, np.int64)
+        for b in batches:
+            for raw in b.column(0).to_pylist():
+                n += np.frombuffer(raw, "<u4") > 0
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(CELLS)), pa.array(n)], names=["cell", "n"])
+
+    per = {r[0]: r[1] for r in sample.select("tf").mapInArrow(holding, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n")).collect()}  # CELLS rows
+    idf = (np.log((1 + docs_in) / (1 + np.array([per[c] for c in range(CELLS)]))) + 1).astype(np.float32)
 
     def learn(pdf):
         import pandas as pd
 
-        pdf = pdf.sort_values(["l", "k", "t"])
-        x, idf = vectors(pdf["t"].tolist())
-        out = [("", idf.astype("<f4").tobytes(), 0.0)]
-        for name in sorted(set(pdf["l"])):
-            own = x[(pdf["l"] == name).to_numpy()]
-            c = centroids(own)
-            least = float(np.quantile((own @ c.T).max(axis=1), 0.01)) * MARGIN
-            out += [(name, row.astype("<f4").tobytes(), least) for row in c]
-        return pd.DataFrame(out, columns=["l", "v", "least"])
-
-    model = sample.withColumn("model", F.lit("")).groupBy("model").applyInPandas(lambda pdf: learn(pdf), "l string, v binary, least double").collect()  # CENTROIDS * LANGUAGES + 1 rows at most
-    if not model:
-        return None
-    vec = [np.frombuffer(bytes(r.v), "<f4") for r in model]
-    return [r.l for r in model[1:]], np.stack(vec[1:]), vec[0], np.array([r.least for r in model[1:]])
+        pdf = pdf.sort_values(["k", "tf"])
+        own = vectors(np.stack([np.frombuffer(raw, "<u4") for raw in pdf["tf"]]), idf)
+        c = centroids(own)
+        least = float(np.quantile((own @ c.T).max(axis=1), 0.01)) * MARGIN
+        return pd.DataFrame([(pdf["l"].iloc[0], i, row.astype("<f4").tobytes(), least) for i, row in enumerate(c)], columns=["l", "i", "v", "least"])
+
+    model = sorted(sample.groupBy("l").applyInPandas(lambda pdf: learn(pdf), "l string, i int, v binary, least double").collect(), key=lambda r: (r.l, r.i))  # CENTROIDS rows per language
+    return [r.l for r in model], np.stack([np.frombuffer(bytes(r.v), "<f4") for r in model]), idf, np.array([r.least for r in model])
 
 
 def identified(docs: DataFrame, model, text: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """The columns keep of docs (default: all) with lang_pred, lang_score and lang_rejected."""
+    """The columns keep of docs (default: all) with lang_pred, lang_score and lang_rejected; an underscore follows where docs has such a name."""
     keep = docs.columns if keep is None else keep
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # of bounded size: LANGUAGES * CENTROIDS vectors at most
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # CENTROIDS vectors of CELLS numbers for each language
 
     def run(batches):
         import numpy as np
@@ -128,15 +147,23 @@ def identified(docs: DataFrame, model, text: str = "text", keep: list[str] | Non
             due = [i for i, t in enumerate(texts) if m is not None and t and _LETTER.search(t)]
             for at in range(0, len(due), 256):
                 part = due[at : at + 256]
-                x, _ = vectors([texts[i] for i in part], m[2])
+                x = vectors(np.stack([counts(texts[i]) for i in part]), m[2])
                 cos = (x @ m[1].T).astype(np.float64)
                 best = cos.argmax(axis=1)
                 for i, j, c in zip(part, best, cos.max(axis=1)):
                     langs[i], scores[i], out[i] = m[0][j], min(1.0, max(0.0, float(c))), c < m[3][j]
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(out, pa.bool_())], names=[*keep, "lang_pred", "lang_score", "lang_rejected"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(out, pa.bool_())], names=[*names, "lang_pred", "lang_score", "lang_rejected"])
+
+    names = [f"c{i}" for i in range(len(keep))]
+    schema = "".join(f"{n} {docs.schema[c].dataType.simpleString()}, " for n, c in zip(names, keep))
+    rows = docs.select(*[F.col(f"`{c}`").alias(n) for n, c in zip(names, keep)], F.col(f"`{text}`").alias("t"))
+    return rows.mapInArrow(run, f"{schema}lang_pred string, lang_score double, lang_rejected boolean").toDF(*keep, *[spare(n, keep) for n in ("lang_pred", "lang_score", "lang_rejected")])
+
 
-    schema = "".join(f"`{c}` {docs.schema[c].dataType.simpleString()}, " for c in keep)
-    return docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text}`").alias("lang_text")).mapInArrow(run, f"{schema}lang_pred string, lang_score double, lang_rejected boolean")
+def accepted(docs: DataFrame, model, text: str = "text") -> DataFrame:
+    """The rows of docs whose language is told."""
+    told = identified(docs, model, text)
+    return told.where(~F.col(told.columns[-1])).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op5_language(spark, sf_dir: str) -> DataFrame:
