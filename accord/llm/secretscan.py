@@ -5,7 +5,8 @@ hundreds of rows, so no posting list grows with the corpus. Postings are interse
 query have the rule's expression run over their whole text. Rules without mandatory trigrams run over every text.
 
 Nulls: a null text is an empty one and has no span. Repeated rows have equal spans. Spans may overlap between kinds, not within one.
-Long texts are scanned whole; positions are in code points, ends exclusive. An empty table gives no rows.
+Long texts are scanned whole; positions are in code points, ends exclusive. An empty table gives no rows. All columns of the input come back as they
+were, whatever their names: scan() calls its own column spans_ where the input has one called spans, and so on.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from accord.llm.common import let, table
+from accord.llm.common import let, spare, table
 from accord.llm.trigrams import trigram_query, trigrams_of
 
 
@@ -44,13 +45,13 @@ RULES = (
 
 
 def _row_key(key: str, text: str) -> Column:
-    return F.xxhash64(F.col(key), F.col(text))
+    return F.xxhash64(F.col(f"`{key}`"), F.col(f"`{text}`"))
 
 
 def build_index(docs: DataFrame, vocabulary: set[str] | None = None, key: str = "doc_id", text: str = "text", block_rows: int = 256) -> DataFrame:
     """(block, trigram, rows): posting lists of the lower-case text. vocabulary None: all trigrams; else those that some rule set asks for."""
     n = docs.count()
-    low = F.lower(F.coalesce(F.col(text), F.lit("")))
+    low = F.lower(F.coalesce(F.col(f"`{text}`"), F.lit("")))
     if vocabulary is None:
         held = F.array_distinct(F.regexp_extract_all(low, F.lit(r"(?s)(?=(...))"), F.lit(1)))
     else:
@@ -99,11 +100,17 @@ def spans(text: Column, rule: Rule) -> Column:
 
 def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", rules=RULES) -> DataFrame:
     """docs with a column spans: array<struct<start,end,place,kind>> in order of start, then of the rules."""
+    return _scanned(docs, key, text, rules).select("row.*", F.col("spans").alias(spare("spans", docs.columns)))
+
+
+def _scanned(docs: DataFrame, key: str, text: str, rules) -> DataFrame:
+    """(row: all columns of docs in one, whole: its text, spans)."""
     wanted = set().union(*(trigrams_of(trigram_query(r.pattern)) for r in rules))
-    passed = candidates(build_index(docs, wanted, key, text), rules)
-    rows = docs.withColumn("scan_row", _row_key(key, text)).join(passed.select(F.col("row").alias("scan_row"), F.col("mask").alias("scan_mask")).hint("shuffle_hash"), "scan_row", "left")
+    passed = candidates(build_index(docs, wanted, key, text), rules).select(F.col("row").alias("its"), "mask")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), _row_key(key, text).alias("at"), F.col(f"`{text}`").alias("whole"))
+    rows = rows.join(passed.hint("shuffle_hash"), F.col("at") == F.col("its"), "left")
     none = F.array().cast("array<struct<start:bigint,end:bigint,place:int,kind:string>>")
-    whole = F.coalesce(F.col(text), F.lit(""))
+    whole = F.coalesce("whole", F.lit(""))
     parts = []
 
     def named(found: Column, place: int, kind: str) -> Column:
@@ -111,23 +118,23 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", rules=RULES)
 
     for i, r in enumerate(rules):
         told = named(spans(whole, r), i, r.kind)
-        due = whole.rlike(r.pattern) if trigram_query(r.pattern) is True else F.coalesce(F.col("scan_mask").bitwiseAND(1 << i) != 0, F.lit(False))
+        due = whole.rlike(r.pattern) if trigram_query(r.pattern) is True else F.coalesce(F.col("mask").bitwiseAND(1 << i) != 0, F.lit(False))
         parts.append(F.when(due, told).otherwise(none))
-    return rows.withColumn("spans", F.sort_array(F.concat(*parts))).drop("scan_row", "scan_mask")
+    return rows.select("row", "whole", F.sort_array(F.concat(*parts)).alias("spans"))
 
 
 def redact(docs: DataFrame, key: str = "doc_id", text: str = "text", mark: str = "[secret]", rules=RULES) -> DataFrame:
     """docs with every span of the text replaced by mark; overlapping spans become one. The columns stay as they were."""
-    found = scan(docs, key, text, rules)
     begin = F.struct(F.lit(1).cast("bigint").alias("at"), F.lit("").alias("out"))
 
     def step(acc, s):
         fresh = s["start"] + 1 >= acc["at"]
-        kept = F.when(fresh, F.concat(acc["out"], F.substring(F.col(f"`{text}`"), acc["at"].cast("int"), (s["start"] + 1 - acc["at"]).cast("int")), F.lit(mark))).otherwise(acc["out"])
+        kept = F.when(fresh, F.concat(acc["out"], F.substring(F.col("whole"), acc["at"].cast("int"), (s["start"] + 1 - acc["at"]).cast("int")), F.lit(mark))).otherwise(acc["out"])
         return F.struct(F.greatest(acc["at"], s["end"] + 1).alias("at"), kept.alias("out"))
 
-    clean = F.aggregate("spans", begin, step, lambda acc: F.concat(acc["out"], F.substring(F.col(f"`{text}`"), acc["at"].cast("int"), F.lit(2**31 - 1))))
-    return found.withColumn(text, F.when(F.size("spans") > 0, clean).otherwise(F.col(text))).drop("spans")
+    clean = F.aggregate("spans", begin, step, lambda acc: F.concat(acc["out"], F.substring(F.col("whole"), acc["at"].cast("int"), F.lit(2**31 - 1))))
+    clean = F.when(F.size("spans") > 0, clean).otherwise(F.col("whole"))
+    return _scanned(docs, key, text, rules).select(*[clean.alias(c) if c == text else F.col(f"row.`{c}`") for c in docs.columns])
 
 
 def op3_secrets(spark, sf_dir: str) -> DataFrame:
