@@ -5,7 +5,8 @@ words its queue has given out by its end, divided by its source's target. Docume
 is spent, so at any point of the mix every source has had nearly its share.
 
 Nulls: a null source is a source of its own, the last one; a null text has size 0. Rows of size 0 and of sources without words take 0.
-Rows that agree in every column share one place in the order. An empty table gives no rows.
+Rows that agree in id, source and size share one place in the order. Long texts are counted whole. All columns of the input come back as they were,
+whatever their names: a new column whose name is taken gets an underscore after it. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -15,15 +16,22 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from accord.llm.common import WORD, table, written
+from accord.llm.common import WORD, spare, table, written
 
 #: Cells of finish time per unit, and units, of the histogram in which the end of the mix is looked up; the last cell takes all beyond.
 GRAIN, UNITS = 4096, 4
+#: The columns that mixed() adds.
+ADDED = ("mix_size", "mix_source_size", "mix_target", "mix_finish", "mix_taken")
 
 
 def sized(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source") -> DataFrame:
     """(key, source, size, tie): words of the whole text, and the document's place in its source's shuffle."""
-    return docs.select(F.col(key).alias("doc_id"), F.col(source).alias("source"), F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long").alias("size"), _tie(F.col(key)).alias("tie"))
+    k = F.col(f"`{key}`")
+    return docs.select(k.alias("doc_id"), F.col(f"`{source}`").alias("source"), _words(text).alias("size"), _tie(k).alias("tie"))
+
+
+def _words(text: str):
+    return F.coalesce(F.regexp_count(F.col(f"`{text}`"), F.lit(WORD)), F.lit(0)).cast("long")
 
 
 def _tie(key):
@@ -52,22 +60,20 @@ def targets(sizes: DataFrame, weights: tuple = (5, 2, 1), budget: tuple = (3, 2)
     return per.select("place", "source", "source_size", F.when(F.col("full"), stop.cast("double")).otherwise(share).alias("target"))
 
 
-def mixed(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights: tuple = (5, 2, 1), budget: tuple = (3, 2), most: int = 2, slice_rows: int = 1000) -> DataFrame:
-    """docs with the columns mix_size, mix_source_size, mix_target, mix_taken and mix_finish, the finish times of the copies taken.
+def _planned(sizes: DataFrame, weights: tuple, budget: tuple, most: int, slice_rows: int):
+    """A function that adds mix_source_size, mix_target, mix_finish (the finish times of the copies taken) and mix_taken to rows with mix_source, mix_size,
+    mix_tie and mix_key, the columns of sizes (written).
 
     The running total of a source is taken in slices of its shuffle, of about slice_rows rows, so that no task holds a source; which slices are
-    used doesn't show in the result. Sizes are worked out on narrow rows; whole rows are moved once.
+    used doesn't show in the result.
     """
-    sizes = written(sized(docs, key, text, source), "sizes")
     per = written(targets(sizes, weights, budget, most), "targets")
     largest = sizes.groupBy("source").count().agg(F.max("count")).first()[0] or 1
     digits = max(1, math.ceil(math.log(max(1.0, largest / slice_rows), 16)))
     cut = F.substring("mix_tie", 1, digits)
 
-    rows = docs.withColumns({"mix_source": F.col(source), "mix_size": F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long"), "mix_tie": _tie(F.col(key)), "mix_key": F.col(key)})
-    narrow = sizes.select(F.col("source").alias("mix_source"), F.col("size").alias("mix_size"), F.col("tie").alias("mix_tie"), F.col("doc_id").alias("mix_key"))
     before = Window.partitionBy("mix_place").orderBy("mix_slice").rowsBetween(Window.unboundedPreceding, -1)
-    sums = narrow.withColumn("mix_slice", cut).groupBy("mix_source", "mix_slice").agg(F.sum("mix_size").alias("in_slice"))
+    sums = _named(sizes).withColumn("mix_slice", cut).groupBy("mix_source", "mix_slice").agg(F.sum("mix_size").alias("in_slice"))
     one = per.select(F.col("place").alias("mix_place"), F.col("source").alias("known"), F.col("source_size").alias("mix_source_size"), F.col("target").alias("mix_target"))
     sums = written(sums.join(one, F.col("mix_source").eqNullSafe(F.col("known"))).withColumn("mix_before", F.coalesce(F.sum("in_slice").over(before), F.lit(0))).drop("known", "in_slice"), "slices")
 
@@ -80,43 +86,74 @@ def mixed(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str
         dealt = dealt.withColumn("mix_until", until)
         live = (F.col("mix_size") > 0) & (F.col("mix_target") > 0)
         times = [F.when(live, (F.col("mix_until") + e * F.col("mix_source_size")).cast("double") / F.col("mix_target")) for e in range(most)]
-        return dealt.withColumn("mix_times", F.array(*times)).drop("their_source", "their_slice", "mix_before", "mix_until")
+        return dealt.withColumn("mix_times", F.array(*times))
 
-    copies = written(queued(narrow).select("mix_place", "mix_tie", "mix_key", "mix_size", F.posexplode("mix_times").alias("copy", "finish")).where(F.col("finish").isNotNull()), "finish")
-    cell = F.least(F.floor(F.col("finish") * GRAIN), F.lit(GRAIN * UNITS)).cast("int")
-    total = copies.withColumn("cell", cell).groupBy("cell").agg(F.sum("mix_size").alias("words"))  # at most GRAIN * UNITS + 1 rows
-    spent = total.withColumn("until", F.sum("words").over(Window.orderBy("cell")))
+    copies = written(queued(_named(sizes)).select("mix_place", "mix_tie", "mix_key", "mix_size", F.posexplode("mix_times").alias("copy", "finish")).where(F.col("finish").isNotNull()), "finish")
     words = sizes.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0] * budget[0]  # budget[1] times the budget
-    edge = spent.where(F.col("until") * budget[1] > words).orderBy("cell").select("cell", F.col("until") - F.col("words")).first()
+    cell = F.least(F.floor(F.col("finish") * GRAIN), F.lit(GRAIN * UNITS)).cast("long")
+    fine = F.least(F.floor((F.col("finish") * GRAIN - cell) * GRAIN), F.lit(GRAIN)).cast("long")
+
+    def edge_of(rows: DataFrame, by, spent: int):
+        """The first cell (of a bounded number) in which the budget ends, and the words up to its beginning."""
+        total = rows.groupBy(by.alias("cell")).agg(F.sum("mix_size").alias("words"))
+        until = total.withColumn("until", F.sum("words").over(Window.orderBy("cell")) + spent)
+        return until.where(F.col("until") * budget[1] > words).orderBy("cell").select("cell", F.col("until") - F.col("words")).first()
+
     order = ["finish", "mix_place", "copy", "mix_tie", "mix_key", "mix_size"]
+    edge = edge_of(copies, cell, 0)
     if edge is None:
         chosen = lambda finish, copy: finish.isNotNull()
     else:
-        last = copies.where(cell == edge[0]).withColumn("until", F.sum("mix_size").over(Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)) + edge[1])
+        there = copies.where(cell == edge[0])
+        inner = edge_of(there, fine, edge[1])
+        last = there.where(fine == inner[0]).withColumn("until", F.sum("mix_size").over(Window.orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)) + inner[1])
         last = last.where(F.col("until") * budget[1] <= words).agg(F.max(F.struct(*order)).alias("t")).first()[0]
 
         def chosen(finish, copy):
-            early = F.floor(finish * GRAIN) < edge[0]
+            at = F.least(F.floor(finish * GRAIN), F.lit(GRAIN * UNITS)).cast("long")
+            early = (at < edge[0]) | (at == edge[0]) & (F.least(F.floor((finish * GRAIN - at) * GRAIN), F.lit(GRAIN)) < inner[0])
             if last is None:
                 return early
-            there = F.struct(finish.alias("finish"), F.col("mix_place"), F.lit(copy).alias("copy"), F.col("mix_tie"), F.col("mix_key"), F.col("mix_size"))
+            mine = F.struct(finish.alias("finish"), F.col("mix_place"), F.lit(copy).alias("copy"), F.col("mix_tie"), F.col("mix_key"), F.col("mix_size"))
             end = F.struct(F.lit(last["finish"]).alias("finish"), F.lit(last["mix_place"]), F.lit(copy * 0 + last["copy"]), F.lit(last["mix_tie"]), F.lit(last["mix_key"]).cast(dict(copies.dtypes)["mix_key"]), F.lit(last["mix_size"]).cast("long"))
-            return early | (there <= end)
+            return early | (mine <= end)
+
+    def taken(df: DataFrame) -> DataFrame:
+        out = queued(df)
+        kept = F.filter(F.array(*[F.when(chosen(F.col("mix_times")[e], e), F.col("mix_times")[e]) for e in range(most)]), lambda t: t.isNotNull())
+        return out.withColumn("mix_finish", kept).withColumn("mix_taken", (F.size("mix_finish") * F.col("mix_size")).cast("long"))
+
+    return taken
 
-    out = queued(rows)
-    taken = F.filter(F.array(*[F.when(chosen(F.col("mix_times")[e], e), F.col("mix_times")[e]) for e in range(most)]), lambda t: t.isNotNull())
-    return out.withColumn("mix_finish", taken).withColumn("mix_taken", (F.size("mix_finish") * F.col("mix_size")).cast("long")).drop("mix_times", "mix_source", "mix_slice", "mix_tie", "mix_key", "mix_place")
+
+def _named(sizes: DataFrame) -> DataFrame:
+    return sizes.select(F.col("source").alias("mix_source"), F.col("size").alias("mix_size"), F.col("tie").alias("mix_tie"), F.col("doc_id").alias("mix_key"))
+
+
+def _mixed(docs: DataFrame, key: str, text: str, source: str, weights: tuple, budget: tuple, most: int, slice_rows: int) -> DataFrame:
+    """row (all columns of docs in one) with ADDED. Sizes are worked out on narrow rows; whole rows are moved once."""
+    sizes = written(sized(docs, key, text, source), "sizes")
+    k = F.col(f"`{key}`")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{source}`").alias("mix_source"), _words(text).alias("mix_size"), _tie(k).alias("mix_tie"), k.alias("mix_key"))
+    return _planned(sizes, weights, budget, most, slice_rows)(rows).select("row", "mix_key", *ADDED)
+
+
+def mixed(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights: tuple = (5, 2, 1), budget: tuple = (3, 2), most: int = 2, slice_rows: int = 1000) -> DataFrame:
+    """docs with the columns ADDED; mix_finish has the finish times of the copies taken."""
+    out = _mixed(docs, key, text, source, weights, budget, most, slice_rows)
+    return out.select("row.*", *[F.col(c).alias(spare(c, docs.columns)) for c in ADDED])
 
 
-def mix(docs: DataFrame, **options) -> DataFrame:
+def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights: tuple = (5, 2, 1), budget: tuple = (3, 2), most: int = 2, slice_rows: int = 1000) -> DataFrame:
     """The mix itself: docs' columns, a row for each copy taken, sorted by finish time over all partitions."""
-    plan = mixed(docs, **options)
-    return plan.withColumn("mix_at", F.explode("mix_finish")).orderBy("mix_at", F.xxhash64(options.get("key", "doc_id"))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    plan = _mixed(docs, key, text, source, weights, budget, most, slice_rows)
+    return plan.withColumn("mix_at", F.explode("mix_finish")).orderBy("mix_at", F.xxhash64("mix_key")).select("row.*")
 
 
 def op7_mix(spark, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents", "doc_id", "text", "source")
-    return mixed(docs).select("doc_id", F.col("mix_size").alias("size"), F.col("mix_source_size").alias("source_size"), F.col("mix_target").alias("target"), F.col("mix_taken").alias("taken"))
+    sizes = written(sized(table(spark, sf_dir, "documents", "doc_id", "text", "source")), "sizes")
+    plan = _planned(sizes, (5, 2, 1), (3, 2), 2, 1000)(_named(sizes))
+    return plan.select(F.col("mix_key").alias("doc_id"), F.col("mix_size").alias("size"), F.col("mix_source_size").alias("source_size"), F.col("mix_target").alias("target"), F.col("mix_taken").alias("taken"))
 
 
 OP7_SQL = r"""
