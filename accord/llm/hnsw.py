@@ -4,8 +4,8 @@ from __future__ import annotations
 
 import numpy as np
 
-#: Cells of the visited table of one search.
-_VISITED = 1 << 25
+#: Cells of the visited table of one search, and the beam beyond which a crowded query is compared with all nodes.
+_VISITED, WIDE = 1 << 25, 384
 
 
 class Graph:
@@ -189,23 +189,22 @@ class Graph:
         return self._beam(q, entry, 0, min(ef, len(self.x)))
 
     def within(self, q: np.ndarray, least: float, ef: int) -> list[np.ndarray]:
-        """For each query the nodes of similarity least or more that are found. A beam of which such nodes fill more than half is doubled;
-        one that would take in much of the graph gives way to a comparison with all nodes."""
+        """For each query the nodes of similarity least or more that are found. A beam of which such nodes fill more than half is doubled, up to the whole
+        graph or WIDE; a query that crowds even that beam, as only one within a large dense group does, is then compared with all nodes."""
         q = np.ascontiguousarray(q, np.float32)
         out: list[np.ndarray] = [np.zeros(0, np.int64)] * len(q)
         due = np.arange(len(q))
         while len(due):
-            if 8 * ef >= len(self.x):
-                for at in range(0, len(due), 1024):
-                    part = due[at : at + 1024]
-                    near = q[part] @ self.x.T >= least
-                    for i, row in zip(part, near):
-                        out[i] = np.nonzero(row)[0]
-                break
             ids, sims = self.search(q[due], ef)
             near = sims >= least
-            full = 2 * near.sum(axis=1) > ids.shape[1]
+            full = (2 * near.sum(axis=1) > ids.shape[1]) & (ids.shape[1] < len(self.x))
             for i in np.nonzero(~full & near.any(axis=1))[0]:
                 out[due[i]] = ids[i][near[i]]
             due, ef = due[full], ef * 2
+            if ef > WIDE:
+                break
+        for at in range(0, len(due), 256):
+            part = due[at : at + 256]
+            for i, row in zip(part, q[part] @ self.x.T >= least):
+                out[i] = np.nonzero(row)[0]
         return out

@@ -1,8 +1,9 @@
 """Near-duplicate embeddings by navigable small-world graphs.
 
-Equal vectors are one node. Nodes are dealt to shards; a task builds the graph of its shard and then reads all nodes, in a stream, as queries against it, so every
-node is compared with every shard and no task holds more than a shard and a batch. Beams are widened for the whole shard until an audit against all its nodes finds
-enough of planted and real neighbours, and for a query as long as neighbours fill its beam. What is found is verified by cosine in double precision. A task gives
+Equal vectors are one node. Nodes are dealt to shards, whose number follows the number of nodes, so a shard keeps its size. A task builds the graph of one shard and
+then reads a share of all nodes, in a stream, as queries against it; several tasks, more of them the more shards there are, do so for each shard, and the building is
+a small part of what each does. So every node is compared with every shard and no task holds more than a shard and a batch. Beams are widened for the whole shard
+until an audit against all its nodes finds enough of planted and real neighbours, and for a query as long as neighbours fill its beam. What is found is verified by cosine in double precision. A task gives
 out a row for each query that has links, with their number and one of them, and a row whenever a query joins two groups of its shard: as many rows as
 nodes, not as pairs, with the same components. Links are counted where they are found, copies included.
 
@@ -18,8 +19,10 @@ from pyspark.sql import functions as F
 from accord.llm.common import table, written
 from accord.llm.components import connected_components
 
-#: Shards in all (more of them where a shard wouldn't fit a task), the first beam, the audit's queries and the share that it must find.
-SHARDS, BEAM, AUDIT, RECALL = 6, 48, 128, 0.99
+#: Nodes of a shard, shards at least, shards' worth of queries that a task asks for each graph that it builds.
+SHARD_NODES, SHARDS, ASKED = 32768, 6, 3
+#: The first beam, the audit's queries and the share that it must find.
+BEAM, AUDIT, RECALL = 48, 128, 0.99
 #: Single precision in the search is off by less than this.
 SLACK = 1e-4
 
@@ -48,7 +51,7 @@ def _audited(graph, x, least: float) -> int:
     sizes = true.sum(axis=1)
     asked = sizes > 0
     ef = BEAM
-    while 8 * ef < n:
+    while ef < n:
         found = graph.within(q, least - SLACK, ef)
         hits = np.array([t[f].sum() for t, f in zip(true, found)])
         if not asked.any() or (hits[asked] / sizes[asked]).mean() >= RECALL:
@@ -58,6 +61,8 @@ def _audited(graph, x, least: float) -> int:
 
 
 class _Shard:
+    """Nodes, their graph, and the groups into which queries have joined them."""
+
     def __init__(self, least: float) -> None:
         self.least, self.parts, self.graph = least, [], None
 
@@ -109,8 +114,9 @@ class _Shard:
         return out
 
 
-def links(nodes: DataFrame, least: float = 0.95, shards: int = SHARDS) -> DataFrame:
+def links(nodes: DataFrame, least: float, shards: int) -> DataFrame:
     """(a, b, links) as _Shard.ask() gives them, for nodes (node, vector, copies)."""
+    splits = max(2, shards // ASKED)
 
     def run(batches):
         import numpy as np
@@ -119,17 +125,17 @@ def links(nodes: DataFrame, least: float = 0.95, shards: int = SHARDS) -> DataFr
         at, shard = None, None
         for b in batches:
             cols = {n: b.column(i) for i, n in enumerate(b.schema.names)}
-            dim, own, ask = (cols[n].to_numpy(zero_copy_only=False) for n in ("dim", "shard", "ask"))
+            dim, own, split, ask = (cols[n].to_numpy(zero_copy_only=False) for n in ("dim", "shard", "split", "ask"))
             node, copies = cols["node"].to_numpy(), cols["copies"].to_numpy()
             lists = cols["vector"]
             flat, ends = lists.flatten().to_numpy(zero_copy_only=False).astype(np.float64), np.concatenate([[0], np.cumsum(dim)])
-            cuts = np.nonzero((np.diff(dim) != 0) | (np.diff(own) != 0) | (np.diff(ask) != 0))[0] + 1
+            cuts = np.nonzero((np.diff(dim) != 0) | (np.diff(own) != 0) | (np.diff(split) != 0) | (np.diff(ask) != 0))[0] + 1
             rows = []
             for i, j in zip([0, *cuts], [*cuts, len(node)]):
                 if i == j:
                     continue
-                if at != (dim[i], own[i]):
-                    at, shard = (dim[i], own[i]), _Shard(least)
+                if at != (dim[i], own[i], split[i]):
+                    at, shard = (dim[i], own[i], split[i]), _Shard(least)
                 x = flat[ends[i] : ends[j]].reshape(j - i, -1)
                 x = x / np.abs(x).max(axis=1, keepdims=True)
                 x /= np.linalg.norm(x, axis=1, keepdims=True)
@@ -141,19 +147,22 @@ def links(nodes: DataFrame, least: float = 0.95, shards: int = SHARDS) -> DataFr
             cut = list(zip(*rows)) or [(), (), ()]
             yield pa.RecordBatch.from_arrays([pa.array(np.array(c, np.int64)) for c in cut], names=["a", "b", "links"])
 
-    mine = nodes.withColumn("shard", F.pmod(F.xxhash64("node"), F.lit(shards)).cast("int")).withColumn("ask", F.lit(0))
-    asked = nodes.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).withColumn("ask", F.lit(1))
+    each = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    dealt = lambda n, seed: F.pmod(F.xxhash64("node", F.lit(seed)), F.lit(n)).cast("int")
+    mine = nodes.withColumns({"shard": dealt(shards, 0), "split": each(splits), "ask": F.lit(0)})
+    asked = nodes.withColumns({"shard": each(shards), "split": dealt(splits, 1), "ask": F.lit(1)})
     both = mine.unionByName(asked).withColumn("dim", F.size("vector"))
-    dealt = both.repartition(4 * shards, "dim", "shard").sortWithinPartitions("dim", "shard", "ask")
-    return dealt.select("dim", "shard", "ask", "node", "copies", "vector").mapInArrow(run, "a bigint, b bigint, links bigint")
+    both = both.repartition(4 * shards * splits, "dim", "shard", "split").sortWithinPartitions("dim", "shard", "split", "ask")
+    return both.select("dim", "shard", "split", "ask", "node", "copies", "vector").mapInArrow(run, "a bigint, b bigint, links bigint")
 
 
-def near_duplicates(rows: DataFrame, key: str = "vec_id", vector: str = "embedding", least: float = 0.95, shards: int = SHARDS) -> DataFrame:
-    """(key, n_links, component_id) for each row."""
+def near_duplicates(rows: DataFrame, key: str = "vec_id", vector: str = "embedding", least: float = 0.95, shards: int | None = None) -> DataFrame:
+    """(key, n_links, component_id) for each row; shards None: as many as their size asks for."""
     v = F.col(f"`{vector}`")
     rows = rows.select(F.col(f"`{key}`").alias("id"), v.alias("vector"), _usable(v).alias("usable"))
     per = rows.where("usable").groupBy("vector").agg(F.count("*").alias("copies"), F.min("id").alias("least"))
     nodes = written(per.withColumn("node", F.monotonically_increasing_id()), "vectors")
+    shards = shards or max(SHARDS, -(-nodes.count() // SHARD_NODES))
     found = written(links(nodes.select("node", "vector", "copies"), least, shards), "links")
     roots = connected_components(found)
     counted = found.where("links > 0").groupBy(F.col("a").alias("linked")).agg(F.sum("links").alias("others"))

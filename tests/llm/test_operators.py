@@ -32,7 +32,7 @@ def odd(spark):
     prose = "The quick brown fox jumps over the lazy dog and then sleeps. " * 3
     rows = [(1, None, "en", "a", 0), (2, "", "en", "a", 0), (3, " \t\n ", None, None, 3), (4, long, "en", "a", len(long)), (5, prose, "en", "b", 1), (6, prose, "de", "b", 1), (6, prose, "de", "b", 1), (None, prose + "x", None, "b", 1), (8, "12 34 !!", "en", None, 8), (9, "naïve café ünï ÀÉ 日本語 text", "fr", "c", 9), (10, "a\x00b c password = 'hunter2222' <|endoftext|> d", "en", "c", 1)]
     df = spark.createDataFrame(rows, SCHEMA)
-    for c in ("row", "fp", "spans", "w", "score", "group", "part", "uid", "k", "t", "id", "marks", "votes", "size", "digest", "mask"):
+    for c in ("row", "fp", "spans", "scan_row", "scan_mask", "w", "score", "group", "part", "uid", "k", "t", "id", "marks", "votes", "size", "digest", "mask", "whole", "its", "mix_size", "mix_finish", "mix_source", "a.b"):
         df = df.withColumn(c, F.lit("mine"))
     return df
 
@@ -161,7 +161,7 @@ def test_secret_spans_and_redaction(spark, odd, none):
     assert found[1] == [(k, s, e) for s, e, _, k in sorted(want)] and found[2] == found[3] == []
     clean = {r.doc_id: r.text for r in secretscan.redact(df).collect()}
     assert "0123456789" not in clean[1] and "AKIA" not in clean[1] and clean[1].startswith('é pass password="abc" [secret]') and clean[2] is None
-    assert secretscan.scan(odd.drop("spans")).count() == 11 and secretscan.redact(none).count() == 0
+    assert secretscan.scan(odd).count() == 11 and secretscan.redact(none).count() == 0
     whole = secretscan.build_index(df, None)
     assert {"pas", "ass"} <= {r.trigram for r in whole.collect()}
 
@@ -180,7 +180,7 @@ def test_mixing_targets(spark, odd, none):
     assert all(target[s] <= 2 * size[s] + 1e-6 and abs(per[s] - target[s]) <= 20 for s in target)
     again = {r.doc_id: r.mix_taken for r in mixing.mixed(df.repartition(5), slice_rows=7).collect()}
     assert again == {r.doc_id: r.mix_taken for r in out}
-    assert mixing.mixed(odd.drop("size")).count() == 11 and mixing.mixed(none).count() == 0 and mixing.mix(none).count() == 0
+    assert mixing.mixed(odd).count() == 11 and mixing.mixed(none).count() == 0 and mixing.mix(none).count() == 0
     assert mixing.mix(df).count() == sum(len(r.mix_finish) for r in out)
 
 
