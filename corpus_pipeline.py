@@ -14,8 +14,7 @@ from accord.llm.common import few_files, table, written
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is told; those that the model rejects go."""
-    told = langid.identified(docs, langid.fit(docs))
-    return few_files(told.where(~F.col("lang_rejected")).select(*[F.col(f"`{c}`") for c in docs.columns]))
+    return few_files(langid.accepted(docs, langid.fit(docs)))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
