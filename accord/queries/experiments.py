@@ -8,9 +8,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from accord.llm.common import written
 from accord.operators import anomaly, baselines, classify, distance, grouping, metrics, motion, pattern, robustness, sampling
 from accord.queries.method import query
+from accord.scratch import written
 from accord.sources import carriers
 
 NS = (1, 10, 35, 70)

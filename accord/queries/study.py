@@ -5,10 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from accord.llm.common import written
 from accord.operators import anomaly, baselines, classify, explain, grouping, metrics, motion, pattern, robustness, sampling
 from accord.queries import prelude as P
 from accord.queries.method import _BYSRC, _FACE, _JS, _L1, S, genuine_template, picked_groups, query, scores_sql, sector_groups, strong_face, tall_patterns
+from accord.scratch import written
 from accord.sources import carriers
 
 # ---------------------------------------------------------------- reading patterns
