@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 #: Files of a table that is written, at most: so many for each core, or a part of the shuffle partitions where those are more.
 FILES_PER_CORE, PARTITIONS_PER_FILE = 8, 4
+_MADE: set[str] = set()
 
 
 def scratch_dir(spark: SparkSession) -> str:
@@ -42,12 +43,22 @@ def written(df: DataFrame, name: str) -> DataFrame:
     df.write.parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out.scratch_path = path
+    _MADE.add(path)
     return out
 
 
 def dropped(df: DataFrame) -> None:
     """Removes a table of written() that no later plan reads."""
-    path, spark = df.scratch_path, df.sparkSession
-    jvm = spark._jvm
-    at = jvm.org.apache.hadoop.fs.Path(path)
+    _remove(df.sparkSession, df.scratch_path)
+
+
+def clear(spark: SparkSession) -> None:
+    """Removes all tables that written() has made in this process and that are still there: for when the results that read them have been stored."""
+    for path in list(_MADE):
+        _remove(spark, path)
+
+
+def _remove(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
     at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    _MADE.discard(path)
