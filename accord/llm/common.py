@@ -1,21 +1,16 @@
-"""What the operators share: table access, shared scratch space, and column helpers."""
+"""What the operators share: table access, shared scratch space (from the library), and column helpers."""
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: A word is a run of characters other than the space and U+0009 to U+000D.
-WORD = r"[^\x20\x09-\x0D]+"
+from accord.scratch import dropped, few_files, scratch_dir, written
 
+__all__ = ["WORD", "dropped", "few_files", "let", "scratch_dir", "spare", "table", "written"]
 
-#: Files of a table that is written, at most: so many for each core, or a part of the shuffle partitions where those are more.
-FILES_PER_CORE, PARTITIONS_PER_FILE = 8, 4
+#: A word is a run of characters other than the space and U+0009 to U+000D.
+WORD = r"[^\x20\x09-\x0D]+"
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -23,46 +18,6 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
-def scratch_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir; where that is unset, one in the warehouse, or on a single machine a temporary one."""
-    at = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    master = spark.sparkContext.master
-    if not at and (not master.startswith("local") or master.startswith("local-cluster")):
-        at = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/scratch"
-    if not at:
-        at = getattr(scratch_dir, "own", None)
-        if at is None:
-            at = scratch_dir.own = tempfile.mkdtemp(prefix="accord-")
-            atexit.register(shutil.rmtree, at, ignore_errors=True)
-        at = f"file://{at}"
-    return at
-
-
-def few_files(df: DataFrame) -> DataFrame:
-    """df in fewer partitions, without another shuffle, where a plan ends in very many: what is written from it has so many files. Their number
-    follows the cores and the shuffle partitions, so a task never takes more than PARTITIONS_PER_FILE of those once there are many."""
-    spark = df.sparkSession
-    return df.coalesce(max(FILES_PER_CORE * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")) // PARTITIONS_PER_FILE))
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """The rows as a table in the shared folder, in as many files as few_files() allows: cuts lineage, survives lost executors, and is read as often as needed."""
-    path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df = few_files(df)
-    df.write.parquet(path)
-    out = df.sparkSession.read.schema(df.schema).parquet(path)
-    out.scratch_path = path
-    return out
-
-
-def dropped(df: DataFrame) -> None:
-    """Removes a table of written() that no later plan reads."""
-    path, spark = df.scratch_path, df.sparkSession
-    jvm = spark._jvm
-    at = jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
-
-
 def let(value: Column, use) -> Column:
     """Evaluates value once for each row and hands it to use as a variable, which the optimiser can't copy into loops."""
     return F.transform(F.array(value), use)[0]

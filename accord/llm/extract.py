@@ -1,12 +1,14 @@
 """Main text of web pages.
 
-The standard library's parser streams events; text between two block tags is a line. Each line has a text-to-tag ratio, the ratios are smoothed by a
-Gaussian and split into two clusters, and the lines of the high cluster tell where the content is: in the article or main element that holds most of them, or,
-on pages without one, in the smallest element that holds nearly all of them. All lines of that region are kept, short ones too, but for those in menus, headers,
-footers, sidebars, notices, adverts, forms, scripts, styles and reader comments, told by element, role, class and id.
-
-Nulls: null, empty or unparsable html gives an empty text. A null id or url stays null. Pages are parsed whole; repeated rows give equal texts. Line breaks
-(br) are white space of their block. An empty table gives no rows.
+The standard library's parser streams events; text between two block tags is a line. Each line has a text-to-tag ratio; the logarithms of the ratios are smoothed by a
+Gaussian and split into two clusters. Lines of the high cluster speak for the elements that hold them, by their letters, and those of the low one against; the
+regions are the elements apart from each other that have most in all. A region that lies in an article or main element, or holds such elements with most of
+its high lines, stands for these. All lines of a region are kept, low ones too, but for those in menus, headers, footers, sidebars, notices, adverts, forms,
+scripts, styles and reader comments within it, told by element, role, or whole names of class and id.
+
+Nulls: null or empty html gives an empty text; malformed markup is read as far as the parser can, with odd declarations taken for comments. A null id or url
+stays null. Pages are parsed whole; repeated rows give equal texts. Line breaks (br) are white space of their block. An empty table gives no rows. Other columns of
+the input aren't read.
 """
 
 from __future__ import annotations
@@ -23,66 +25,88 @@ from accord.llm.common import table
 #: Elements by their part in a page.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol option p pre search section select summary table tbody td tfoot th thead title tr ul".split())
-DROPPED = frozenset("applet aside audio button canvas datalist dialog embed footer form frame frameset head iframe input label legend map menu nav noembed noframes noscript object option script search select style svg template textarea title video".split())
+#: Elements that can be regions.
+REGIONS = frozenset("article aside body center details dialog div footer form header main nav section table td".split())
+#: Elements whose text no page shows, and those that are furniture.
+UNSEEN = frozenset("applet audio canvas datalist embed frame frameset head iframe map noembed noframes noscript object script style svg template textarea title video".split())
+FURNITURE = frozenset("aside button dialog footer form input label legend menu nav option search select".split())
 HEADING = frozenset("h1 h2 h3 h4 h5 h6".split())
-REGION = frozenset("article main".split())
+MAIN = frozenset("article main".split())
 #: An open element of the first kind ends where one of the others begins.
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr"}, "td": {"td", "th", "tr"}, "th": {"td", "th", "tr"}, "option": {"option"}}
 LIMITS = frozenset("ul ol dl table article section div body main".split())
 ROLES = frozenset("alert alertdialog banner complementary contentinfo dialog form menu menubar navigation search toolbar".split())
-#: Words of class and id, whole or as a beginning, of what isn't content.
-WORDS = frozenset("ad ads adv alert aside asides byline crumbs dfp dialog disclaimer footer footnav form gdpr infobar legal login menu modal nav navbar navigation notice notification overlay paywall popup related respond rail replies reply search share sharing signin signup sidebar skip social subscribe toolbar topbar warning widget widgets".split())
-BEGINNINGS = ("advert", "adsense", "adslot", "adbox", "banner", "breadcrumb", "comment", "consent", "cookie", "copyright", "disqus", "newsletter", "pagination", "pager", "promo", "recommend", "sponsor", "subscri", "sidebar", "sitenav", "toolbar", "trending")
-_PARTS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+|\d+")
+#: Whole names of class and id of what isn't content, alone or with a word before or after them that says where or what shape they are.
+NAMES = frozenset("ad ads adsense advert adverts advertisement advertisements banner breadcrumb breadcrumbs comment comments cookie cookies consent copyright disclaimer disqus_thread footer gdpr infobar menu modal nav navbar navigation newsletter notice notification overlay pager pagination paywall popup promo promotion recommended related respond share sharing sidebar signup skip-link social sponsored subscribe toolbar topbar trending widget widgets".split())
+BEFORE = ("site", "page", "main", "global", "top", "bottom", "left", "right", "side", "user", "reader", "article", "post", "blog", "social", "cookie", "gdpr", "newsletter", "mobile", "primary", "secondary", "sub")
+AFTER = ("bar", "box", "block", "banner", "slot", "unit", "list", "links", "buttons", "icons", "container", "wrapper", "area", "section", "content", "form", "item", "items", "body", "text", "notice", "message", "popup", "modal", "posts", "articles", "menu")
+_NAME = re.compile(r"[^\s]+")
+#: A further region needs this share of the best one's letters in lines of the high cluster.
+FURTHER = 0.1
+#: Elements of a single line each are paragraphs of the one around them if that has this share of what they have.
+MERGE = 0.8
+
+
+def _named(name: str) -> bool:
+    name = re.sub(r"(?<=[a-z])(?=[A-Z])", "-", name).lower().replace("_", "-").strip("-")
+    if name in NAMES or name.replace("-", "_") in NAMES:
+        return True
+    parts = name.split("-")
+    return len(parts) == 2 and (parts[0] in BEFORE and parts[1] in NAMES or parts[0] in NAMES and parts[1] in AFTER) or len(parts) == 3 and parts[0] in BEFORE and parts[1] in NAMES and parts[2] in AFTER
 
 
-def _dropped(tag: str, attrs: dict) -> bool:
-    if tag in DROPPED:
+def _furniture(tag: str, attrs: dict) -> bool:
+    if tag in FURNITURE:
         return True
     if "hidden" in attrs or (attrs.get("aria-hidden") or "").lower() == "true" or (attrs.get("role") or "").lower() in ROLES:
         return True
     if re.search(r"display\s*:\s*none", attrs.get("style") or "", re.I):
         return True
-    if tag in ("html", "body", "main", "article"):
-        return tag == "article" and any(w.startswith("comment") for w in _words(attrs))
-    words = _words(attrs)
-    return not words & {"with", "has", "no", "without"} and any(w in WORDS or w.startswith(BEGINNINGS) for w in words)
+    if tag in ("html", "body", "main") or tag in HEADING:
+        return False
+    names = _names(attrs)
+    if tag == "article":
+        return any(n.lower() in ("comment", "comments", "reply") for n in names)
+    return any(map(_named, names))
 
 
-def _words(attrs: dict) -> set[str]:
-    return {w.lower() for w in _PARTS.findall(f"{attrs.get('class') or ''} {attrs.get('id') or ''}")}
+def _names(attrs: dict) -> list[str]:
+    return _NAME.findall(f"{attrs.get('class') or ''} {attrs.get('id') or ''}")
 
 
 class _Lines(HTMLParser):
-    """Collects lines: (text, tags in it, letters in links, heading, places of the open regions and blocks)."""
+    """Collects lines: (text, without furniture, tags, heading, place of the innermost region); regions have a parent and a tag."""
 
     def __init__(self) -> None:
         super().__init__(convert_charrefs=True)
-        self.stack: list[list] = []  # tag, drops, number
+        self.stack: list[list] = []  # tag, unseen, furniture, region
         self.lines: list[tuple] = []
-        self.tags_of: list[str] = []
+        self.regions: list[tuple] = [(-1, "")]  # the page itself
         self.text: list[str] = []
-        self.tags = self.linked = self.drops = self.links = 0
+        self.kept: list[str] = []
+        self.tags = self.unseen = self.furniture = self.main = self.headings = 0
 
     def end_line(self) -> None:
         text = " ".join("".join(self.text).split())
         if text:
-            self.lines.append((text, self.tags, self.linked, any(x[0] in HEADING for x in self.stack), tuple(x[2] for x in self.stack if x[0] in BLOCK)))
+            self.lines.append((text, " ".join("".join(self.kept).split()), self.tags, self.headings > 0, self.stack[-1][3] if self.stack else 0))
             self.tags = 0
-        self.text, self.linked = [], 0
+        self.text, self.kept = [], []
 
     def pop_to(self, i: int) -> None:
         if any(x[0] in BLOCK for x in self.stack[i:]):
             self.end_line()
-        for tag, drops, _ in self.stack[i:]:
-            self.drops -= drops
-            self.links -= tag == "a"
+        for tag, unseen, furniture, _ in self.stack[i:]:
+            self.unseen -= unseen
+            self.furniture -= furniture
+            self.main -= tag in MAIN
+            self.headings -= tag in HEADING
         del self.stack[i:]
 
     def handle_starttag(self, tag, attrs) -> None:
         self.tags += 1
         if tag == "br":
-            self.text.append(" ")
+            self.handle_data(" ")
             return
         if tag in VOID:
             if tag == "hr":
@@ -98,13 +122,18 @@ class _Lines(HTMLParser):
                 if name in LIMITS:
                     break
         attrs = dict(attrs)
-        drops = _dropped(tag, attrs)
-        if not drops and (tag == "header" or tag not in HEADING and _words(attrs) & {"header", "masthead"} and tag not in ("html", "body")):
-            drops = not any(x[0] in REGION for x in self.stack)  # an article's own header has its title
-        self.stack.append([tag, drops, len(self.tags_of)])
-        self.tags_of.append(tag)
-        self.drops += drops
-        self.links += tag == "a"
+        furniture = _furniture(tag, attrs)
+        if not furniture and not self.main and (tag == "header" or tag not in HEADING and tag not in ("html", "body", *MAIN) and any(n.lower() in ("header", "masthead", "site-header", "page-header") for n in _names(attrs))):
+            furniture = True  # an article's own header has its title
+        region = self.stack[-1][3] if self.stack else 0
+        if tag in REGIONS:
+            self.regions.append((region, tag))
+            region = len(self.regions) - 1
+        self.stack.append([tag, tag in UNSEEN, furniture, region])
+        self.unseen += tag in UNSEEN
+        self.furniture += furniture
+        self.main += tag in MAIN
+        self.headings += tag in HEADING
 
     def handle_startendtag(self, tag, attrs) -> None:
         self.handle_starttag(tag, attrs)
@@ -121,15 +150,20 @@ class _Lines(HTMLParser):
                 return
 
     def handle_data(self, data) -> None:
-        if self.drops:
-            return
-        self.text.append(data)
-        if self.links:
-            self.linked += len(data)
+        if not self.unseen:
+            self.text.append(data)
+            if not self.furniture:
+                self.kept.append(data)
+
+    def parse_marked_section(self, i, report=1):
+        return self.parse_bogus_comment(i)
 
+    def unknown_decl(self, data) -> None:
+        """Odd declarations have no text."""
 
-def _smooth(x: list[float], sigma: float = 1.0) -> list[float]:
-    radius = math.ceil(2 * sigma)
+
+def smoothed(x: list[float], sigma: float = 0.6) -> list[float]:
+    radius = math.ceil(3 * sigma)
     kernel = [math.exp(-k * k / (2 * sigma * sigma)) for k in range(-radius, radius + 1)]
     out = []
     for i in range(len(x)):
@@ -138,7 +172,7 @@ def _smooth(x: list[float], sigma: float = 1.0) -> list[float]:
     return out
 
 
-def _threshold(x: list[float]) -> float:
+def threshold(x: list[float]) -> float:
     """Between the means of two clusters of numbers."""
     low, high = min(x), max(x)
     for _ in range(20):
@@ -153,34 +187,82 @@ def _threshold(x: list[float]) -> float:
     return (low + high) / 2
 
 
+def ratios(lines: list[tuple]) -> list[float]:
+    return [math.log1p(len(text) / max(1, tags)) for text, _, tags, *_ in lines]
+
+
+def chosen(lines: list[tuple], regions: list[tuple]) -> list[int]:
+    """The regions of the page, by the clusters of the smoothed ratios of its lines."""
+    level = smoothed(ratios(lines))
+    cut = threshold(level)
+    high, total, own, count = ([0] * len(regions) for _ in range(4))
+    for r, (text, kept, _, heading, at) in zip(level, lines):
+        count[at] += 1
+        if r > cut:
+            high[at] += len(kept)
+            total[at] += len(kept)
+        elif not heading:
+            total[at] -= len(text)
+    best, parts = total, [[] for _ in regions]  # of the elements inside: what they bring in all if taken apart, and which
+    apart = [0] * len(regions)
+    for k in range(len(regions) - 1, -1, -1):
+        if best[k] <= 0 and apart[k] <= 0:
+            own[k], taken = 0, []
+        elif best[k] >= apart[k] or best[k] >= MERGE * apart[k] and len(parts[k]) > 1 and all(count[j] == 1 for j in parts[k]):
+            own[k], taken = best[k], [k]
+        else:
+            own[k], taken = apart[k], parts[k]
+        up = regions[k][0]
+        if up >= 0:
+            best[up] += best[k]
+            high[up] += high[k]
+            count[up] += count[k]
+            apart[up] += own[k]
+            parts[up] = parts[up] + taken if len(parts[up]) > len(taken) else taken + parts[up]
+        else:
+            out = taken
+    if not out:  # low lines outweigh the others everywhere: the least element with all the high ones
+        out = [max((k for k in range(len(regions)) if high[k] == high[0]), default=0)]
+    most = max(high[k] for k in out)
+    return _widened([k for k in out if high[k] >= FURTHER * most], regions, high)
+
+
+def _widened(out: list[int], regions: list[tuple], high: list[int]) -> list[int]:
+    """Article or main elements in the place of regions that lie in them or hold little else."""
+    holder: list[int | None] = []  # the nearest article around, or else main
+    last = list(range(len(regions)))  # the last region inside; regions are numbered as they open
+    for k, (up, tag) in enumerate(regions):
+        around = holder[up] if up >= 0 else None
+        holder.append(k if tag == "article" or tag == "main" and around is None else around)
+    for k in range(len(regions) - 1, 0, -1):
+        last[regions[k][0]] = max(last[regions[k][0]], last[k])
+    outer = [k for k, (up, _) in enumerate(regions) if holder[k] == k and holder[up] is None]
+    new: list[int] = []
+    for k in out:
+        held = [j for j in outer if k < j <= last[k] and high[j]]
+        if holder[k] is not None:
+            new.append(holder[k])
+        elif held and sum(high[j] for j in held) >= 0.8 * high[k]:
+            new += held
+        else:
+            new.append(k)
+    return new
+
+
 def main_text(html: str | None) -> str:
     page = _Lines()
     page.feed(html or "")
     page.close()
     page.pop_to(0)
     page.end_line()
-    lines = page.lines
-    if not lines:
+    if not page.lines:
         return ""
-    ratio = _smooth([len(t) / max(1, tags) for t, tags, *_ in lines])
-    cut = _threshold(ratio)
-    weight: dict[int, int] = {}
-    total = 0
-    for r, (text, _, linked, _, places) in zip(ratio, lines):
-        if r > cut and 2 * linked <= len(text):
-            total += len(text)
-            for p in places:
-                weight[p] = weight.get(p, 0) + len(text)
-    there = {p for x in lines for p in x[4]}
-    regions = [p for p in there if page.tags_of[p] in REGION]
-    if regions:
-        best = max(regions, key=lambda p: (weight.get(p, 0), -p))
-        inner = [p for p in regions if page.tags_of[p] == "article" and weight.get(p, 0) >= 0.9 * weight.get(best, 0)]
-        best = max(inner, key=lambda p: weight.get(p, 0), default=best)
-        return "\n".join(x[0] for x in lines if best in x[4])
-    holding = [p for p, w in weight.items() if w >= 0.9 * total and page.tags_of[p] not in ("p", "li", *HEADING)]
-    best = max(holding, default=None)
-    return "\n".join(text for text, _, linked, heading, places in lines if (best is None or best in places) and (heading or 2 * linked <= len(text)))
+    inside = [False] * len(page.regions)
+    for k in chosen(page.lines, page.regions):
+        inside[k] = True
+    for k in range(1, len(page.regions)):
+        inside[k] = inside[k] or inside[page.regions[k][0]]
+    return "\n".join(kept for _, kept, _, _, at in page.lines if inside[at] and kept)
 
 
 def extracted(pages: DataFrame, key: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:

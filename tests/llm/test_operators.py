@@ -264,7 +264,7 @@ def test_language(spark, docs, odd, none):
 
 
 PAGES = [
-    ("<html><head><title>T</title><style>p{}</style></head><body><header>Site</header><nav><ul><li><a href=x>Menu</a></ul></nav><article><header><h1>Title &amp; more</h1><span class=byline>by X</span></header><p>One  two\n three.<p>Short.<ul><li>a<li>b</ul><aside>side</aside><div class='share-buttons'>share</div></article><div id=comments><p>A long reader comment that goes on and on.</p></div><form>f</form><footer>foot</footer><script>var a='<p>no</p>'</script></body></html>", "Title & more\nOne two three.\nShort.\na\nb"),
+    ("<html><head><title>T</title><style>p{}</style></head><body><header>Site</header><nav><ul><li><a href=x>Menu</a></ul></nav><article><header><h1>Title &amp; more</h1><span class=share-buttons>by X</span></header><p>One  two\n three.<p>Short.<ul><li>a<li>b</ul><aside>side</aside><div class='share-buttons'>share</div></article><div id=comments><p>A long reader comment that goes on and on.</p></div><form>f</form><footer>foot</footer><script>var a='<p>no</p>'</script></body></html>", "Title & more\nOne two three.\nShort.\na\nb"),
     ("<body><div class=menu><a href=1>Home</a> <a href=2>About us and more</a></div><div class=content><h2>Head</h2><div>First paragraph with enough words to count as text.</div><div>Second paragraph with enough words to count as text.</div><p>x</p></div><div class=cookie-notice>We use cookies on this site and tell you so at length.</div></body>", "Head\nFirst paragraph with enough words to count as text.\nSecond paragraph with enough words to count as text.\nx"),
     ("<main><div class=article-header><h1>Name</h1></div><p>Body text that is long enough.<div class=ad-slot>Buy</div></main>", "Name\nBody text that is long enough."),
     ("just text &lt;here&gt;", "just text <here>"),
