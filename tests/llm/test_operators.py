@@ -71,7 +71,7 @@ def test_quality_keeps_good_documents(spark):
 
 
 def test_quality_fit_and_edges(odd, none):
-    shares, tables = quality.fit({(1, 1): 90, (-1, 1): 10}, (0,))
+    shares, tables = quality.fit({(1, 1): 90, (-1, -1): 10}, (1, 1))
     assert shares[0] == pytest.approx(0.9, abs=0.05) and tables[0][-1][1] > tables[0][-1][0]
     assert quality.judged(odd).count() == 11 and quality.judged(none).count() == 0
 
