@@ -1,21 +1,24 @@
 """Removal of passages that occur more than once, by prefix-free parsing.
 
-Texts are parsed into phrases at triggers: the trigger of a window of 200 bytes is the place in it where a rolling hash of 101 bytes is least, and a phrase is
-a run of windows with one trigger. Equal windows have their triggers in equal places, so only phrases with equal trigger strings can hold equal windows,
-whatever surrounds them; no phrase is longer than 100 windows. The dictionary has each phrase, with the bytes that its windows reach over, once.
+Texts are parsed at triggers, places where a rolling hash of 101 bytes is 0 modulo 64. The trigger of a window of 200 bytes is the first in it, or where it has none the
+place with the least hash, and a phrase is a run of windows with one trigger. Equal windows have their triggers in equal places, so only phrases with equal
+trigger strings can hold equal windows, whatever surrounds them; no phrase is longer than 100 windows. The dictionary has each phrase, with the bytes that its
+windows reach over, once.
 
 A phrase that the dictionary has counted twice or more is repeated as a whole, and of all its occurrences only that is recorded. One whose trigger string
 occurs nowhere else has no repeated window. What is left are phrases at the edges of repeated passages: their dictionary entries are brought together
-by trigger string, and their suffixes, cut to 200 bytes, put in groups of equal ones. As nothing longer than a window is asked for, that takes the place of the full
-order of suffixes. Trigger strings with very many entries are compared window by window under keys of their own, so no task gets them whole.
+by trigger string, parsed once more into short phrases, and the suffix arrays of the dictionary and the parse of these (parsing.suffix_order) put all their suffixes in
+corpus order; windows are repeated where neighbours in that order have 200 bytes in common. Equal windows never lie in entries of different trigger strings, so the orders
+of all groups together say all that the order of the whole corpus would. Trigger strings with very many entries are compared window by window under keys of
+their own, so no task gets them whole.
 
 Nulls: a null text is an empty one; a null id stays null. Matches never cross texts; texts under 200 bytes lose nothing. Repeated rows are repeats of each
-other. Hashes are XXH3 and XXH64; entries are told apart by 64 bits within a trigger string of 64 bits. An empty table gives no rows.
+other. Entries are told apart by hashes of 128 bits, 64 of the trigger string and 64 of the whole; windows are compared as bytes, or in crowds by 192 bits. Texts of
+any length are parsed whole, in rounds of 64 kB. An empty table gives no rows. Other columns of the input aren't read.
 """
 
 from __future__ import annotations
 
-import gc
 import hashlib
 
 import numpy as np
@@ -23,13 +26,18 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from accord.llm.common import table, written
+from accord.llm import parsing
+from accord.llm.common import dropped, table, written
 
-#: Bytes of a window; windows among which the least hash is a trigger; bytes of the string at a trigger.
-WINDOW, TRIGGER = 200, 100
+#: Bytes of a window; places of a window that can be its trigger; the modulus, a power of 2; bytes of the string at a trigger.
+WINDOW, TRIGGER, MODULUS = 200, 100, 64
 GRAM = WINDOW - TRIGGER + 1
 #: Entries of one trigger string up to which they are compared in one task.
 MOST_TOGETHER = 4096
+#: Bytes of entries that are put in order at once; groups are never cut.
+AT_ONCE = 1 << 20
+#: Parts over which the entries of a very common trigger string are dealt.
+SALTS = 16
 _BASE = 0x9E3779B97F4A7C15
 
 
@@ -66,7 +74,8 @@ def phrases(raw: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
             h = (sums[GRAM:] - sums[:grams]) * _DOWN[:grams]
             h ^= h >> np.uint64(29)
             h *= np.uint64(0xBF58476D1CE4E5B9)
-        v = (h & ~np.uint64(0xFFFF)) | np.arange(grams, dtype=np.uint64)
+        place = np.arange(grams, dtype=np.uint64)
+        v = np.where(h >> np.uint64(40) & np.uint64(MODULUS - 1), h | np.uint64(1 << 63), np.uint64(0)) & ~np.uint64(0xFFFF) | place
         width = 1
         while width < TRIGGER:
             more = min(width, TRIGGER - width)
@@ -145,19 +154,12 @@ def _small(batches, rows: int = 256):
             yield b.slice(at, rows)
 
 
-def _collected(spark) -> None:
-    """Lets Spark remove the shuffle files of plans that are done with."""
-    gc.collect()
-    spark._jvm.System.gc()
-
-
 _PLACE = "doc bigint, chk int"
 _FINAL = "n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string"
 
 
 def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, n_bytes, n_removed, n_spans, kept_sha256) for each row."""
-    spark = docs.sparkSession
     k, t = F.col(f"`{key}`"), F.col(f"`{text}`")
     docs = docs.select(k.alias("id"), t.alias("text"), F.xxhash64(k, t).alias("doc"), F.hash(t).alias("chk"))
     kind = docs.schema["id"].dataType.simpleString()
@@ -165,15 +167,16 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
     # trigger strings that occur twice or more; mixed: in more than one dictionary entry
     strings = _phrase_rows(docs, False).groupBy("g").agg(F.count("*").alias("n"), F.min("x").alias("a"), F.max("x").alias("b")).where("n > 1")
     strings = written(strings.select(F.col("g").alias("sg"), (F.col("a") != F.col("b")).alias("mixed")), "strings")
-    _collected(spark)
     met = written(_phrase_rows(docs, True).join(strings, F.col("g") == F.col("sg")).drop("sg"), "met")
-    _collected(spark)
+    dropped(strings)
 
     # entries of mixed strings: counted, and one occurrence of each
     mixed = met.where("mixed")
     entries = written(mixed.groupBy("g", "x").agg(F.count("*").alias("c"), F.min(F.struct("doc", "chk", "pos")).alias("at")), "entries")
-    crowd = entries.groupBy("g").agg((F.count("*") > MOST_TOGETHER).alias("crowded"), F.min("c").alias("least")).where("least = 1").select(F.col("g").alias("cg"), "crowded")
-    ask = entries.join(crowd, F.col("g") == F.col("cg")).select("at.doc", "at.chk", "at.pos", F.when(F.col("c") > 1, 2).otherwise(1).alias("role"), "g", "crowded")
+    crowd = entries.groupBy("g").agg((F.count("*") > MOST_TOGETHER).alias("crowded"), F.min("c").alias("least")).where("least = 1")
+    crowd = crowd.select(F.col("g").alias("cg"), "crowded", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("cs"))
+    salted = entries.withColumn("salt", F.pmod("x", F.lit(SALTS)).cast("int"))
+    ask = salted.join(crowd, (F.col("g") == F.col("cg")) & (F.col("salt") == F.col("cs"))).select("at.doc", "at.chk", "at.pos", F.when(F.col("c") > 1, 2).otherwise(1).alias("role"), "g", "crowded")
     sure = entries.where("c > 1").select(F.col("g").alias("eg"), F.col("x").alias("ex"))
     # a join of its own, so that Spark can split the occurrences of a very common entry over tasks
     again = written(mixed.join(sure, (F.col("g") == F.col("eg")) & (F.col("x") == F.col("ex"))).select("doc", "chk", "pos"), "again")
@@ -209,51 +212,51 @@ def repeated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
 
     told = docs.join(marks, (F.col("doc") == F.col("md")) & (F.col("chk") == F.col("mc")), "left").select("id", "doc", "chk", "text", "marks")
     told = written(told.mapInArrow(settle, f"kind int, id {kind}, {_PLACE}, {_FINAL}, raw binary, runs array<bigint>, g bigint, role int, pos bigint, crowded boolean"), "settled")
-    _collected(spark)
+    for done_with in (met, entries, again):
+        dropped(done_with)
 
     def together(batches):
         """Windows of single entries that another entry of the trigger string has too; rows come sorted by trigger string."""
         import pyarrow as pa
 
-        def flush(group, out):
-            if len(group) > 1:
-                hashes = [[_key(x[i : i + WINDOW]) for i in range(len(x) - WINDOW + 1)] for _, _, _, _, x in group]
-                counts: dict = {}
-                for hs in hashes:
-                    for h in hs:
-                        counts[h] = counts.get(h, 0) + 1
-                for (doc, chk, role, pos, _), hs in zip(group, hashes):
-                    if role == 1:
-                        s = pos >> 14
-                        out += [(doc, chk, s + i) for i, h in enumerate(hs) if counts[h] > 1]
-
-        group, at = [], None
+        def ordered(groups):
+            rows = [row for group in groups for row in group]
+            out = []
+            for i, k in zip(*(v.tolist() for v in parsing.repeated([r[4] for r in rows], WINDOW))):
+                doc, chk, role, pos, _ = rows[i]
+                if role == 1:
+                    out.append((doc, chk, (pos >> 14) + k))
+            return _windows(out)
+
+        groups, at, size = [], None, 0
         for b in batches:
-            out: list = []
             for g, *row in zip(*(c.to_pylist() for c in b.columns)):
                 if g != at:
-                    flush(group, out)
-                    group, at = [], g
-                group.append(row)
-            yield _windows(out)
-        out = []
-        flush(group, out)
-        yield _windows(out)
+                    if groups and len(groups[-1]) == 1:
+                        size -= len(groups.pop()[0][4])
+                    if size >= AT_ONCE:
+                        yield ordered(groups)
+                        groups, size = [], 0
+                    groups.append([])
+                    at = g
+                groups[-1].append(row)
+                size += len(row[4])
+        yield ordered(groups)
 
     def apart(batches):
         """Each window under two hashes."""
         import pyarrow as pa
 
         for b in _small(batches):
-            rows = [(g, _key(x[i : i + WINDOW], 1), doc, chk, role, (pos >> 14) + i) for g, doc, chk, role, pos, x in zip(*(c.to_pylist() for c in b.columns)) for i in range(len(x) - WINDOW + 1)]
-            cols = list(zip(*rows)) or [()] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64()])], names=["g", "h", "doc", "chk", "role", "w"])
+            rows = [(g, _key(x[i : i + WINDOW], 1), _key(x[i : i + WINDOW], 2), doc, chk, role, (pos >> 14) + i) for g, doc, chk, role, pos, x in zip(*(c.to_pylist() for c in b.columns)) for i in range(len(x) - WINDOW + 1)]
+            cols = list(zip(*rows)) or [()] * 7
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64()])], names=["g", "h", "h2", "doc", "chk", "role", "w"])
 
     edge = told.where("kind = 2").select("g", "doc", "chk", "role", "pos", "raw", "crowded")
     near = edge.where("not crowded").drop("crowded").repartition("g").sortWithinPartitions("g").mapInArrow(together, f"{_PLACE}, w bigint")
-    windows = edge.where("crowded").drop("crowded").mapInArrow(apart, f"g bigint, h bigint, {_PLACE}, role int, w bigint")
-    twice = windows.groupBy("g", "h").agg(F.count("*").alias("n")).where("n > 1").select(F.col("g").alias("tg"), F.col("h").alias("th"))
-    far = windows.where("role = 1").join(twice, (F.col("g") == F.col("tg")) & (F.col("h") == F.col("th"))).select("doc", "chk", "w")
+    windows = edge.where("crowded").drop("crowded").mapInArrow(apart, f"g bigint, h bigint, h2 bigint, {_PLACE}, role int, w bigint")
+    twice = windows.groupBy("g", "h", "h2").agg(F.count("*").alias("n")).where("n > 1").select(F.col("g").alias("tg"), F.col("h").alias("th"), F.col("h2").alias("ti"))
+    far = windows.where("role = 1").join(twice, (F.col("g") == F.col("tg")) & (F.col("h") == F.col("th")) & (F.col("h2") == F.col("ti"))).select("doc", "chk", "w")
     more = near.union(far).groupBy(F.col("doc").alias("wd"), F.col("chk").alias("wc")).agg(F.collect_list("w").alias("ws"))
 
     def finish(batches):
