@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,6 +31,29 @@ def score(patterns: DataFrame, template_row: DataFrame, metric: str = "js", norm
     return p.withColumn("d", distance.METRICS[metric](F.col("tri"), F.col("template_tri"))).drop("template_tri")
 
 
+def score_packed(patterns: DataFrame, template_row: DataFrame) -> DataFrame:
+    """score() by Jensen-Shannon in Arrow batches, for packed patterns that are normalised already: many patterns, one template of a fixed size."""
+    one = template_row.select("tri").first()  # n * (n - 1) / 2 numbers
+    if one is None:
+        return patterns.where("false").withColumn("d", F.lit(0.0))
+    q = np.array(one.tri, float)
+    keep = [c for c in patterns.columns if c != "tri"]
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            p = b.column(b.num_columns - 1).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1) if b.num_rows else np.zeros((0, len(q)))
+            half = (p + q) / 2
+            with np.errstate(divide="ignore", invalid="ignore"):
+                left = np.where(p > 0, p * np.log(p / half), 0.0)
+                right = np.where(q > 0, q * np.log(q / half), 0.0)
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array((left + right).sum(axis=1) / 2)], names=[*keep, "d"])
+
+    schema = "".join(f"`{c}` {patterns.schema[c].dataType.simpleString()}, " for c in keep)
+    return patterns.select(*keep, "tri").mapInArrow(run, schema + "d double")
+
+
 def threshold(scores: DataFrame, how: str | float = "youden", alpha: float = 0.05) -> float:
     """youden: the score with the largest gap between hits and false alarms; quantile: what 1 - alpha of genuine scores stay under; or a number."""
     from accord.operators import metrics

@@ -76,14 +76,18 @@ ABLATIONS = {
     "full": {},
     "unweighted": {"weight": "none"},
     "score_only": {"weight": "score"},
+    "k_only": {"weight": "k"},
     "no_filter": {"filter": False},
     "cosine": {"grouping": {"metric": "cosine"}},
     "euclid": {"grouping": {"metric": "euclid", "sigma": 8.0}},
     "signed": {"grouping": {"policy": "signed"}},
+    "shift": {"grouping": {"policy": "shift"}},
+    "strict": {"grouping": {"policy": "strict"}},
     "as_printed_laplacian": {"grouping": {"laplacian": "as_printed"}},
     "as_printed_score": {"grouping": {"score": "as_printed"}},
     "embedding_space": {"grouping": {"space": "embedding"}},
-    **{f"k_{k}": {"grouping": {"k_fixed": k}} for k in (2, 4, 8)},
+    "sectors": {"sectors": 6},
+    **{f"k_{k}": {"grouping": {"k_fixed": k}} for k in range(2, 9)},
 }
 
 
@@ -93,5 +97,10 @@ def ablated_groups(df: DataFrame, name: str) -> DataFrame:
 
     o = ABLATIONS[name]
     kept = motion.keep_strong(df) if o.get("filter", True) else df
+    if k := o.get("sectors"):
+        from accord.sources import carriers
+
+        g = grouping.group_score(grouping.sectors(carriers.milli(kept), k), k).withColumn("k", F.col("k_found"))
+        return g.withColumn("w", pattern.weight("k_score")).drop("motion", "motion_m")
     groups = grouping.group_pairs(kept, grouping.Options(**o.get("grouping", {})))
     return groups.withColumn("w", pattern.weight(o.get("weight", "k_score")))

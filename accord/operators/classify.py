@@ -15,9 +15,11 @@ from pyspark.sql import functions as F
 Stump = tuple[int, int, int, float]  # feature, bin, polarity, alpha: polarity if the feature's bin is over `bin`, else -polarity
 
 
-def bin_edges(df: DataFrame, bins: int = 32, accuracy: int = 1000) -> list[list[float]]:
-    """For each feature the inner edges of bins of about equal size. As many numbers as features times bins."""
+def bin_edges(df: DataFrame, bins: int = 32, accuracy: int = 1000, sample_rows: int | None = None) -> list[list[float]]:
+    """For each feature the inner edges of bins of about equal size. As many numbers as features times bins. sample_rows: from so many rows, by hash."""
     at = [i / bins for i in range(1, bins)]
+    if sample_rows is not None:
+        df = df.orderBy(F.xxhash64("features")).limit(sample_rows)
     rows = df.select(F.posexplode("features").alias("f", "x")).groupBy("f").agg(F.percentile_approx("x", F.array(*[F.lit(a) for a in at]), accuracy).alias("edges")).orderBy("f").collect()
     return [list(r.edges) for r in rows]
 
@@ -50,7 +52,7 @@ def _as_matrix(column, rows: int) -> np.ndarray:
     return np.frombuffer(b"".join(raw), np.uint8).reshape(rows, -1) if rows else np.zeros((0, 0), np.uint8)
 
 
-def round_histogram(binned: DataFrame, models: dict[str, list[Stump]]) -> DataFrame:
+def round_histogram(binned: DataFrame, models: dict[str, list], margin=margin) -> DataFrame:
     """(task, f, b, pos, neg): weights by task, class, feature and bin under each task's stumps so far."""
 
     def run(batches):
@@ -90,28 +92,87 @@ def best_stump(hist: DataFrame) -> DataFrame:
     return each.groupBy("task").agg(F.min_by(F.struct("f", "b", F.col("s.polarity").alias("polarity"), (F.col("s.err") / F.col("total")).alias("err")), rank).alias("r")).select("task", "r.*")
 
 
-def boost_fit_many(df: DataFrame, rounds: int = 50, bins: int = 32, most_alpha: float = 5.0) -> tuple[dict[str, list[Stump]], list[list[float]]]:
-    """(stumps of each task, bin edges) from (task, y, features): one job per round for all tasks. A task stops at a stump without error or no better than chance."""
-    edges = bin_edges(df, bins)
-    binned = binize(df.select("task", "y", "features"), edges).persist()
+def boost_binned(binned: DataFrame, rounds: int = 50, most_alpha: float = 5.0) -> dict[str, list[Stump]]:
+    """Stumps of each task from (task, y, bins), which is read once a round: one job per round for all tasks. A task stops at a stump without error or no better than chance."""
     models: dict[str, list[Stump]] = {}
     live: set[str] | None = None
+    for _ in range(rounds):
+        rows = binned if live is None else binned.where(F.col("task").isin(sorted(live)))
+        best = best_stump(round_histogram(rows, models)).collect()  # a row per task
+        live = set()
+        for r in best:
+            if r.err >= 0.5 - 1e-12:
+                continue
+            models.setdefault(r.task, []).append((r.f, r.b, r.polarity, min(most_alpha, 0.5 * math.log((1 - r.err) / max(r.err, 1e-12)))))
+            if r.err > 1e-12:
+                live.add(r.task)
+        if not live:
+            break
+    return models
+
+
+def boost_fit_many(df: DataFrame, rounds: int = 50, bins: int = 32, most_alpha: float = 5.0, sample_rows: int | None = None) -> tuple[dict[str, list[Stump]], list[list[float]]]:
+    """(stumps of each task, bin edges) from (task, y, features)."""
+    edges = bin_edges(df, bins, sample_rows=sample_rows)
+    binned = binize(df.select("task", "y", "features"), edges).persist()
     try:
-        for _ in range(rounds):
-            rows = binned if live is None else binned.where(F.col("task").isin(sorted(live)))
-            best = best_stump(round_histogram(rows, models)).collect()  # a row per task
-            live = set()
-            for r in best:
-                if r.err >= 0.5 - 1e-12:
-                    continue
-                models.setdefault(r.task, []).append((r.f, r.b, r.polarity, min(most_alpha, 0.5 * math.log((1 - r.err) / max(r.err, 1e-12)))))
-                if r.err > 1e-12:
-                    live.add(r.task)
-            if not live:
-                break
+        return boost_binned(binned, rounds, most_alpha), edges
     finally:
         binned.unpersist()
-    return models, edges
+
+
+def boost_predict_binned(df: DataFrame, models: dict[str, list], column: str = "task", real: bool = False) -> DataFrame:
+    """margin and pred of rows with bins by the model that `column` names, in Arrow batches."""
+    of = real_margin if real else margin
+    keep = [c for c in df.columns if c != "bins"]
+    named = keep.index(column)
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            x = _as_matrix(b.column(b.num_columns - 1), b.num_rows)
+            tasks = np.array(b.column(named).to_pylist(), object)
+            out = np.zeros(b.num_rows)
+            for task in set(tasks.tolist()):
+                rows = tasks == task
+                out[rows] = of(x[rows], models.get(task, []))
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(out), pa.array((out > 0).astype(np.int32))], names=[*keep, "margin", "pred"])
+
+    schema = "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in keep)
+    return df.select(*keep, "bins").mapInArrow(run, schema + "margin double, pred int")
+
+
+def best_real_stump(hist: DataFrame) -> DataFrame:
+    """(task, f, b, low, high): each task's stump of least bound on the error; its two sides give half the logarithm of their odds."""
+    from pyspark.sql.window import Window as W
+
+    up = W.partitionBy("task", "f").orderBy("b").rowsBetween(W.unboundedPreceding, 0)
+    whole = W.partitionBy("task", "f")
+    c = hist.select("task", "f", "b", F.sum("pos").over(up).alias("lp"), F.sum("neg").over(up).alias("ln"), F.sum("pos").over(whole).alias("p"), F.sum("neg").over(whole).alias("n"))
+    hp, hn, total = F.greatest(F.col("p") - F.col("lp"), F.lit(0.0)), F.greatest(F.col("n") - F.col("ln"), F.lit(0.0)), F.col("p") + F.col("n")
+    little = total * 1e-3
+    bound = (F.sqrt(F.col("lp") * F.col("ln")) + F.sqrt(hp * hn)) / total
+    side = lambda p, n: 0.5 * F.log((p + little) / (n + little))
+    each = c.select("task", "f", "b", side(F.col("lp"), F.col("ln")).alias("low"), side(hp, hn).alias("high"), F.round(bound, 12).alias("bound"))
+    return each.groupBy("task").agg(F.min_by(F.struct("f", "b", "low", "high", "bound"), F.struct("bound", "f", "b")).alias("r")).select("task", "r.*")
+
+
+def boost_real(binned: DataFrame, rounds: int = 50) -> dict[str, list[tuple[int, int, float, float]]]:
+    """The real-valued variant over (task, y, bins): stumps (feature, bin, value up to the bin, value over it)."""
+    models: dict[str, list[tuple[int, int, float, float]]] = {}
+    for _ in range(rounds):
+        hist = round_histogram(binned, models, real_margin)
+        for r in best_real_stump(hist).collect():  # a row per task
+            models.setdefault(r.task, []).append((r.f, r.b, r.low, r.high))
+    return models
+
+
+def real_margin(bins: np.ndarray, model: list) -> np.ndarray:
+    out = np.zeros(len(bins))
+    for f, cut, low, high in model:
+        out += np.where(bins[:, f] > cut, high, low)
+    return out
 
 
 def boost_fit(df: DataFrame, rounds: int = 50, bins: int = 32) -> tuple[list[Stump], list[list[float]]]:
@@ -230,10 +291,12 @@ def combined_task(df: DataFrame, balance: bool = False, sources: tuple = ("A", "
 
 
 def nearest_mean(train: DataFrame, test: DataFrame, by: list[str]) -> DataFrame:
-    """The cheap scorer: a test pattern gets the class whose mean pattern of the training task is nearer (tall patterns with p; keys `by` and id)."""
+    """The cheap scorer: a test pattern gets the class whose mean pattern of the training task is nearer (tall patterns with p; keys `by` and id).
+
+    The means are broadcast: two patterns for each task, whatever the number of patterns learnt from."""
     means = train.groupBy(*by, "y", "i", "j").agg(F.sum("p").alias("s"))
     sizes = train.select(*by, "y", "id").distinct().groupBy(*by, "y").agg(F.count("*").alias("n"))
     means = means.join(sizes, [*by, "y"]).select(*by, F.col("y").alias("c"), "i", "j", (F.col("s") / F.col("n")).alias("m"))
-    dots = test.join(means, ["i", "j"]).groupBy(*by, "c", "test_source", "id", "y").agg(F.sum(F.col("p") * F.col("m")).alias("dot"))
+    dots = test.join(F.broadcast(means), ["i", "j"]).groupBy(*by, "c", "test_source", "id", "y").agg(F.sum(F.col("p") * F.col("m")).alias("dot"))
     norm = means.groupBy(*by, "c").agg(F.sum(F.col("m") * F.col("m")).alias("mm"))
     return dots.join(norm, [*by, "c"]).groupBy(*by, "test_source", "id", "y").agg(F.min_by("c", F.round(F.col("mm") - 2 * F.col("dot"), 12)).alias("pred"))

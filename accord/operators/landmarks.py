@@ -22,7 +22,12 @@ def grid(df: DataFrame, xs: tuple = GRID_X, ys: tuple = GRID_Y) -> DataFrame:
 def corner_response(px: np.ndarray, n: int) -> list[tuple[float, float]]:
     """The n places of largest corner response (determinant less a share of the squared trace), row by row on ties."""
     gy, gx = np.gradient(px)
-    box = lambda a: sum(np.roll(np.roll(a, i, 0), j, 1) for i in (-1, 0, 1) for j in (-1, 0, 1))
+
+    def box(a: np.ndarray) -> np.ndarray:
+        """Sums over 3 x 3 cells; borders are repeated outwards, nothing comes in from the other side."""
+        wide = np.pad(a, 1, mode="edge")
+        return sum(wide[i : i + a.shape[0], j : j + a.shape[1]] for i in range(3) for j in range(3))
+
     xx, yy, xy = box(gx * gx), box(gy * gy), box(gx * gy)
     r = xx * yy - xy * xy - 0.05 * (xx + yy) ** 2
     order = np.argsort(-r.ravel(), kind="stable")[:n]
@@ -33,6 +38,12 @@ def corner_response(px: np.ndarray, n: int) -> list[tuple[float, float]]:
 DETECTORS: dict[str, Callable] = {"corner_response": corner_response}
 
 
+def from_table(images: DataFrame, points: DataFrame) -> DataFrame:
+    """The table detector: landmarks that some other program has found. points (video_id, t, lm, lx, ly), sorted by lm and packed; frames without any have none."""
+    packed = points.groupBy(F.col("video_id").alias("its_video"), F.col("t").alias("its_t")).agg(F.transform(F.array_sort(F.collect_list(F.struct("lm", F.col("lx").cast("double").alias("x"), F.col("ly").cast("double").alias("y")))), lambda p: F.struct(p["x"].alias("x"), p["y"].alias("y"))).alias("landmarks"))
+    return images.join(packed, (F.col("video_id") == F.col("its_video")) & (F.col("t") == F.col("its_t")), "left").drop("its_video", "its_t")
+
+
 def detect(images: DataFrame, detector: str | Callable, n: int) -> DataFrame:
     """Adds landmarks array<struct<x,y>> to packed images by any detector."""
     f = DETECTORS[detector] if isinstance(detector, str) else detector

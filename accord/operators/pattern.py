@@ -7,7 +7,10 @@ diagonal cell equals the sum of weights. Tall form: key columns, i, j (i > j), w
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
@@ -19,9 +22,15 @@ def agreement(df: DataFrame, *keep: str) -> DataFrame:
     return cells.select(*keep, "i", "own", F.posexplode(F.slice("labels", 1, F.col("i"))).alias("j", "other")).select(*keep, "i", "j", (F.col("own") == F.col("other")).cast("int").alias("rho"))
 
 
-def weight(mode: str = "k_score", cap: float | None = None) -> Column:
+def agreement_rows(df: DataFrame, *keep: str) -> DataFrame:
+    """(keep, i, cells): the same, a row of the triangle as array<int>, without a row for each cell."""
+    rows = df.select(*keep, "labels", F.posexplode("labels").alias("i", "own")).where("i > 0")
+    return rows.select(*keep, "i", F.transform(F.slice("labels", 1, F.col("i")), lambda x: (x == F.col("own")).cast("int")).alias("cells"))
+
+
+def weight(mode: str = "k_score", cap: float | Column | None = None) -> Column:
     """The weight of a pair from its columns k and score: k_score, score, k or none; scores over cap count as cap."""
-    score = F.col("score") if cap is None else F.least("score", F.lit(cap))
+    score = F.col("score") if cap is None else F.least("score", cap if isinstance(cap, Column) else F.lit(cap))
     return {"k_score": F.col("k") * score, "score": score, "k": F.col("k").cast("double"), "none": F.lit(1.0)}[mode]
 
 
@@ -42,12 +51,10 @@ def totals(df: DataFrame, by: list[str], w: str = "w") -> DataFrame:
 
 
 def build(df: DataFrame, by: list[str], w: str = "w") -> DataFrame:
-    """Packed patterns in two steps: sums per key within each batch of pairs, then one row per key and batch is dealt and merged by cell."""
+    """Packed patterns in two steps: sums per key within each batch of pairs, then one row per key and batch is dealt and added up."""
     names = [*by, "tri", "diag", "n_pairs", "n"]
 
     def run(batches):
-        import pyarrow as pa
-
         for b in batches:
             if not b.num_rows:
                 continue
@@ -78,11 +85,97 @@ def build(df: DataFrame, by: list[str], w: str = "w") -> DataFrame:
 
 
 def merge(patterns: DataFrame, by: list[str]) -> DataFrame:
-    """Adds packed patterns of equal keys cell by cell: patterns are sums, so they can be merged in any order."""
-    cells = patterns.select(*by, "n", F.posexplode("tri").alias("cell", "w")).groupBy(*by, "n", "cell").agg(F.sum("w").alias("w"))
-    tri = cells.groupBy(*by, "n").agg(F.transform(F.array_sort(F.collect_list(F.struct("cell", "w"))), lambda c: c["w"]).alias("tri"))
-    rest = patterns.groupBy(*by, "n").agg(F.sum("diag").alias("diag"), F.sum("n_pairs").alias("n_pairs"))
-    return tri.join(rest, [*by, "n"]).select(*by, "tri", "diag", "n_pairs", "n")
+    """Adds packed patterns of equal keys cell by cell: patterns are sums, so they can be merged in any order. One exchange of packed rows, added up as they are read."""
+    names = [*by, "n", "tri", "diag", "n_pairs"]
+    kinds = [t for _, t in _arrow_types(patterns, [*by, "n"])]
+
+    def add(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tri, diag, n_pairs = 0.0, 0.0, 0
+        for b in batches:
+            if b.num_rows:
+                tri = tri + b.column(b.schema.get_field_index("tri")).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1).sum(axis=0)
+                diag += float(np.sum(b.column(b.schema.get_field_index("diag")).to_numpy(zero_copy_only=False)))
+                n_pairs += int(np.sum(b.column(b.schema.get_field_index("n_pairs")).to_numpy(zero_copy_only=False)))
+        values = [*[pa.array([k.as_py()], t) for k, t in zip(key, kinds)], pa.array([np.asarray(tri)], pa.list_(pa.float64())), pa.array([diag]), pa.array([n_pairs], pa.int64())]
+        yield pa.RecordBatch.from_arrays(values, names=names)
+
+    schema = "".join(f"`{c}` {patterns.schema[c].dataType.simpleString()}, " for c in by) + "n int, tri array<double>, diag double, n_pairs bigint"
+    return patterns.select(*names).groupBy(*by, "n").applyInArrow(add, schema).select(*by, "tri", "diag", "n_pairs", "n")
+
+
+def _arrow_types(df: DataFrame, names: list[str]) -> list:
+    from pyspark.sql.pandas.types import to_arrow_type
+
+    return [(c, to_arrow_type(df.schema[c].dataType)) for c in names]
+
+
+def subtract(whole: DataFrame, part: DataFrame, by: list[str]) -> DataFrame:
+    """Packed patterns of whole without the pairs that part has summed: the inverse of merge()."""
+    minus = part.withColumn("tri", F.transform("tri", lambda x: -x)).withColumn("diag", -F.col("diag")).withColumn("n_pairs", -F.col("n_pairs"))
+    return merge(whole.select(*by, "n", "tri", "diag", "n_pairs").unionByName(minus.select(*by, "n", "tri", "diag", "n_pairs")), by)
+
+
+def prefixes(df: DataFrame, by: list[str], ns: tuple[int, ...], order: str = "draw", w: str = "w", normalise: bool = True) -> DataFrame:
+    """(by, n_pick, tri, diag, n): for each key the patterns of its first n pairs in the given order, for all n at once: sums are carried on from one n to the next.
+
+    order counts from 0. A key has as many pairs as the largest n at most; of a key with fewer, the larger n have what there is. Rows are dealt by key once.
+    """
+    kinds = _arrow_types(df, by)
+    names = [*by, "n_pick", "tri", "diag", "n"]
+
+    def run(batches):
+        held = None
+        for b in batches:
+            if not b.num_rows:
+                continue
+            table = pa.Table.from_batches([b]) if held is None else pa.concat_tables([held, pa.Table.from_batches([b])])
+            keys = [table.column(c).to_pylist() for c in by]
+            new = [0, *[i for i in range(1, table.num_rows) if any(k[i] != k[i - 1] for k in keys)]]
+            if len(new) > 1:
+                yield done(table.slice(0, new[-1]), new[:-1])
+            held = table.slice(new[-1])
+        if held is not None:
+            yield done(held, [0])
+
+    def done(table, starts):
+        labels, weights, places = (table.column(c).combine_chunks() for c in ("labels", w, order))
+        weights, places = weights.to_numpy(zero_copy_only=False).astype(float), places.to_numpy(zero_copy_only=False)
+        lengths, flat = np.asarray(labels.value_lengths()), labels.flatten().to_numpy(zero_copy_only=False)
+        at = np.concatenate([[0], np.cumsum(lengths)])
+        out: dict[str, list] = {c: [] for c in names}
+        for s, e in zip(starts, [*starts[1:], table.num_rows]):
+            n = int(lengths[s])
+            lab = flat[at[s] : at[e]].reshape(e - s, n)
+            i, j = np.tril_indices(n, -1)
+            band = np.searchsorted(np.array(ns), places[s:e] + 1)
+            keep = band < len(ns)
+            cells = np.zeros((len(ns), len(i)))
+            diag = np.zeros(len(ns))
+            same = (lab[:, i] == lab[:, j]) * weights[s:e, None]
+            np.add.at(cells, band[keep], same[keep])
+            np.add.at(diag, band[keep], weights[s:e][keep])
+            cells, diag = cells.cumsum(axis=0), diag.cumsum()
+            if normalise:
+                total = 2 * np.abs(cells).sum(axis=1) + n * np.abs(diag)
+                total[total == 0] = np.nan
+                cells, diag = cells / total[:, None], diag / total
+            row = table.slice(s, 1)
+            for c in by:
+                out[c] += [row.column(c)[0].as_py()] * len(ns)
+            out["n_pick"] += list(ns)
+            out["tri"] += list(cells)
+            out["diag"] += diag.tolist()
+            out["n"] += [n] * len(ns)
+        return pa.RecordBatch.from_pydict(out, schema=pa.schema([*kinds, ("n_pick", pa.int32()), ("tri", pa.list_(pa.float64())), ("diag", pa.float64()), ("n", pa.int32())]))
+
+    schema = "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in by) + "n_pick int, tri array<double>, diag double, n int"
+    rows = df.where((F.col(order) < max(ns)) & F.col(w).isNotNull() & ~F.isnan(F.col(w).cast("double"))).select(*by, order, "labels", w)
+    return rows.repartition(*by).sortWithinPartitions(*by, order).mapInArrow(run, schema)
+
+
+def score_cap(groups: DataFrame, share: float = 0.9) -> DataFrame:
+    """One row (cap): the score that a share of pairs stay under. Indices in the space of eigenvectors have no bound; weight() takes it as a cap."""
+    return groups.agg(F.percentile("score", F.lit(share)).alias("cap"))
 
 
 def l1(df: DataFrame) -> DataFrame:

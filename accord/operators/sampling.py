@@ -25,14 +25,21 @@ def pick_n(df: DataFrame, n: int, pool: str = "video_id", seed: int = 0, short:
     return out.where(F.col("pick") <= n)
 
 
-def pattern_sets(df: DataFrame, m: int, n: int, pool: str = "source", seed: int = 0) -> DataFrame:
-    """m sets of n pairs for each pool, drawn one by one: pattern_id and pick join the columns of df.
+def pattern_sets(df: DataFrame, m: int, n: int, pool: str = "source", seed: int = 0, share: str | None = None) -> DataFrame:
+    """m sets of n pairs for each pool, drawn one by one: pattern_id and draw join the columns of df. share: the m sets are shared out among the pools with one value of it.
 
     Draw k of a set takes the pair whose place in the pool's hash order is another hash of the set and k, so a set needs no sort of its own.
     """
     placed = ranked(df, pool, seed)
-    sizes = placed.groupBy(F.col(pool).alias("its_pool")).agg(F.max("pick").alias("size"))
-    draws = sizes.select("its_pool", "size", F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("pattern_id")).withColumn("draw", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
+    keys = [F.col(pool).alias("its_pool")] if share is None else [F.col(pool).alias("its_pool"), F.col(share).alias("its_share")]
+    sizes = placed.groupBy(*keys).agg(F.max("pick").alias("size"))  # a row for each pool
+    if share is None:
+        sizes = sizes.withColumn("its_sets", F.lit(m))
+    else:
+        among = W.partitionBy("its_share")
+        place, count = F.row_number().over(among.orderBy("its_pool")) - 1, F.count("*").over(among)
+        sizes = sizes.withColumn("its_sets", (F.floor(m / count) + (place < m % count).cast("int")).cast("int")).where("its_sets > 0")
+    draws = sizes.select("its_pool", "size", F.explode(F.sequence(F.lit(0), F.col("its_sets") - 1)).alias("pattern_id")).withColumn("draw", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
     at = F.conv(F.substring(order_of("its_pool", "pattern_id", "draw", seed=seed + 1), 1, 12), 16, 10).cast("bigint")
     draws = draws.withColumn("its_pick", (at % F.col("size") + 1).cast("int")).select("its_pool", "pattern_id", "draw", "its_pick")
     return draws.join(placed, (F.col(pool) == F.col("its_pool")) & (F.col("pick") == F.col("its_pick"))).drop("its_pool", "its_pick", "pick")

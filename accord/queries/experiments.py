@@ -5,16 +5,20 @@ They run on planted motion, so their figures show how the measures move, not wha
 
 from __future__ import annotations
 
+import functools
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from accord.operators import anomaly, baselines, classify, distance, grouping, metrics, motion, pattern, robustness, sampling
+from accord.operators import anomaly, baselines, classify, distance, explain, flow, grouping, landmarks, metrics, motion, pattern, robustness, sampling
 from accord.queries.method import query
 from accord.scratch import written
 from accord.sources import carriers
 
 NS = (1, 10, 35, 70)
 TASKS = ("A", "B", "C", "D")
+#: Patterns of each source and half, pairs of a template, rounds of boosting, and the patterns from which bin edges are taken.
+PATTERNS, TEMPLATE, ROUNDS, EDGE_ROWS = 2000, 3000, 15, 2000
 
 
 def pool(spark, d, df: DataFrame | None = None, o: grouping.Options = grouping.Options()) -> DataFrame:
@@ -24,17 +28,19 @@ def pool(spark, d, df: DataFrame | None = None, o: grouping.Options = grouping.O
     return written(grouping.group_pairs(pairs, o).withColumn("w", pattern.weight("k_score")), "pool")
 
 
-def sets(groups: DataFrame, n: int, m: int = 60) -> DataFrame:
-    """Packed patterns (source, half, y, pattern_id) of n pairs, m of each source and half."""
-    return pattern.build(sampling.pattern_sets(groups, m, n, "pool"), ["source", "half", "y", "pattern_id"])
+def sets(groups: DataFrame, ns: tuple = NS, m: int = PATTERNS, of: str = "pool") -> DataFrame:
+    """Packed patterns (source, half, y, pool, pattern_id, n_pick) of length 1, for all n in one plan: the draws of a smaller n are the first ones of a larger.
 
+    m patterns of each source and half; of: pool draws over the source, video_id within single videos, among which the patterns are shared out."""
+    draws = sampling.pattern_sets(groups, m, max(ns), of) if of == "pool" else sampling.pattern_sets(groups, m, max(ns), of, share="pool")
+    return pattern.prefixes(draws, ["source", "half", "y", of, "pattern_id"], ns)
 
-def features(groups: DataFrame, ns: tuple = NS, m: int = 60) -> DataFrame:
-    out = None
-    for n in ns:
-        one = pattern.features(pattern.l1(sets(groups, n, m))).select("source", "half", "y", "pattern_id", "features").withColumn("n_pick", F.lit(n))
-        out = one if out is None else out.unionByName(one)
-    return out
+
+def binned(rows: DataFrame, bins: int = 32) -> tuple[DataFrame, list]:
+    """Patterns as written bins, and their edges, which are taken from EDGE_ROWS patterns."""
+    rows = written(rows.withColumnRenamed("tri", "features").drop("diag", "n"), "patterns")
+    edges = classify.bin_edges(rows, bins, sample_rows=EDGE_ROWS)
+    return written(classify.binize(rows, edges), "bins"), edges
 
 
 def tasks(rows: DataFrame) -> DataFrame:
@@ -43,81 +49,157 @@ def tasks(rows: DataFrame) -> DataFrame:
     return each.withColumn("forged", F.col("task")).withColumn("task", F.concat_ws("/", "task", F.col("n_pick").cast("string")))
 
 
+def judged(rows: DataFrame, rounds: int = ROUNDS) -> DataFrame:
+    """Boosted stumps learnt on half a (rows with task, y, bins), judging half b."""
+    return classify.boost_predict_binned(rows.where("half = 'b'"), classify.boost_binned(rows.where("half = 'a'"), rounds))
+
+
 @query("experiment_accuracy")
 def experiment_accuracy(spark, d):
-    """Accuracy of boosted stumps on videos' other half, by forged source (and all of them) and N: 20 cells."""
-    rows = tasks(features(pool(spark, d))).persist()
-    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=15)
-    judged = classify.boost_predict_many(rows.where("half = 'b'"), models, edges)
-    return metrics.accuracy(judged, "forged", "n_pick")
+    """Accuracy of boosted stumps on videos' other half, by forged source (and all of them) and N, patterns drawn over a source: 20 cells."""
+    return metrics.accuracy(judged(tasks(binned(sets(pool(spark, d)))[0])), "forged", "n_pick")
+
+
+@query("experiment_accuracy_video")
+def experiment_accuracy_video(spark, d):
+    """The same with the pairs of a pattern drawn from one video."""
+    return metrics.accuracy(judged(tasks(binned(sets(pool(spark, d), of="video_id").drop("video_id"))[0])), "forged", "n_pick")
 
 
 @query("experiment_null")
 def experiment_null(spark, d):
     """The same on the carrier whose labels carry no signal: accuracy should be about a half."""
     e = carriers.emb(spark, d)
-    g = grouping.group_pairs(e.withColumn("pool", F.concat_ws("/", "source", "half"))).withColumn("w", pattern.weight("k_score"))
-    rows = classify.binary_tasks(features(g, (10,), 40)).persist()
-    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=10, bins=16)
-    return metrics.accuracy(classify.boost_predict_many(rows.where("half = 'b'"), models, edges), "task")
+    g = written(grouping.group_pairs(e.withColumn("pool", F.concat_ws("/", "source", "half"))).withColumn("w", pattern.weight("k_score")), "pool")
+    rows = classify.binary_tasks(binned(sets(g, (10,)), 16)[0])
+    return metrics.accuracy(judged(rows), "task")
+
+
+def scored(g: DataFrame, ns: tuple = NS, m: int = PATTERNS, template_source: str = "R") -> DataFrame:
+    """(task, n_pick, source, y, d): distances of half b's patterns to a template of half a's genuine pairs, genuine ones in every task."""
+    template = anomaly.template(g.where("half = 'a'"), TEMPLATE, template_source)
+    s = anomaly.score_packed(sets(g.where("half = 'b'"), ns, m), template).withColumn("d", F.round("d", 9))
+    forged = s.where("y = 1").withColumn("task", F.col("source"))
+    return forged.unionByName(s.where("source = 'R'").withColumn("task", F.explode(F.array(*[F.lit(x) for x in TASKS]))))
 
 
 @query("experiment_auc")
 def experiment_auc(spark, d):
     """One-class AUC by forged source and N: distance to a template of genuine pairs of the other half."""
-    g = pool(spark, d)
-    return _auc(g).select("task", "n_pick", "auc")
+    return metrics.auc(scored(pool(spark, d)), "task", "n_pick").select("task", "n_pick", "auc")
 
 
-def _auc(g: DataFrame, ns: tuple = NS, template_source: str = "R") -> DataFrame:
-    template = anomaly.template(g.where("half = 'a'"), 3000, template_source)
-    out = None
-    for n in ns:
-        s = anomaly.score(sets(g.where("half = 'b'"), n), template).withColumn("n_pick", F.lit(n))
-        out = s if out is None else out.unionByName(s)
-    forged = out.where("y = 1").withColumn("task", F.col("source"))
-    both = forged.unionByName(out.where("source = 'R'").withColumn("task", F.explode(F.array(*[F.lit(x) for x in TASKS]))))
-    return metrics.auc(both.withColumn("d", F.round("d", 9)), "task", "n_pick")
+@query("experiment_roc")
+def experiment_roc(spark, d):
+    """The curves behind it: false alarms and hits at every score, by forged source and N."""
+    return metrics.roc(scored(pool(spark, d)), "task", "n_pick")
+
+
+@query("experiment_equal_error")
+def experiment_equal_error(spark, d):
+    """Equal error rate of the same scores."""
+    return metrics.equal_error(metrics.roc(scored(pool(spark, d)), "task", "n_pick"), "task", "n_pick")
+
+
+@query("experiment_cross_real")
+def experiment_cross_real(spark, d):
+    """Distances of genuine and forged sources to a template of the second genuine source, N = 35."""
+    g = pool(spark, d)
+    s = anomaly.score_packed(sets(g.where("half = 'b'"), (35,)), anomaly.template(g.where("half = 'a'"), TEMPLATE, "R2"))
+    return s.groupBy("source").agg(F.count("*").alias("n"), F.round(F.avg("d"), 6).alias("mean_d"))
 
 
 @query("experiment_robustness")
 def experiment_robustness(spark, d):
-    """Source A at N = 35 under the four grades: one-class AUC, and its loss against the raw grade."""
+    """Source A at N = 35 under the four grades: accuracy of boosted stumps and one-class AUC, and their losses against the raw grade: 8 cells."""
     face = carriers.milli(carriers.face(spark, d)).where("source IN ('R', 'A')")
     out = None
     for grade in robustness.GRADES:
         g = robustness.graded(face, grade)
         back = g.withColumn("motion", F.transform("motion_m", lambda v: F.struct((v["x"] / 1000.0).alias("dx"), (v["y"] / 1000.0).alias("dy")))).drop("motion_m")
-        one = _auc(pool(spark, d, back), (35,)).withColumn("grade", F.lit(grade)).where("task = 'A'")
+        its = pool(spark, d, back)
+        auc = metrics.auc(scored(its, (35,)).where("task = 'A'"), "task").select("auc")
+        rows = binned(sets(its, (35,)))[0].withColumn("task", F.lit("A"))
+        one = metrics.accuracy(judged(rows), "task").select("accuracy").crossJoin(F.broadcast(auc)).withColumn("grade", F.lit(grade))  # one row
         out = one if out is None else out.unionByName(one)
-    return metrics.delta(out.select("grade", "auc"), "raw", "auc")
+    out = written(out, "grades")
+    acc = metrics.delta(out.select("grade", "accuracy"), "raw", "accuracy").withColumnRenamed("loss", "accuracy_loss")
+    return acc.join(metrics.delta(out.select("grade", "auc"), "raw", "auc").withColumnRenamed("loss", "auc_loss"), "grade")
+
+
+@query("experiment_pixels")
+def experiment_pixels(spark, d):
+    """The grades on the pixels of images, before motion is estimated: flow, pooling and groups anew for each, against those of the raw images."""
+    out = None
+    for grade in robustness.GRADES:
+        images = robustness.graded_images(carriers.img(spark, d), grade)
+        flows = flow.estimate(flow.pack_pairs(images.drop("grade")))
+        one = grouping.group_pairs(landmarks.motion_of(flows), keep=["video_id", "t"]).withColumn("grade", F.lit(grade))
+        out = one if out is None else out.unionByName(one)
+    out = written(out, "grades")
+    raw = out.where("grade = 'raw'").select(F.col("video_id").alias("v"), F.col("t").alias("u"), F.col("labels").alias("first"))
+    same = F.transform(F.sequence(F.lit(1), F.size("labels") - 1), lambda i: F.size(F.filter(F.sequence(F.lit(0), i - 1), lambda j: (F.get("labels", i) == F.get("labels", j)) == (F.get("first", i) == F.get("first", j)))))
+    hits = F.aggregate(same, F.lit(0), lambda a, x: a + x) / (F.size("labels") * (F.size("labels") - 1) / 2)
+    both = out.join(raw, (F.col("video_id") == F.col("v")) & (F.col("t") == F.col("u"))).withColumn("rand", hits)
+    return both.groupBy("grade").agg(F.count("*").alias("n_pairs"), F.round(F.avg("rand"), 6).alias("rand_to_raw"), F.round(F.avg("k"), 4).alias("mean_k"))
 
 
 @query("experiment_transfer")
 def experiment_transfer(spark, d):
-    """Accuracy on each source of a model learnt on another one, N = 35, boosted stumps."""
-    rows = classify.binary_tasks(features(pool(spark, d), (35,))).persist()
-    models, edges = classify.boost_fit_many(rows.where("half = 'a'"), rounds=15)
-    test = rows.where("half = 'b'").withColumnRenamed("task", "test_source").withColumn("train_source", F.explode(F.array(*[F.lit(x) for x in TASKS]))).where("train_source <> test_source")
-    judged = classify.boost_predict_many(test, models, edges, "train_source")
-    return metrics.accuracy(judged, "train_source", "test_source")
+    """Accuracy on each source of a model learnt on another one, boosted stumps, for every N."""
+    rows = classify.binary_tasks(binned(sets(pool(spark, d)))[0]).withColumn("source_task", F.col("task")).withColumn("task", F.concat_ws("/", "task", F.col("n_pick").cast("string")))
+    models = classify.boost_binned(rows.where("half = 'a'"), ROUNDS)
+    test = rows.where("half = 'b'").withColumnRenamed("source_task", "test_source").withColumn("train_source", F.explode(F.array(*[F.lit(x) for x in TASKS]))).where("train_source <> test_source")
+    test = test.withColumn("model", F.concat_ws("/", "train_source", F.col("n_pick").cast("string")))
+    return metrics.accuracy(classify.boost_predict_binned(test, models, "model"), "train_source", "test_source", "n_pick")
 
 
 @query("experiment_twin")
 def experiment_twin(spark, d):
-    """The same vectors under the genuine rule and under source A's, as N grows: distance of each prefix to its own end, and of both to each other."""
+    """Each genuine video and the same vectors forged by source A's rule, as N grows: distance of each prefix to its own end, and of both to each other."""
     out = None
     for rule in ("R", "A"):
-        one = carriers.face(spark, d, twin=rule).where("half = 'a' AND source = 'R'").withColumn("rule", F.lit(rule))
+        one = carriers.face(spark, d, twin=rule).where("source = 'R'").withColumn("rule", F.lit(rule)).withColumn("video_id", F.concat_ws("/", "video_id", F.lit(rule)))
         out = one if out is None else out.unionByName(one)
-    g = grouping.group_pairs(sampling.ranked(motion.keep_strong(out), "rule")).withColumn("w", pattern.weight("k_score"))
-    by = ["rule", "n_pick"]
-    grow = g.where("pick <= 200").withColumn("n_pick", F.explode(F.array(*[F.lit(n) for n in (*NS, 200)]))).where("pick <= n_pick")
-    p = pattern.l1(pattern.build(grow, by)).select(*by, "tri")
-    end = p.where("n_pick = 200").select(F.col("rule").alias("r2"), F.col("tri").alias("end_tri"))
-    own = p.join(F.broadcast(end), F.col("rule") == F.col("r2")).select("rule", "n_pick", F.round(distance.js(F.col("tri"), F.col("end_tri")), 6).alias("to_end"))  # two rows
-    a, b = p.where("rule = 'R'").select("n_pick", F.col("tri").alias("ta")), p.where("rule = 'A'").select("n_pick", F.col("tri").alias("tb"))
-    return own.join(a.join(b, "n_pick").select("n_pick", F.round(distance.js(F.col("ta"), F.col("tb")), 6).alias("apart")), "n_pick")
+    g = grouping.group_pairs(sampling.ranked(motion.keep_strong(out))).withColumn("w", pattern.weight("k_score")).withColumn("draw", F.col("pick") - 1)
+    ns, whole = NS, 1 << 30
+    p = written(pattern.prefixes(g, ["video_id", "rule"], (*ns, whole)).withColumn("video", F.split_part("video_id", F.lit("/"), F.lit(1))), "twins")
+    end = p.where(F.col("n_pick") == whole).select(F.col("video_id").alias("v"), F.col("tri").alias("end_tri"))
+    own = p.join(end, F.col("video_id") == F.col("v")).select("video", "rule", "n_pick", F.round(distance.js(F.col("tri"), F.col("end_tri")), 6).alias("to_end"))
+    a, b = (p.where(F.col("rule") == r).select("video", "n_pick", F.col("tri").alias(c)) for r, c in (("R", "ta"), ("A", "tb")))
+    apart = a.join(b, ["video", "n_pick"]).select("video", "n_pick", F.round(distance.js(F.col("ta"), F.col("tb")), 6).alias("apart"))
+    return own.join(apart, ["video", "n_pick"]).where(F.col("n_pick") < whole)
+
+
+@query("experiment_mean_agreement")
+def experiment_mean_agreement(spark, d):
+    """Mean of 1,000 spectral agreement matrices of each source: structure of the facial components, by source."""
+    s = explain.structure_checks(explain.mean_agreement(pool(spark, d), 1000))
+    return s.select("source", *[F.round(c, 6).alias(c) for c in ("eyes", "upper_face", "brow_eye", "lip_opposition")])
+
+
+@query("experiment_score_space")
+def experiment_score_space(spark, d):
+    """One-class AUC at N = 35 with the validity index in either space, without a cap and capped at what 90 % of genuine training pairs stay under."""
+    out = None
+    for space in ("motion", "embedding"):
+        g = pool(spark, d, o=grouping.Options(space=space))
+        cap = F.broadcast(pattern.score_cap(g.where("source = 'R' AND half = 'a'")))  # one row
+        for name, its in (("none", g), ("p90", g.crossJoin(cap).withColumn("w", pattern.weight("k_score", F.col("cap"))).drop("cap"))):
+            one = metrics.auc(scored(its, (35,)), "task").select(F.lit(space).alias("space"), F.lit(name).alias("cap"), "task", "auc")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("experiment_calibrated")
+def experiment_calibrated(spark, d):
+    """The filter's threshold from 100 videos of the same data: the quantile of their magnitudes, and the AUC at N = 35 with it."""
+    face = carriers.face(spark, d)
+    tau = written(motion.calibrate(face), "tau")
+    pairs = motion.keep_strong(face, tau=tau).withColumn("pool", F.concat_ws("/", "source", "half"))
+    g = written(grouping.group_pairs(pairs).withColumn("w", pattern.weight("k_score")), "pool")
+    auc = metrics.auc(scored(g, (35,)), "task").select("task", "auc")
+    return auc.crossJoin(F.broadcast(tau.select(F.round("tau", 6).alias("tau"))))  # one row
 
 
 @query("experiment_documents")
@@ -138,46 +220,63 @@ def experiment_documents(spark, d):
 
 @query("experiment_baselines")
 def experiment_baselines(spark, d):
-    """Stand-ins for published baselines on source A against genuine videos: trained on one half of the vectors, judged on the other."""
-    face = motion.keep_strong(carriers.face(spark, d)).where("source IN ('R', 'A')").persist()
-    a, b = face.where("half = 'a'"), face.where("half = 'b'")
-    out = [("single_frame", baselines.frame_vote(a, b, "lr"))]
-    for name, make, kind in (("recurrent", baselines.recurrent_features, "lr"), ("first_order", baselines.first_order, "mlp")):
-        out.append((name, classify.mllib_predict(make(b), classify.mllib_fit(make(a), kind))))
-    e = carriers.read(spark, d, "embeddings").select(F.concat_ws("-", F.col("label").cast("string"), carriers.half_of(F.col("vec_id")), (F.col("vec_id") % 8).cast("string")).alias("video_id"), carriers.source_of(F.col("label")).alias("source"), F.when(F.col("label") % 5 == 0, 0).otherwise(1).alias("y"), F.col("vec_id").alias("t"), F.col("embedding").alias("vector"), carriers.half_of(F.col("vec_id")).alias("half")).where("source IN ('R', 'A')")
-    seq = baselines.embedding_sequence
-    out.append(("embedding_sequence", classify.mllib_predict(seq(e.where("half = 'b'")), classify.mllib_fit(seq(e.where("half = 'a'")), "gbt"))))
-    r = baselines.noise_score(baselines.noise_residual(carriers.tall(carriers.face(spark, d).where("source IN ('R', 'A')"), "source", "y")))
-    out.append(("noise_residual", r.withColumn("pred", (F.col("d") >= 2).cast("int"))))
-    rows = None
-    for name, judged in out:
-        one = metrics.accuracy(judged.withColumn("baseline", F.lit(name)), "baseline")
-        rows = one if rows is None else rows.unionByName(one)
-    return rows
+    """Stand-ins for published baselines and the method itself (N = 35), on every forged source and all of them against genuine videos: trained on one half of the vectors,
+    judged on the other."""
+    face = written(motion.keep_strong(carriers.face(spark, d)), "strong")
+    made = {name: written(f(face).withColumn("half", F.element_at(F.split("video_id", "-"), -1)), "features") for name, f in (("recurrent", baselines.recurrent_features), ("first_order", baselines.first_order))}
+    e = carriers.read(spark, d, "embeddings").select(F.concat_ws("-", F.col("label").cast("string"), (F.col("vec_id") % 8).cast("string"), carriers.half_of(F.col("vec_id"))).alias("video_id"), carriers.source_of(F.col("label")).alias("source"), F.when(F.col("label") % 5 == 0, 0).otherwise(1).alias("y"), F.col("vec_id").alias("t"), F.col("embedding").alias("vector"))
+    made["embedding_sequence"] = written(baselines.embedding_sequence(e).withColumn("half", F.element_at(F.split("video_id", "-"), -1)), "features")
+    residual = written(baselines.noise_residual(carriers.tall(carriers.face(spark, d), "source", "y")), "residuals")
+    method = judged(tasks(binned(sets(pool(spark, d), (35,)))[0]))
+    out = [metrics.accuracy(method, "forged").select(F.lit("method").alias("baseline"), F.col("forged").alias("task"), "n", "accuracy")]
+    for task, sources in (*((s, (s,)) for s in TASKS), ("combined", TASKS)):
+        mine = F.col("source").isin("R", *sources)
+        a, b = face.where(mine & (F.col("half") == "a")), face.where(mine & (F.col("half") == "b"))
+        rows = [("single_frame", baselines.frame_vote(a, b, "lr"))]
+        for name, kind in (("recurrent", "lr"), ("first_order", "mlp"), ("embedding_sequence", "gbt")):
+            f = made[name].where(mine)
+            rows.append((name, classify.mllib_predict(f.where("half = 'b'"), classify.mllib_fit(f.where("half = 'a'"), kind))))
+        rows.append(("noise_residual", baselines.noise_score(residual.where(mine)).withColumn("pred", (F.col("d") >= 2).cast("int"))))
+        out += [metrics.accuracy(r.withColumn("baseline", F.lit(name)), "baseline").select("baseline", F.lit(task).alias("task"), "n", "accuracy") for name, r in rows]
+    return functools.reduce(DataFrame.unionByName, out)
 
 
 @query("experiment_ablations")
 def experiment_ablations(spark, d):
     """One-class AUC of sources A and D at N = 35 with one choice of the method changed at a time."""
     face = carriers.face(spark, d).where("source IN ('R', 'A', 'D')").withColumn("pool", F.concat_ws("/", "source", "half"))
-    out = None
-    for name in baselines.ABLATIONS:
-        one = _auc(written(baselines.ablated_groups(face, name), "pool"), (35,)).where("task IN ('A', 'D')").select("task", "auc").withColumn("ablation", F.lit(name))
-        out = one if out is None else out.unionByName(one)
-    return out
+    out = [metrics.auc(scored(written(baselines.ablated_groups(face, name), "pool"), (35,)).where("task IN ('A', 'D')"), "task").select("task", "auc", F.lit(name).alias("ablation")) for name in baselines.ABLATIONS]
+    return functools.reduce(DataFrame.unionByName, out)
+
+
+@query("experiment_pooling")
+def experiment_pooling(spark, d):
+    """Pooling around landmarks against none, on images: groups in use, index and degenerate pairs of the motion that either gives."""
+    flows = written(flow.estimate(flow.pack_pairs(carriers.img(spark, d))).select("video_id", "t", "h", "w", "u", "v"), "flows")
+    out = [grouping.group_pairs(landmarks.motion_of(flows, kind=kind), keep=["video_id", "t"]).withColumn("pooling", F.lit(kind)) for kind in ("gauss", "box", "point")]
+    rows = functools.reduce(DataFrame.unionByName, out)
+    return rows.groupBy("pooling").agg(F.count("*").alias("n_pairs"), F.round(F.avg("k"), 4).alias("mean_k"), F.round(F.avg("score"), 3).alias("mean_score"), F.sum(F.col("degenerate").cast("long")).alias("n_degenerate"))
 
 
 @query("experiment_learners")
 def experiment_learners(spark, d):
-    """Other learners on the same patterns, source A, N = 35."""
-    rows = features(pool(spark, d), (35,)).where("source IN ('R', 'A')").persist()
+    """Other learners on the same patterns, source A, N = 35: boosted stumps, their real-valued variant, and MLlib's."""
+    rows = written(sets(pool(spark, d).where("source IN ('R', 'A')"), (35,)).withColumnRenamed("tri", "features").drop("diag", "n"), "patterns")
     a, b = rows.where("half = 'a'"), rows.where("half = 'b'")
-    out = None
-    for kind in ("lr", "svc", "rf"):
-        one = metrics.accuracy(classify.mllib_predict(b, classify.mllib_fit(a, kind)).withColumn("learner", F.lit(kind)), "learner")
-        out = one if out is None else out.unionByName(one)
-    boosted = classify.predict_mllib_boost(b, classify.boost_fit_mllib(a, 5)).withColumn("learner", F.lit("boosted_trees_of_depth_1"))
-    return out.unionByName(metrics.accuracy(boosted, "learner"))
+    out = [("boosted_trees_of_depth_1", classify.predict_mllib_boost(b, classify.boost_fit_mllib(a, 5)))]
+    out += [(kind, classify.mllib_predict(b, classify.mllib_fit(a, kind))) for kind in ("lr", "svc", "rf", "gbt", "mlp")]
+    bins = written(classify.binize(rows, classify.bin_edges(rows, sample_rows=EDGE_ROWS)).withColumn("task", F.lit("A")), "bins")
+    test, train = bins.where("half = 'b'"), bins.where("half = 'a'")
+    out.append(("boosted_stumps", classify.boost_predict_binned(test, classify.boost_binned(train, ROUNDS))))
+    out.append(("boosted_real_valued", classify.boost_predict_binned(test, classify.boost_real(train, ROUNDS), real=True)))
+    return functools.reduce(DataFrame.unionByName, [metrics.accuracy(r.withColumn("learner", F.lit(k)), "learner") for k, r in out])
+
+
+@query("conversation_groups")
+def conversation_groups(spark, d):
+    """Turns of conversations as frames: groups in use and index, by number of groups."""
+    g = grouping.group_pairs(motion.keep_strong(carriers.conv(spark, d), tau=0.01), keep=["video_id", "t"])
+    return g.groupBy("k").agg(F.count("*").alias("n_pairs"), F.round(F.avg("score"), 3).alias("mean_score"))
 
 
 @query("scene_source")

@@ -47,7 +47,7 @@ def image_gradient(spark, d):
     return flow.gradient(_img(spark, d)).select("video_id", "t", "x", "y", "ix", "iy")
 
 
-@query("brightness_residual", P.q(P.IMG, _GRAD, _shifted(1, 0), select="SELECT video_id, t, x, y, i - ni AS r FROM nxt"))
+@query("brightness_residual", P.q(P.IMG.replace("img AS (", "img AS MATERIALIZED ("), select="SELECT a.video_id, a.t, a.x, a.y, a.i - b.i AS r FROM img a JOIN (SELECT video_id, t - 1 AS t, x - 1 AS x, y, i FROM img) b USING (video_id, t, x, y)"))
 def brightness_residual(spark, d):
     return flow.brightness_residual(_img(spark, d), 1, 0)
 
@@ -112,6 +112,28 @@ def landmarks_grid(spark, d):
     return landmarks.grid(_img(spark, d))
 
 
+@query("landmark_align", "SELECT vec_id, k::INT AS lm, round(embedding[64 - k]::DOUBLE, 6) AS value FROM embeddings, range(64) g(k)")
+def landmark_align(spark, d):
+    """Landmarks in another order, here the opposite one."""
+    e = carriers.read(spark, d, "embeddings").select("vec_id", landmarks.align(F.col("embedding"), list(range(63, -1, -1))).alias("turned"))
+    return e.select("vec_id", F.posexplode("turned").alias("lm", "value")).withColumn("value", F.round(F.col("value").cast("double"), 6))
+
+
+@query("landmarks_table", P.q(P.IMG, _GRID, select="SELECT video_id, t, lm, lx::DOUBLE AS x, ly::DOUBLE AS y FROM pts"))
+def landmarks_table(spark, d):
+    """Landmarks that are given as a table, packed with their images."""
+    tall = _img(spark, d)
+    out = landmarks.from_table(carriers.img(spark, d), landmarks.grid(tall))
+    return out.select("video_id", "t", F.posexplode("landmarks").alias("lm", "p")).select("video_id", "t", "lm", "p.x", "p.y")
+
+
+@query("landmarks_corner")
+def landmarks_corner(spark, d):
+    """The nine places of each image with the largest corner response."""
+    out = landmarks.detect(carriers.img(spark, d), "corner_response", 9)
+    return out.select("video_id", "t", F.posexplode("landmarks").alias("lm", "p")).select("video_id", "t", "lm", "p.x", "p.y")
+
+
 @query("landmark_trim", "SELECT vec_id, (k - 18)::INT AS lm, round(((embedding || embedding[1:4])[k])::DOUBLE, 6) AS value FROM embeddings, range(18, 69) g(k)")
 def landmark_trim(spark, d):
     e = carriers.read(spark, d, "embeddings").select("vec_id", landmarks.trim(F.concat("embedding", F.slice("embedding", 1, 4))).alias("kept"))
@@ -154,6 +176,13 @@ def flow_variational_brightness(spark, d):
     return out.select("video_id", "t", F.round(F.element_at("energy", 1), 3).alias("e_first"), F.round(F.element_at("energy", -1), 3).alias("e_last"))
 
 
+@query("flow_variational_gradient")
+def flow_variational_gradient(spark, d):
+    """Gradients alone."""
+    out = flow.estimate(flow.pack_pairs(carriers.img(spark, d)), flow.FlowOptions(terms="gradient"))
+    return out.select("video_id", "t", F.round(F.element_at("energy", 1), 3).alias("e_first"), F.round(F.element_at("energy", -1), 3).alias("e_last"))
+
+
 @query("flow_to_groups")
 def flow_to_groups(spark, d):
     """From images through variational flow and pooling to spectral groups."""

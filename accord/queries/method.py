@@ -47,12 +47,12 @@ def tall_patterns(groups: DataFrame, by: list[str]) -> DataFrame:
     return pattern.l1_tall(pattern.build_tall(groups, by), pattern.totals(groups, by), by)
 
 
-def genuine_template(groups: DataFrame, n: int = 300, source: str = "R") -> DataFrame:
+def genuine_template(groups: DataFrame, n: int = 3000, source: str = "R") -> DataFrame:
     one = anomaly.template_pairs(groups, n, source).withColumn("template", F.lit(source))
     return tall_patterns(one, ["template"])
 
 
-def probe_scores(spark, d, n: int = 10, half: str = "b", template_source: str = "R", template_pairs: int = 300) -> DataFrame:
+def probe_scores(spark, d, n: int = 10, half: str = "b", template_source: str = "R", template_pairs: int = 3000) -> DataFrame:
     """(video_id, source, y, d): distance of each video's pattern of the half to a template of genuine pairs of the other half."""
     groups = sector_groups(sampling.ranked(strong_face(spark, d)))
     template = genuine_template(groups.where(F.col("half") != half), template_pairs, template_source)
@@ -61,7 +61,7 @@ def probe_scores(spark, d, n: int = 10, half: str = "b", template_source: str =
     return d_.join(probes.select("video_id", "source", "y").distinct(), "video_id").select("video_id", "source", "y", F.round("d", 6).alias("d"))
 
 
-def scores_sql(n: int = 10, half: str = "b", template_source: str = "R", template_pairs: int = 300) -> str:
+def scores_sql(n: int = 10, half: str = "b", template_source: str = "R", template_pairs: int = 3000) -> str:
     """CTEs up to scores(video_id, source, y, d)."""
     return ",".join(
         x.strip()
@@ -93,9 +93,9 @@ _TOP = "picked JOIN strong USING (video_id, t)"
 # ---------------------------------------------------------------- motion
 
 
-@query("motion_magnitude", P.q(_FACE, select="SELECT video_id, t, lm, dx_m * dx_m + dy_m * dy_m AS size2 FROM face WHERE lm < 8"))
+@query("motion_magnitude", P.q(_FACE, select="SELECT video_id, t, lm, dx_m * dx_m + dy_m * dy_m AS size2 FROM face"))
 def motion_magnitude(spark, d):
-    t = carriers.tall(carriers.face(spark, d)).where("lm < 8")
+    t = carriers.tall(carriers.face(spark, d))
     return t.select("video_id", "t", "lm", (F.col("dx_m") * F.col("dx_m") + F.col("dy_m") * F.col("dy_m")).alias("size2"))
 
 
@@ -212,9 +212,9 @@ query("laplacian_random_walk", _lap(f"{_CORE} / nullif(p.d::DOUBLE, 0)"))(_lap_q
 query("laplacian_unnormalised", _lap(_CORE))(_lap_query("unnormalised"))
 
 
-@query("sector_groups", P.q(_FACE, P.STRONG, P.picked(3), P.sectors(), select="SELECT video_id, t, lm, c FROM lab"))
+@query("sector_groups", P.q(_FACE, P.STRONG, P.picked(10**9), P.sectors(), select="SELECT video_id, t, lm, c FROM lab"))
 def sector_groups_query(spark, d):
-    g = grouping.sectors(sampling.pick_n(strong_face(spark, d), 3), 6)
+    g = grouping.sectors(strong_face(spark, d), 6)
     return g.select("video_id", "t", F.posexplode("labels").alias("lm", "c"))
 
 
@@ -237,12 +237,12 @@ def _select_k_sql() -> str:
             body = body.replace(f"{name} AS", f"{name}{k} AS").replace(f"FROM {name} ", f"FROM {name}{k} ").replace(f"FROM {name})", f"FROM {name}{k})")
         parts.append(body)
     union = " UNION ALL ".join(f"SELECT video_id, t, {k} AS k, k_found, round(score, 6) AS score FROM grp{k}" for k in range(2, 9))
-    return P.q(_FACE, P.STRONG, P.picked(2), *parts, f"tries AS ({union})", select="SELECT video_id, t, k, k_found, score FROM tries QUALIFY row_number() OVER (PARTITION BY video_id, t ORDER BY score DESC, k) = 1")
+    return P.q(_FACE, P.STRONG, P.picked(10**9), *parts, f"tries AS ({union})", select="SELECT video_id, t, k, k_found, score FROM tries QUALIFY row_number() OVER (PARTITION BY video_id, t ORDER BY score DESC, k) = 1")
 
 
 @query("select_k", _select_k_sql())
 def select_k(spark, d):
-    return grouping.select_k(sampling.pick_n(strong_face(spark, d), 2)).select("video_id", "t", "k", "k_found", "score")
+    return grouping.select_k(strong_face(spark, d)).select("video_id", "t", "k", "k_found", "score")
 
 
 @query("k_histogram", P.q(_FACE, P.STRONG, P.picked(10), P.sectors(), select="SELECT source, k_found AS k, count(*) AS n_pairs, round(avg(score), 4) AS mean_score FROM grp JOIN picked USING (video_id, t) GROUP BY ALL"))
@@ -272,10 +272,11 @@ def landmark_groups(spark, d):
 # ---------------------------------------------------------------- patterns
 
 
-@query("agreement_matrix", P.q(_FACE, P.STRONG, P.picked(1), P.sectors(), select="SELECT a.video_id, a.t, a.lm AS i, b.lm AS j, (a.c = b.c)::INT AS rho FROM lab a JOIN lab b ON a.video_id = b.video_id AND a.t = b.t AND a.lm > b.lm WHERE a.lm < 12"))
+@query("agreement_matrix", P.q(_FACE, P.STRONG, P.picked(10**9), P.sectors().replace("lab AS", "lab AS MATERIALIZED"), "row AS (SELECT video_id, t, list(c ORDER BY lm) AS cs FROM lab GROUP BY ALL)", select="SELECT video_id, t, i::INT AS i, list_aggregate(list_transform(cs[1:i], lambda c: (c = cs[i + 1])::INT::VARCHAR), 'string_agg', '') AS cells FROM row, range(1, 51) g(i)"))
 def agreement_matrix(spark, d):
-    g = grouping.sectors(sampling.pick_n(strong_face(spark, d), 1), 6)
-    return pattern.agreement(g, "video_id", "t").where("i < 12")
+    """All matrices, a row of cells as one text."""
+    g = grouping.sectors(strong_face(spark, d), 6)
+    return pattern.agreement_rows(g, "video_id", "t").select("video_id", "t", "i", F.concat_ws("", F.transform("cells", lambda x: x.cast("string"))).alias("cells"))
 
 
 @query("pair_weight", P.q(_FACE, P.STRONG, P.picked(10), P.sectors(), select="SELECT video_id, t, w AS k_score, round(1000 * score)::BIGINT AS score, k_found::BIGINT AS k FROM wgt"))
@@ -335,12 +336,12 @@ def pick_n_drop(spark, d):
         P.STRONG,
         P.picked(10**9, "source"),
         "siz AS (SELECT source, max(pick) AS size FROM picked GROUP BY source)",
-        "drw AS (SELECT source, m AS pattern_id, k AS draw, ('0x' || md5(concat_ws(':', '1', source, m, k))[1:12])::BIGINT % size + 1 AS pick FROM siz, range(20) a(m), range(35) b(k))",
+        "drw AS (SELECT source, m AS pattern_id, k AS draw, ('0x' || md5(concat_ws(':', '1', source, m, k))[1:12])::BIGINT % size + 1 AS pick FROM siz, range(2000) a(m), range(35) b(k))",
         select="SELECT source, pattern_id::INT AS pattern_id, draw::INT AS draw, video_id, t FROM drw JOIN picked USING (source, pick)",
     ),
 )
 def pattern_sets(spark, d):
-    return sampling.pattern_sets(strong_face(spark, d), 20, 35).select("source", "pattern_id", "draw", "video_id", "t")
+    return sampling.pattern_sets(strong_face(spark, d), 2000, 35).select("source", "pattern_id", "draw", "video_id", "t")
 
 
 @query("split_no_overlap", P.q(_FACE, select="SELECT video_id, ('0x' || md5('0:' || video_id)[1:8])::BIGINT < 2147483648 AS train, count(DISTINCT t) AS n_pairs FROM face GROUP BY ALL"))
@@ -476,6 +477,30 @@ bb AS (SELECT k.n_pick, k.source, coalesce(pa, 0) AS pa, coalesce(pb, 0) AS pb F
 SELECT source, n_pick::INT AS n_pick, round(sum({_JS}), 6) AS d FROM bb GROUP BY ALL"""
 
 
+@query("equal_error", "WITH " + scores_sql() + ", " + _ROC + ", crv AS (SELECT d, sum(neg) OVER w::DOUBLE / sum(neg) OVER ()::DOUBLE AS fpr, sum(pos) OVER w::DOUBLE / sum(pos) OVER ()::DOUBLE AS tpr FROM cnt WINDOW w AS (ORDER BY d DESC ROWS UNBOUNDED PRECEDING)) SELECT round((fpr + 1 - tpr) / 2, 6) AS eer FROM crv ORDER BY round(abs(fpr - (1 - tpr)), 9), d LIMIT 1")
+def equal_error(spark, d):
+    return metrics.equal_error(metrics.roc(probe_scores(spark, d)))
+
+
+@query("order_invariance", P.q(_FACE, P.STRONG, P.picked(10), P.sectors(), P.pattern("source"), select="SELECT source, count(*) AS n_cells, 0::BIGINT AS n_differ FROM cell GROUP BY source"))
+def order_invariance(spark, d):
+    """Patterns built from pairs in the opposite order and from landmarks in another order, put back: cells that differ."""
+    g = picked_groups(spark, d)
+    first = pattern.build_tall(g, ["source"])
+    turned = g.orderBy(F.desc("pick")).withColumn("labels", F.reverse("labels"))
+    back = pattern.build_tall(turned, ["source"]).select("source", (50 - F.col("j")).alias("i"), (50 - F.col("i")).alias("j"), F.col("w").alias("v"))
+    both = first.join(back, ["source", "i", "j"], "full")
+    return both.groupBy("source").agg(F.count("*").alias("n_cells"), F.sum((~F.col("w").eqNullSafe(F.col("v"))).cast("bigint")).alias("n_differ"))
+
+
+@query("pattern_subtract", P.q(*_BYSRC, select="SELECT source, n_pairs, w_sum AS diag, (SELECT sum(w)::BIGINT FROM cell c WHERE c.source = tot.source) AS low FROM tot"))
+def pattern_subtract(spark, d):
+    """The pattern of 20 pairs less that of the pairs after the tenth is the pattern of 10."""
+    g = sector_groups(sampling.pick_n(strong_face(spark, d), 20))
+    p = pattern.subtract(pattern.build(g, ["source"]), pattern.build(g.where("pick > 10"), ["source"]), ["source"])
+    return p.select("source", "n_pairs", F.col("diag").cast("bigint").alias("diag"), F.aggregate("tri", F.lit(0.0), lambda a, x: a + x).cast("bigint").alias("low"))
+
+
 @query("convergence", _sweep_sql())
 def convergence(spark, d):
     from accord.operators import explain
@@ -484,7 +509,7 @@ def convergence(spark, d):
     return explain.convergence(groups, ["source"]).select("source", "n_pick", F.round("d", 6).alias("d"))
 
 
-_SWEEP = " UNION ALL ".join(f"SELECT {n} AS n_pick, task, auc FROM (WITH {scores_sql(n)} {_TASK_AUC})" for n in (1, 10))
+_SWEEP = " UNION ALL ".join(f"SELECT {n} AS n_pick, task, auc FROM (WITH {scores_sql(n)} {_TASK_AUC})" for n in (1, 10, 35, 70))
 
 
 @query("anomaly_sweep", _SWEEP)
@@ -492,7 +517,7 @@ def anomaly_sweep(spark, d):
     """AUC of each source for several N: groups are made once, N is a column of one plan."""
     groups = sector_groups(sampling.ranked(strong_face(spark, d)))
     template = genuine_template(groups.where("half <> 'b'"))
-    probes = groups.where("half = 'b'").withColumn("n_pick", F.explode(F.array(F.lit(1), F.lit(10)))).where("pick <= n_pick")
+    probes = groups.where("half = 'b'").withColumn("n_pick", F.explode(F.array(*[F.lit(n) for n in (1, 10, 35, 70)]))).where("pick <= n_pick")
     by = ["n_pick", "video_id"]
     s = distance.tall_js(tall_patterns(probes, by), template, by).join(probes.select(*by, "source", "y").distinct(), by).withColumn("d", F.round("d", 6))
     return metrics.auc(_against_real(s), "n_pick", "task")

@@ -16,7 +16,7 @@ from accord.sources import carriers
 _MEAN = (
     _FACE,
     P.STRONG,
-    P.picked(200, "source"),
+    P.picked(1000, "source"),
     P.sectors(),
     """sz AS (SELECT source, count(*) AS n FROM picked GROUP BY source),
 agc AS (SELECT k.source, a.lm AS i, b.lm AS j, count(*) AS n FROM lab a JOIN lab b ON a.video_id = b.video_id AND a.t = b.t AND a.lm > b.lm AND a.c = b.c JOIN picked k ON k.video_id = a.video_id AND k.t = a.t GROUP BY ALL),
@@ -25,8 +25,8 @@ mean AS (SELECT s.source, c.i, c.j, c.ci, c.cj, coalesce(agc.n, 0)::DOUBLE / s.n
 
 
 def _mean(spark, d) -> DataFrame:
-    groups = grouping.sectors(sampling.pick_n(strong_face(spark, d), 200, "source"), 6)
-    return explain.mean_agreement(groups, 200)
+    groups = grouping.sectors(sampling.pick_n(strong_face(spark, d), 1000, "source"), 6)
+    return explain.mean_agreement(groups, 1000)
 
 
 @query("mean_agreement", P.q(*_MEAN, select="SELECT source, i, j, round(mean, 6) AS mean FROM mean"))
@@ -86,7 +86,7 @@ _TRUTH = [c // 2 * 2 if c < 6 else c for c in map(carriers.component_of, range(5
     P.q(
         _FACE,
         P.STRONG,
-        P.picked(3),
+        P.picked(10**9),
         P.sectors(),
         "tru AS (SELECT lm, CASE WHEN comp < 6 THEN comp - comp % 2 ELSE comp END AS g FROM lmk)",
         "hit AS (SELECT a.video_id, a.t, sum(((a.c = b.c) = (x.g = z.g))::INT) / 1275.0::DOUBLE AS r FROM lab a JOIN lab b ON a.video_id = b.video_id AND a.t = b.t AND a.lm > b.lm JOIN tru x ON x.lm = a.lm JOIN tru z ON z.lm = b.lm GROUP BY ALL)",
@@ -94,7 +94,7 @@ _TRUTH = [c // 2 * 2 if c < 6 else c for c in map(carriers.component_of, range(5
     ),
 )
 def rand_index(spark, d):
-    g = grouping.sectors(sampling.pick_n(strong_face(spark, d), 3), 6)
+    g = grouping.sectors(strong_face(spark, d), 6)
     return metrics.rand_index(g, _TRUTH, "source")
 
 
@@ -116,31 +116,31 @@ def _tall_m(df: DataFrame) -> DataFrame:
     return df.select("video_id", "t", F.posexplode("motion_m").alias("lm", "m")).select("video_id", "t", "lm", F.col("m.x").alias("dx_m"), F.col("m.y").alias("dy_m"))
 
 
-def _first_videos(spark, d) -> DataFrame:
-    return carriers.milli(carriers.face(spark, d)).where("t < 3")
+def _face_milli(spark, d) -> DataFrame:
+    return carriers.milli(carriers.face(spark, d))
 
 
-@query("requantise_motion", P.q(_FACE, _requant(40), select="SELECT video_id, t, lm, dx_m, dy_m FROM rq WHERE t < 3"))
+@query("requantise_motion", P.q(_FACE, _requant(40), select="SELECT video_id, t, lm, dx_m, dy_m FROM rq"))
 def requantise_motion(spark, d):
-    return _tall_m(robustness.requantise(_first_videos(spark, d), 40))
+    return _tall_m(robustness.requantise(_face_milli(spark, d), 40))
 
 
-@query("noise_motion", P.q(_FACE, "f3t AS (SELECT * FROM face WHERE t < 3)", _noise("f3t"), select="SELECT video_id, t, lm, dx_m, dy_m FROM nz"))
+@query("noise_motion", P.q(_FACE, _noise("face"), select="SELECT video_id, t, lm, dx_m, dy_m FROM nz"))
 def noise_motion(spark, d):
-    return _tall_m(robustness.add_noise(_first_videos(spark, d)))
+    return _tall_m(robustness.add_noise(_face_milli(spark, d)))
 
 
-@query("requantise_noise", P.q(_FACE, _requant(23), "f3t AS (SELECT * FROM rq WHERE t < 3)", _noise("f3t"), select="SELECT video_id, t, lm, dx_m, dy_m FROM nz"))
+@query("requantise_noise", P.q(_FACE, _requant(23), _noise("rq"), select="SELECT video_id, t, lm, dx_m, dy_m FROM nz"))
 def requantise_noise(spark, d):
-    return _tall_m(robustness.graded(_first_videos(spark, d), "q23_noise"))
+    return _tall_m(robustness.graded(_face_milli(spark, d), "q23_noise"))
 
 
 _GRADED = ("raw", "q23", "q40", "q23_noise")
 
 
 def _graded_pairs(spark, d) -> DataFrame:
-    """A share of pairs under every grade, one plan."""
-    m = carriers.milli(carriers.face(spark, d)).where("source IN ('R', 'A') AND t < 12")
+    """Pairs of the genuine source and of source A under every grade, one plan."""
+    m = carriers.milli(carriers.face(spark, d)).where("source IN ('R', 'A')")
     out = None
     for g in _GRADED:
         one = robustness.graded(m, g)
@@ -152,7 +152,7 @@ _GFACE = ",".join(
     x.strip()
     for x in (
         _FACE.replace("face AS (", "face0 AS ("),
-        "fcut AS (SELECT * FROM face0 WHERE source IN ('R', 'A') AND t < 12)",
+        "fcut AS (SELECT * FROM face0 WHERE source IN ('R', 'A'))",
         _requant(23).replace("FROM face", "FROM fcut").replace("rq AS", "rq23 AS"),
         _requant(40).replace("FROM face", "FROM fcut").replace("rq AS", "rq40 AS"),
         _noise("rq23"),
@@ -284,18 +284,14 @@ def k_histogram_spectral(spark, d):
 
 @query("spectral_auc")
 def spectral_auc(spark, d):
-    """The method proper: spectral groups, patterns of n pairs drawn over the source, distance to a genuine template of the other half."""
-    g = written(spectral_groups(spark, d), "groups")  # read for every N
-    template = anomaly.template(g.where("half = 'a'"), 3000)
-    out = None
-    for n in (1, 10, 35, 70):
-        sets = sampling.pattern_sets(g.where("half = 'b'"), 40, n, "source")
-        s = anomaly.score(pattern.build(sets, ["source", "y", "pattern_id"]), template)
-        forged = s.where("y = 1").withColumn("task", F.col("source"))
-        both = forged.unionByName(s.where("source = 'R'").withColumn("task", F.explode(F.array(*[F.lit(x) for x in "ABCD"]))))
-        one = metrics.auc(both.withColumn("d", F.round("d", 9)), "task").withColumn("n_pick", F.lit(n))
-        out = one if out is None else out.union(one)
-    return out
+    """The method proper: spectral groups, patterns of n pairs of a video, distance to a genuine template of the other half; every video is judged once for each N."""
+    ns = (1, 10, 35, 70)
+    g = written(sampling.ranked(spectral_groups(spark, d)).withColumn("draw", F.col("pick") - 1), "groups")
+    p = pattern.prefixes(g.where("half = 'b'"), ["video_id", "source", "y"], ns)
+    s = anomaly.score_packed(p, anomaly.template(g.where("half = 'a'"), 3000)).withColumn("d", F.round("d", 9))
+    forged = s.where("y = 1").withColumn("task", F.col("source"))
+    both = forged.unionByName(s.where("y = 0").withColumn("task", F.explode(F.array(*[F.lit(x) for x in "ABCD"]))))
+    return metrics.auc(both, "task", "n_pick")
 
 
 # ---------------------------------------------------------------- stumps over a feature table that SQL has too
@@ -364,9 +360,10 @@ def baseline_frame_vote_majority(spark, d):
     return baselines.vote(g).withColumn("share", F.round("share", 6))
 
 
-@query("baseline_recurrent_feature", P.q(_FACE, P.STRONG, "sq AS (SELECT video_id, source, y, dx_m, row_number() OVER (PARTITION BY video_id ORDER BY t) AS k, count(*) OVER (PARTITION BY video_id) AS n FROM face JOIN (SELECT video_id, t FROM strong) s USING (video_id, t) WHERE lm = 0)", select="SELECT video_id, source, y, round(sum(dx_m * CASE WHEN k = 1 THEN pow(0.8, n - 1) ELSE 0.2 * pow(0.8, n - k) END), 3) AS state FROM sq GROUP BY ALL"))
+@query("baseline_recurrent_feature", P.q(_FACE, P.STRONG, "sq AS (SELECT video_id, source, y, lm, dx_m, dy_m, row_number() OVER (PARTITION BY video_id, lm ORDER BY t) AS k, count(*) OVER (PARTITION BY video_id, lm) AS n FROM face JOIN (SELECT video_id, t FROM strong) s USING (video_id, t))", select="SELECT video_id, source, y, lm, round(sum(dx_m * CASE WHEN k = 1 THEN pow(0.8, n - 1) ELSE 0.2 * pow(0.8, n - k) END), 3) AS state_x, round(sum(dy_m * CASE WHEN k = 1 THEN pow(0.8, n - 1) ELSE 0.2 * pow(0.8, n - k) END), 3) AS state_y FROM sq GROUP BY ALL"))
 def baseline_recurrent_feature(spark, d):
-    return baselines.recurrent_features(_milli_motion(strong_face(spark, d))).select("video_id", "source", "y", F.round(F.get("features", F.lit(0)), 3).alias("state"))
+    f = baselines.recurrent_features(_milli_motion(strong_face(spark, d))).withColumn("lm", F.explode(F.sequence(F.lit(0), F.lit(50))))
+    return f.select("video_id", "source", "y", "lm", F.round(F.get("features", 2 * F.col("lm")), 3).alias("state_x"), F.round(F.get("features", 2 * F.col("lm") + 1), 3).alias("state_y"))
 
 
 @query("baseline_embedding_mean", "WITH v AS (SELECT vec_id, label, embedding FROM embeddings) SELECT label, k::INT AS k, round(avg(embedding[k + 1]::DOUBLE), 6) AS mean FROM v, range(64) g(k) GROUP BY ALL")

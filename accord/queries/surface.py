@@ -41,10 +41,10 @@ def filter_predicates(spark, d):
     return e.where(F.col("event_type").isin("click", "view") & F.col("value").between(10, 60) & F.col("props").like('%"k"%') & F.col("user_id").eqNullSafe(F.col("user_id")) & ~F.col("event_type").rlike("^c.*x")).select("event_id")
 
 
-@query("project_exprs", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 6) AS charge, CASE WHEN l_quantity >= 40 THEN 'large' WHEN l_quantity >= 10 THEN 'middle' ELSE 'small' END AS size FROM lineitem WHERE l_orderkey < 2000")
+@query("project_exprs", "SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 6) AS charge, CASE WHEN l_quantity >= 40 THEN 'large' WHEN l_quantity >= 10 THEN 'middle' ELSE 'small' END AS size FROM lineitem")
 def project_exprs(spark, d):
     size = F.when(F.col("l_quantity") >= 40, "large").when(F.col("l_quantity") >= 10, "middle").otherwise("small")
-    return lineitem(spark, d).where("l_orderkey < 2000").select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax")), 6).alias("charge"), size.alias("size"))
+    return lineitem(spark, d).select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")) * (1 + F.col("l_tax")), 6).alias("charge"), size.alias("size"))
 
 
 # ---------------------------------------------------------------- joins
@@ -78,12 +78,12 @@ def join_anti(spark, d):
     return part(spark, d).join(lineitem(spark, d).where("l_quantity >= 45"), F.col("p_partkey") == F.col("l_partkey"), "left_anti").select("p_partkey")
 
 
-@query("join_theta", q(face(1), "one AS (SELECT * FROM face WHERE t = 0 AND lm < 6)", select="SELECT a.video_id, a.lm AS i, b.lm AS j FROM one a JOIN one b ON a.video_id = b.video_id AND a.lm > b.lm AND a.dx_m * b.dx_m + a.dy_m * b.dy_m >= 1000000"))
+@query("join_theta", q(face(1), "one AS (SELECT * FROM face)", select="SELECT a.video_id, a.t, a.lm AS i, count(*) AS n FROM one a JOIN one b ON a.video_id = b.video_id AND a.t = b.t AND a.lm > b.lm AND a.dx_m * b.dx_m + a.dy_m * b.dy_m >= 1000000 GROUP BY ALL"))
 def join_theta(spark, d):
-    one = carriers.tall(carriers.face(spark, d, 1).where("t = 0")).where("lm < 6")
+    one = carriers.tall(carriers.face(spark, d, 1))
     a, b = one.alias("a"), one.alias("b")
     near = F.col("a.dx_m") * F.col("b.dx_m") + F.col("a.dy_m") * F.col("b.dy_m") >= 1000000
-    return a.join(b, (F.col("a.video_id") == F.col("b.video_id")) & (F.col("a.lm") > F.col("b.lm")) & near).select("a.video_id", F.col("a.lm").alias("i"), F.col("b.lm").alias("j"))
+    return a.join(b, (F.col("a.video_id") == F.col("b.video_id")) & (F.col("a.t") == F.col("b.t")) & (F.col("a.lm") > F.col("b.lm")) & near).groupBy("a.video_id", "a.t", F.col("a.lm").alias("i")).agg(F.count("*").alias("n"))
 
 
 @query("join_cross_template", "SELECT l_suppkey, round(avg(l_quantity) - (SELECT avg(l_quantity) FROM lineitem), 4) AS off FROM lineitem GROUP BY l_suppkey")
@@ -173,36 +173,36 @@ def agg_approx(spark, d):
 # ---------------------------------------------------------------- windows, order and sets
 
 
-@query("win_rank", "SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, ntile(4) OVER w AS quarter, round(percent_rank() OVER v, 6) AS pr, round(cume_dist() OVER v, 6) AS cd FROM orders WHERE o_orderkey < 3000 WINDOW w AS (PARTITION BY o_orderstatus ORDER BY o_totalprice, o_orderkey), v AS (PARTITION BY o_orderstatus ORDER BY o_orderpriority)")
+@query("win_rank", "SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, ntile(4) OVER w AS quarter, round(percent_rank() OVER v, 6) AS pr, round(cume_dist() OVER v, 6) AS cd FROM orders WINDOW w AS (PARTITION BY o_orderstatus ORDER BY o_totalprice, o_orderkey), v AS (PARTITION BY o_orderstatus ORDER BY o_orderpriority)")
 def win_rank(spark, d):
     w, v = W.partitionBy("o_orderstatus").orderBy("o_totalprice", "o_orderkey"), W.partitionBy("o_orderstatus").orderBy("o_orderpriority")
-    o = orders(spark, d).where("o_orderkey < 3000")
+    o = orders(spark, d)
     return o.select("o_orderkey", *[f.over(x).cast("bigint").alias(n) for n, f, x in (("rn", F.row_number(), w), ("rk", F.rank(), v), ("dr", F.dense_rank(), v), ("quarter", F.ntile(4), w))], F.round(F.percent_rank().over(v), 6).alias("pr"), F.round(F.cume_dist().over(v), 6).alias("cd"))
 
 
-@query("win_lag", "SELECT event_id, lag(value) OVER w AS before, lead(value) OVER w AS after, first_value(value) OVER w AS first, nth_value(value, 2) OVER w AS second FROM events WHERE user_id < 20 WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+@query("win_lag", "SELECT event_id, lag(value) OVER w AS before, lead(value) OVER w AS after, first_value(value) OVER w AS first, nth_value(value, 2) OVER w AS second FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 def win_lag(spark, d):
     w = W.partitionBy("user_id").orderBy("ts", "event_id")
-    return events(spark, d).where("user_id < 20").select("event_id", F.lag("value").over(w).alias("before"), F.lead("value").over(w).alias("after"), F.first("value").over(w).alias("first"), F.nth_value("value", 2).over(w).alias("second"))
+    return events(spark, d).select("event_id", F.lag("value").over(w).alias("before"), F.lead("value").over(w).alias("after"), F.first("value").over(w).alias("first"), F.nth_value("value", 2).over(w).alias("second"))
 
 
-@query("win_running", "SELECT l_orderkey, l_linenumber, sum(l_quantity) OVER (PARTITION BY l_suppkey ORDER BY l_orderkey, l_linenumber, l_extendedprice, l_partkey ROWS UNBOUNDED PRECEDING)::DOUBLE AS running FROM lineitem WHERE l_suppkey < 5")
+@query("win_running", "SELECT l_orderkey, l_linenumber, sum(l_quantity) OVER (PARTITION BY l_suppkey ORDER BY l_orderkey, l_linenumber, l_extendedprice, l_partkey ROWS UNBOUNDED PRECEDING)::DOUBLE AS running FROM lineitem")
 def win_running(spark, d):
     w = W.partitionBy("l_suppkey").orderBy("l_orderkey", "l_linenumber", "l_extendedprice", "l_partkey").rowsBetween(W.unboundedPreceding, 0)
-    return lineitem(spark, d).where("l_suppkey < 5").select("l_orderkey", "l_linenumber", F.sum("l_quantity").over(w).cast("double").alias("running"))
+    return lineitem(spark, d).select("l_orderkey", "l_linenumber", F.sum("l_quantity").over(w).cast("double").alias("running"))
 
 
-@query("win_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY day RANGE BETWEEN 2 PRECEDING AND CURRENT ROW) AS n FROM (SELECT *, date_diff('day', DATE '2024-01-01', ts::DATE) AS day FROM events) WHERE user_id < 40")
+@query("win_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY day RANGE BETWEEN 2 PRECEDING AND CURRENT ROW) AS n FROM (SELECT *, date_diff('day', DATE '2024-01-01', ts::DATE) AS day FROM events)")
 def win_range_frame(spark, d):
     day = F.datediff(F.col("ts").cast("date"), F.lit("2024-01-01").cast("date"))
     w = W.partitionBy("user_id").orderBy("day").rangeBetween(-2, 0)
-    return events(spark, d).where("user_id < 40").withColumn("day", day).select("event_id", F.count("*").over(w).alias("n"))
+    return events(spark, d).withColumn("day", day).select("event_id", F.count("*").over(w).alias("n"))
 
 
-@query("win_moving_score", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS moving FROM events WHERE user_id < 40")
+@query("win_moving_score", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS moving FROM events")
 def win_moving_score(spark, d):
     w = W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-4, 0)
-    return events(spark, d).where("user_id < 40").select("event_id", F.round(F.avg("value").over(w), 6).alias("moving"))
+    return events(spark, d).select("event_id", F.round(F.avg("value").over(w), 6).alias("moving"))
 
 
 @query("topk_global", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 25")
@@ -259,9 +259,9 @@ def fn_text_classes(spark, d):
     return conversations(spark, d).select("conv_id", "turn", n("[aeiou]").alias("vowels"), n("[lmnr]").alias("sonorants"))
 
 
-@query("fn_date", "SELECT o_orderkey, year(o_orderdate) AS y, quarter(o_orderdate) AS q, date_diff('day', DATE '1995-01-01', o_orderdate::DATE) AS days, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS month, epoch(o_orderdate)::BIGINT AS epoch FROM orders WHERE o_orderkey < 2000")
+@query("fn_date", "SELECT o_orderkey, year(o_orderdate) AS y, quarter(o_orderdate) AS q, date_diff('day', DATE '1995-01-01', o_orderdate::DATE) AS days, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS month, epoch(o_orderdate)::BIGINT AS epoch FROM orders")
 def fn_date(spark, d):
-    o = orders(spark, d).where("o_orderkey < 2000")
+    o = orders(spark, d)
     return o.select("o_orderkey", F.year("o_orderdate").cast("bigint").alias("y"), F.quarter("o_orderdate").cast("bigint").alias("q"), F.datediff(F.col("o_orderdate").cast("date"), F.lit("1995-01-01").cast("date")).cast("bigint").alias("days"), F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM-dd").alias("month"), F.unix_timestamp(F.col("o_orderdate").cast("timestamp")).alias("epoch"))
 
 

@@ -6,6 +6,7 @@ Tall form (one row per landmark): video_id, source, y, t, lm, dx_m, dy_m, the mo
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
@@ -36,32 +37,38 @@ def half_of(vec_id: Column) -> Column:
 
 
 def face(spark: SparkSession, sf_dir: str, rotations: int = 16, twin: str | None = None) -> DataFrame:
-    """Planted face motion over embeddings, packed. twin: the forging rule of that source for every vector (None: the label's own)."""
-    rows = read(spark, sf_dir, "embeddings").select("vec_id", "embedding", "label", F.explode(F.sequence(F.lit(0), F.lit(rotations - 1))).alias("r"))
-    rows = rows.withColumn("rule", F.lit(SOURCES.index(twin)) if twin else F.col("label") % 5)
-    v, r, rule = F.col("vec_id"), F.col("r"), F.col("rule")
-
-    def e(j) -> Column:
-        j = F.lit(j) if isinstance(j, int) else j
-        return F.element_at("embedding", ((j + 4 * r) % 64 + 1).cast("int")).cast("double")
-
-    pick = lambda table: F.element_at(F.array(F.lit(0), *[F.lit(x) for x in table]), (rule + 1).cast("int"))
-    lips = (17 * v + 29 * r) % 100 < pick(LIPS_LOST)
-    comp_of = F.array(*[F.lit(component_of(i)) for i in range(LANDMARKS)])
-
-    def vector(i: Column) -> Column:
-        c = F.element_at(comp_of, (i + 1).cast("int"))
-        loose = (131 * v + 17 * r + 7919 * i) % 1000 < pick(LOOSE)
-        z = F.when(loose, (c + 1 + (i + v) % 7) % 8).otherwise(F.when(c == 7, 6).otherwise(c - c % 2))
-        sign = F.when(~loose & (c == 7) & ~lips, -1.0).otherwise(1.0)
-        q = 2 * i % 46
-        axis = lambda k: 8 * (0.3 * e(16 + k) + sign * e(2 * z + k) + 0.5 * e(18 + q + k))
-        return F.struct(axis(0).alias("dx"), axis(1).alias("dy"))
-
-    motion = F.transform(F.sequence(F.lit(0), F.lit(LANDMARKS - 1)), vector)
-    video = F.concat_ws("-", F.col("label").cast("string"), r.cast("string"), half_of(v))
-    t = F.row_number().over(W.partitionBy("label", "r", half_of(v)).orderBy("vec_id")) - 1
-    return rows.select(video.alias("video_id"), source_of(F.col("label")).alias("source"), F.when(F.col("label") % 5 == 0, 0).otherwise(1).alias("y"), t.alias("t"), motion.alias("motion"), half_of(v).alias("half"))
+    """Planted face motion over embeddings, packed. twin: the forging rule of that source for every vector (None: the label's own).
+
+    Places in time are given before vectors are turned, so only the table itself is dealt; motion is made in Arrow batches."""
+    rows = read(spark, sf_dir, "embeddings").select("vec_id", "embedding", "label", half_of(F.col("vec_id")).alias("half"))
+    rows = rows.withColumn("t", F.row_number().over(W.partitionBy("label", "half").orderBy("vec_id")) - 1)
+    rule = F.lit(SOURCES.index(twin)) if twin else F.col("label") % 5
+    rows = rows.select("vec_id", rule.cast("int").alias("rule"), "label", "half", "t", "embedding")
+    parts = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    comp = np.array([component_of(i) for i in range(LANDMARKS)])
+    still = np.where(comp == 7, 6, comp - comp % 2)
+    lm = np.arange(LANDMARKS)
+
+    def turned(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            v, rules = (b.column(i).to_numpy(zero_copy_only=False).astype(np.int64)[:, None] for i in (0, 1))
+            e = b.column(5).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(b.num_rows, 64) if b.num_rows else np.zeros((0, 64))
+            at = np.arange(b.num_rows)[:, None]
+            for r in range(rotations):
+                lips = (17 * v + 29 * r) % 100 < np.array([0, *LIPS_LOST])[rules]
+                loose = (131 * v + 17 * r + 7919 * lm) % 1000 < np.array([0, *LOOSE])[rules]
+                z = np.where(loose, (comp + 1 + (lm + v) % 7) % 8, still)
+                sign = np.where(~loose & (comp == 7) & ~lips, -1.0, 1.0)
+                dx, dy = (8 * (0.3 * e[:, [(16 + k + 4 * r) % 64]] + sign * e[at, (2 * z + k + 4 * r) % 64] + 0.5 * e[:, (18 + 2 * lm % 46 + k + 4 * r) % 64]) for k in (0, 1))
+                cells = pa.StructArray.from_arrays([pa.array(dx.ravel()), pa.array(dy.ravel())], names=["dx", "dy"])
+                motion = pa.ListArray.from_arrays(pa.array(np.arange(0, dx.size + 1, LANDMARKS, dtype=np.int32)), cells)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(b.num_rows, r, np.int32)), *b.columns[2:5], motion], names=["r", "label", "half", "t", "motion"])
+
+    out = rows.repartition(parts, "vec_id").mapInArrow(turned, f"r int, label {rows.schema['label'].dataType.simpleString()}, half string, t int, motion array<struct<dx:double,dy:double>>")
+    video = F.concat_ws("-", F.col("label").cast("string"), F.col("r").cast("string"), "half")
+    return out.select(video.alias("video_id"), source_of(F.col("label")).alias("source"), F.when(F.col("label") % 5 == 0, 0).otherwise(1).alias("y"), "t", "motion", "half")
 
 
 def emb(spark: SparkSession, sf_dir: str) -> DataFrame:
