@@ -15,11 +15,9 @@ from pyspark.sql import functions as F
 Stump = tuple[int, int, int, float]  # feature, bin, polarity, alpha: polarity if the feature's bin is over `bin`, else -polarity
 
 
-def bin_edges(df: DataFrame, bins: int = 32, accuracy: int = 1000, sample_rows: int | None = None) -> list[list[float]]:
-    """For each feature the inner edges of bins of about equal size. As many numbers as features times bins. sample_rows: from so many rows, by hash."""
+def bin_edges(df: DataFrame, bins: int = 32, accuracy: int = 1000) -> list[list[float]]:
+    """For each feature the inner edges of bins of about equal size. As many numbers as features times bins."""
     at = [i / bins for i in range(1, bins)]
-    if sample_rows is not None:
-        df = df.orderBy(F.xxhash64("features")).limit(sample_rows)
     rows = df.select(F.posexplode("features").alias("f", "x")).groupBy("f").agg(F.percentile_approx("x", F.array(*[F.lit(a) for a in at]), accuracy).alias("edges")).orderBy("f").collect()
     return [list(r.edges) for r in rows]
 
@@ -53,31 +51,39 @@ def _as_matrix(column, rows: int) -> np.ndarray:
 
 
 def round_histogram(binned: DataFrame, models: dict[str, list], margin=margin) -> DataFrame:
-    """(task, f, b, pos, neg): weights by task, class, feature and bin under each task's stumps so far."""
+    """(task, f, b, pos, neg): weights by task, class, feature and bin under each task's stumps so far. They are added up over a whole partition before they are
+    dealt, so what is dealt goes with tasks, features and bins, not with rows."""
 
     def run(batches):
         import pyarrow as pa
 
+        sums: dict[str, np.ndarray] = {}  # (class, feature, bin)
         for batch in batches:
             if not batch.num_rows:
                 continue
             tasks = np.array(batch.column(0).to_pylist(), object)
-            for task in sorted(set(tasks)):
-                rows = np.nonzero(tasks == task)[0]
-                part = batch.take(pa.array(rows))
-                x = _as_matrix(part.column(2), part.num_rows)
-                s = np.where(part.column(1).to_numpy(zero_copy_only=False) == 1, 1.0, -1.0)
-                w = np.exp(-s * margin(x, models.get(task, [])))
-                width = int(x.max()) + 1
-                cell = (np.arange(x.shape[1])[None, :] * width + x).ravel()
-                pos, neg = (np.bincount(cell, weights=np.repeat(np.where(s == c, w, 0.0), x.shape[1]), minlength=x.shape[1] * width) for c in (1, -1))
-                some = np.nonzero(pos + neg)[0]
-                yield pa.RecordBatch.from_arrays([pa.array([task] * len(some), pa.string()), pa.array((some // width).astype(np.int32)), pa.array((some % width).astype(np.int32)), pa.array(pos[some]), pa.array(neg[some])], names=["task", "f", "b", "pos", "neg"])
+            y, x = batch.column(1).to_numpy(zero_copy_only=False), _as_matrix(batch.column(2), batch.num_rows)
+            features = np.arange(x.shape[1], dtype=np.int32)[None, :] * 256
+            for task in set(tasks.tolist()):
+                for c in (0, 1):
+                    part = x[(tasks == task) & (y == c)]
+                    if len(part):
+                        w = np.exp((1 - 2 * c) * margin(part, models.get(task, [])))
+                        own = sums.setdefault(task, np.zeros((2, x.shape[1] * 256)))
+                        own[c] += np.bincount((features + part).ravel(), weights=np.repeat(w, x.shape[1]), minlength=x.shape[1] * 256)
+        for task, (neg, pos) in sorted(sums.items()):
+            some = np.nonzero(pos + neg)[0]
+            yield pa.RecordBatch.from_arrays([pa.array([task] * len(some), pa.string()), pa.array((some // 256).astype(np.int32)), pa.array((some % 256).astype(np.int32)), pa.array(pos[some]), pa.array(neg[some])], names=["task", "f", "b", "pos", "neg"])
 
     part = binned.select("task", "y", "bins").mapInArrow(run, "task string, f int, b int, pos double, neg double")
     return part.groupBy("task", "f", "b").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
 
 
+def by_task(binned: DataFrame, salts: int = 4) -> DataFrame:
+    """Rows dealt so that a partition has few tasks, and a task a few partitions: less to add up in every round."""
+    return binned.repartition("task", F.pmod(F.xxhash64("bins"), F.lit(salts)))
+
+
 def best_stump(hist: DataFrame) -> DataFrame:
     """(task, f, b, polarity, err): each task's stump of least weighted error; on ties the least feature, then bin, then polarity 1."""
     from pyspark.sql.window import Window as W
@@ -111,9 +117,9 @@ def boost_binned(binned: DataFrame, rounds: int = 50, most_alpha: float = 5.0) -
     return models
 
 
-def boost_fit_many(df: DataFrame, rounds: int = 50, bins: int = 32, most_alpha: float = 5.0, sample_rows: int | None = None) -> tuple[dict[str, list[Stump]], list[list[float]]]:
+def boost_fit_many(df: DataFrame, rounds: int = 50, bins: int = 32, most_alpha: float = 5.0) -> tuple[dict[str, list[Stump]], list[list[float]]]:
     """(stumps of each task, bin edges) from (task, y, features)."""
-    edges = bin_edges(df, bins, sample_rows=sample_rows)
+    edges = bin_edges(df, bins)
     binned = binize(df.select("task", "y", "features"), edges).persist()
     try:
         return boost_binned(binned, rounds, most_alpha), edges

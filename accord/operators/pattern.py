@@ -11,6 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
@@ -118,9 +119,8 @@ def subtract(whole: DataFrame, part: DataFrame, by: list[str]) -> DataFrame:
 def prefixes(df: DataFrame, by: list[str], ns: tuple[int, ...], order: str = "draw", w: str = "w", normalise: bool = True) -> DataFrame:
     """(by, n_pick, tri, diag, n): for each key the patterns of its first n pairs in the given order, for all n at once: sums are carried on from one n to the next.
 
-    order counts from 0. A key has as many pairs as the largest n at most; of a key with fewer, the larger n have what there is. Rows are dealt by key once.
+    labels are array<int> or packed_labels(). order counts from 0. A key has as many pairs as the largest n at most; of a key with fewer, the larger n have what there is. Rows are dealt by key once.
     """
-    kinds = _arrow_types(df, by)
     names = [*by, "n_pick", "tri", "diag", "n"]
 
     def run(batches):
@@ -128,51 +128,67 @@ def prefixes(df: DataFrame, by: list[str], ns: tuple[int, ...], order: str = "dr
         for b in batches:
             if not b.num_rows:
                 continue
-            table = pa.Table.from_batches([b]) if held is None else pa.concat_tables([held, pa.Table.from_batches([b])])
-            keys = [table.column(c).to_pylist() for c in by]
-            new = [0, *[i for i in range(1, table.num_rows) if any(k[i] != k[i - 1] for k in keys)]]
-            if len(new) > 1:
-                yield done(table.slice(0, new[-1]), new[:-1])
-            held = table.slice(new[-1])
+            table = pa.Table.from_batches([b]) if held is None else pa.concat_tables([held, pa.Table.from_batches([b])]).combine_chunks()
+            new = np.zeros(table.num_rows, bool)
+            new[0] = True
+            for c in by:
+                v = table.column(c).combine_chunks()
+                new[1:] |= pc.fill_null(pc.not_equal(v[1:], v[:-1]), True).to_numpy(zero_copy_only=False)
+            starts = np.nonzero(new)[0]
+            if len(starts) > 1:
+                yield done(table.slice(0, starts[-1]), starts[:-1])
+            held = table.slice(starts[-1])
         if held is not None:
-            yield done(held, [0])
+            yield done(held, np.zeros(1, int))
 
     def done(table, starts):
-        labels, weights, places = (table.column(c).combine_chunks() for c in ("labels", w, order))
-        weights, places = weights.to_numpy(zero_copy_only=False).astype(float), places.to_numpy(zero_copy_only=False)
-        lengths, flat = np.asarray(labels.value_lengths()), labels.flatten().to_numpy(zero_copy_only=False)
-        at = np.concatenate([[0], np.cumsum(lengths)])
-        out: dict[str, list] = {c: [] for c in names}
-        for s, e in zip(starts, [*starts[1:], table.num_rows]):
-            n = int(lengths[s])
-            lab = flat[at[s] : at[e]].reshape(e - s, n)
-            i, j = np.tril_indices(n, -1)
-            band = np.searchsorted(np.array(ns), places[s:e] + 1)
-            keep = band < len(ns)
-            cells = np.zeros((len(ns), len(i)))
-            diag = np.zeros(len(ns))
-            same = (lab[:, i] == lab[:, j]) * weights[s:e, None]
-            np.add.at(cells, band[keep], same[keep])
-            np.add.at(diag, band[keep], weights[s:e][keep])
-            cells, diag = cells.cumsum(axis=0), diag.cumsum()
+        weights, places = (table.column(c).combine_chunks().to_numpy(zero_copy_only=False) for c in (w, order))
+        weights, packed = weights.astype(float), table.column("labels").to_pylist()
+        tri, diag, sizes = [], [], []
+        for s, e in zip(starts.tolist(), [*starts[1:].tolist(), table.num_rows]):
+            lab = np.frombuffer(b"".join(packed[s:e]), np.uint8).reshape(e - s, -1)
+            n = lab.shape[1]
+            if n not in corners:
+                corners[n] = np.tril_indices(n, -1)
+            i, j = corners[n]
+            took = (places[None, s:e] < np.array(ns)[:, None]) * weights[None, s:e]  # (n_pick, pair)
+            cells = took @ (lab[:, i] == lab[:, j])
+            whole = took.sum(axis=1)
             if normalise:
-                total = 2 * np.abs(cells).sum(axis=1) + n * np.abs(diag)
+                total = 2 * np.abs(cells).sum(axis=1) + n * np.abs(whole)
                 total[total == 0] = np.nan
-                cells, diag = cells / total[:, None], diag / total
-            row = table.slice(s, 1)
-            for c in by:
-                out[c] += [row.column(c)[0].as_py()] * len(ns)
-            out["n_pick"] += list(ns)
-            out["tri"] += list(cells)
-            out["diag"] += diag.tolist()
-            out["n"] += [n] * len(ns)
-        return pa.RecordBatch.from_pydict(out, schema=pa.schema([*kinds, ("n_pick", pa.int32()), ("tri", pa.list_(pa.float64())), ("diag", pa.float64()), ("n", pa.int32())]))
-
+                cells, whole = cells / total[:, None], whole / total
+            tri.append(cells)
+            diag.append(whole)
+            sizes.append(n)
+        first = table.take(pa.array(np.repeat(starts, len(ns)))).select(by)
+        flat = np.concatenate([c.ravel() for c in tri])
+        ends = np.concatenate([[0], np.cumsum(np.repeat([c.shape[1] for c in tri], len(ns)))]).astype(np.int32)
+        values = [*[first.column(c).combine_chunks() for c in by], pa.array(np.tile(np.array(ns, np.int32), len(starts))), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat)), pa.array(np.concatenate(diag)), pa.array(np.repeat(np.array(sizes, np.int32), len(ns)))]
+        return pa.RecordBatch.from_arrays(values, names=names)
+
+    corners: dict[int, tuple] = {}
     schema = "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in by) + "n_pick int, tri array<double>, diag double, n int"
     rows = df.where((F.col(order) < max(ns)) & F.col(w).isNotNull() & ~F.isnan(F.col(w).cast("double"))).select(*by, order, "labels", w)
+    rows = rows if df.schema["labels"].dataType.simpleString() == "binary" else packed_labels(rows)
     return rows.repartition(*by).sortWithinPartitions(*by, order).mapInArrow(run, schema)
 
 
+def packed_labels(df: DataFrame) -> DataFrame:
+    """df with labels as binary, a byte each: what is drawn many times travels smaller."""
+    keep = [c for c in df.columns if c != "labels"]
+
+    def run(batches):
+        for b in batches:
+            lists = b.column(b.num_columns - 1)
+            ends = np.concatenate([[0], np.cumsum(np.asarray(lists.value_lengths(), np.int64))])
+            raw = lists.flatten().to_numpy(zero_copy_only=False).astype(np.uint8).tobytes()
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array([raw[i:j] for i, j in zip(ends[:-1], ends[1:])], pa.binary())], names=[*keep, "labels"])
+
+    schema = "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in keep)
+    return df.select(*keep, "labels").mapInArrow(run, schema + "labels binary").select(*df.columns)
+
+
 def score_cap(groups: DataFrame, share: float = 0.9) -> DataFrame:
     """One row (cap): the score that a share of pairs stay under. Indices in the space of eigenvectors have no bound; weight() takes it as a cap."""
     return groups.agg(F.percentile("score", F.lit(share)).alias("cap"))

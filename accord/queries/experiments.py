@@ -17,8 +17,10 @@ from accord.sources import carriers
 
 NS = (1, 10, 35, 70)
 TASKS = ("A", "B", "C", "D")
-#: Patterns of each source and half, pairs of a template, rounds of boosting, and the patterns from which bin edges are taken.
-PATTERNS, TEMPLATE, ROUNDS, EDGE_ROWS = 2000, 3000, 15, 2000
+#: Patterns of each source and half, pairs of a template, rounds of boosting, and the patterns of each source and half from which bin edges are taken.
+PATTERNS, TEMPLATE, ROUNDS, EDGE_PATTERNS = 2000, 3000, 15, 40
+#: Patterns of each source and half in ablations, of which there are many.
+ABLATION_PATTERNS = 500
 
 
 def pool(spark, d, df: DataFrame | None = None, o: grouping.Options = grouping.Options()) -> DataFrame:
@@ -32,15 +34,16 @@ def sets(groups: DataFrame, ns: tuple = NS, m: int = PATTERNS, of: str = "pool")
     """Packed patterns (source, half, y, pool, pattern_id, n_pick) of length 1, for all n in one plan: the draws of a smaller n are the first ones of a larger.
 
     m patterns of each source and half; of: pool draws over the source, video_id within single videos, among which the patterns are shared out."""
-    draws = sampling.pattern_sets(groups, m, max(ns), of) if of == "pool" else sampling.pattern_sets(groups, m, max(ns), of, share="pool")
+    small = pattern.packed_labels(groups.select("video_id", "t", "source", "half", "y", "pool", "labels", "w"))
+    draws = sampling.pattern_sets(small, m, max(ns), of) if of == "pool" else sampling.pattern_sets(small, m, max(ns), of, share="pool")
     return pattern.prefixes(draws, ["source", "half", "y", of, "pattern_id"], ns)
 
 
-def binned(rows: DataFrame, bins: int = 32) -> tuple[DataFrame, list]:
-    """Patterns as written bins, and their edges, which are taken from EDGE_ROWS patterns."""
-    rows = written(rows.withColumnRenamed("tri", "features").drop("diag", "n"), "patterns")
-    edges = classify.bin_edges(rows, bins, sample_rows=EDGE_ROWS)
-    return written(classify.binize(rows, edges), "bins"), edges
+def binned(groups: DataFrame, ns: tuple = NS, m: int = PATTERNS, of: str = "pool", bins: int = 32) -> DataFrame:
+    """The patterns of sets() as written bins, whose edges are taken from EDGE_PATTERNS of each source and half."""
+    edges = classify.bin_edges(sets(groups, ns, EDGE_PATTERNS, of).withColumnRenamed("tri", "features"), bins)
+    rows = sets(groups, ns, m, of).withColumnRenamed("tri", "features").select("source", "half", "y", "pattern_id", "n_pick", "features")
+    return written(classify.binize(rows, edges), "bins")
 
 
 def tasks(rows: DataFrame) -> DataFrame:
@@ -51,19 +54,20 @@ def tasks(rows: DataFrame) -> DataFrame:
 
 def judged(rows: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     """Boosted stumps learnt on half a (rows with task, y, bins), judging half b."""
-    return classify.boost_predict_binned(rows.where("half = 'b'"), classify.boost_binned(rows.where("half = 'a'"), rounds))
+    train = written(classify.by_task(rows.where("half = 'a'").select("task", "y", "bins")), "train")  # read once a round
+    return classify.boost_predict_binned(rows.where("half = 'b'"), classify.boost_binned(train, rounds))
 
 
 @query("experiment_accuracy")
 def experiment_accuracy(spark, d):
     """Accuracy of boosted stumps on videos' other half, by forged source (and all of them) and N, patterns drawn over a source: 20 cells."""
-    return metrics.accuracy(judged(tasks(binned(sets(pool(spark, d)))[0])), "forged", "n_pick")
+    return metrics.accuracy(judged(tasks(binned(pool(spark, d)))), "forged", "n_pick")
 
 
 @query("experiment_accuracy_video")
 def experiment_accuracy_video(spark, d):
     """The same with the pairs of a pattern drawn from one video."""
-    return metrics.accuracy(judged(tasks(binned(sets(pool(spark, d), of="video_id").drop("video_id"))[0])), "forged", "n_pick")
+    return metrics.accuracy(judged(tasks(binned(pool(spark, d), of="video_id"))), "forged", "n_pick")
 
 
 @query("experiment_null")
@@ -71,7 +75,7 @@ def experiment_null(spark, d):
     """The same on the carrier whose labels carry no signal: accuracy should be about a half."""
     e = carriers.emb(spark, d)
     g = written(grouping.group_pairs(e.withColumn("pool", F.concat_ws("/", "source", "half"))).withColumn("w", pattern.weight("k_score")), "pool")
-    rows = classify.binary_tasks(binned(sets(g, (10,)), 16)[0])
+    rows = classify.binary_tasks(binned(g, (10,), bins=16))
     return metrics.accuracy(judged(rows), "task")
 
 
@@ -119,7 +123,7 @@ def experiment_robustness(spark, d):
         back = g.withColumn("motion", F.transform("motion_m", lambda v: F.struct((v["x"] / 1000.0).alias("dx"), (v["y"] / 1000.0).alias("dy")))).drop("motion_m")
         its = pool(spark, d, back)
         auc = metrics.auc(scored(its, (35,)).where("task = 'A'"), "task").select("auc")
-        rows = binned(sets(its, (35,)))[0].withColumn("task", F.lit("A"))
+        rows = binned(its, (35,)).withColumn("task", F.lit("A"))
         one = metrics.accuracy(judged(rows), "task").select("accuracy").crossJoin(F.broadcast(auc)).withColumn("grade", F.lit(grade))  # one row
         out = one if out is None else out.unionByName(one)
     out = written(out, "grades")
@@ -147,8 +151,8 @@ def experiment_pixels(spark, d):
 @query("experiment_transfer")
 def experiment_transfer(spark, d):
     """Accuracy on each source of a model learnt on another one, boosted stumps, for every N."""
-    rows = classify.binary_tasks(binned(sets(pool(spark, d)))[0]).withColumn("source_task", F.col("task")).withColumn("task", F.concat_ws("/", "task", F.col("n_pick").cast("string")))
-    models = classify.boost_binned(rows.where("half = 'a'"), ROUNDS)
+    rows = classify.binary_tasks(binned(pool(spark, d))).withColumn("source_task", F.col("task")).withColumn("task", F.concat_ws("/", "task", F.col("n_pick").cast("string")))
+    models = classify.boost_binned(written(classify.by_task(rows.where("half = 'a'").select("task", "y", "bins")), "train"), ROUNDS)
     test = rows.where("half = 'b'").withColumnRenamed("source_task", "test_source").withColumn("train_source", F.explode(F.array(*[F.lit(x) for x in TASKS]))).where("train_source <> test_source")
     test = test.withColumn("model", F.concat_ws("/", "train_source", F.col("n_pick").cast("string")))
     return metrics.accuracy(classify.boost_predict_binned(test, models, "model"), "train_source", "test_source", "n_pick")
@@ -227,7 +231,7 @@ def experiment_baselines(spark, d):
     e = carriers.read(spark, d, "embeddings").select(F.concat_ws("-", F.col("label").cast("string"), (F.col("vec_id") % 8).cast("string"), carriers.half_of(F.col("vec_id"))).alias("video_id"), carriers.source_of(F.col("label")).alias("source"), F.when(F.col("label") % 5 == 0, 0).otherwise(1).alias("y"), F.col("vec_id").alias("t"), F.col("embedding").alias("vector"))
     made["embedding_sequence"] = written(baselines.embedding_sequence(e).withColumn("half", F.element_at(F.split("video_id", "-"), -1)), "features")
     residual = written(baselines.noise_residual(carriers.tall(carriers.face(spark, d), "source", "y")), "residuals")
-    method = judged(tasks(binned(sets(pool(spark, d), (35,)))[0]))
+    method = judged(tasks(binned(pool(spark, d), (35,))))
     out = [metrics.accuracy(method, "forged").select(F.lit("method").alias("baseline"), F.col("forged").alias("task"), "n", "accuracy")]
     for task, sources in (*((s, (s,)) for s in TASKS), ("combined", TASKS)):
         mine = F.col("source").isin("R", *sources)
@@ -245,7 +249,7 @@ def experiment_baselines(spark, d):
 def experiment_ablations(spark, d):
     """One-class AUC of sources A and D at N = 35 with one choice of the method changed at a time."""
     face = carriers.face(spark, d).where("source IN ('R', 'A', 'D')").withColumn("pool", F.concat_ws("/", "source", "half"))
-    out = [metrics.auc(scored(written(baselines.ablated_groups(face, name), "pool"), (35,)).where("task IN ('A', 'D')"), "task").select("task", "auc", F.lit(name).alias("ablation")) for name in baselines.ABLATIONS]
+    out = [metrics.auc(scored(written(baselines.ablated_groups(face, name), "pool"), (35,), ABLATION_PATTERNS).where("task IN ('A', 'D')"), "task").select("task", "auc", F.lit(name).alias("ablation")) for name in baselines.ABLATIONS]
     return functools.reduce(DataFrame.unionByName, out)
 
 
@@ -261,11 +265,12 @@ def experiment_pooling(spark, d):
 @query("experiment_learners")
 def experiment_learners(spark, d):
     """Other learners on the same patterns, source A, N = 35: boosted stumps, their real-valued variant, and MLlib's."""
-    rows = written(sets(pool(spark, d).where("source IN ('R', 'A')"), (35,)).withColumnRenamed("tri", "features").drop("diag", "n"), "patterns")
+    g = pool(spark, d).where("source IN ('R', 'A')")
+    rows = written(sets(g, (35,)).withColumnRenamed("tri", "features").drop("diag", "n"), "patterns")
     a, b = rows.where("half = 'a'"), rows.where("half = 'b'")
     out = [("boosted_trees_of_depth_1", classify.predict_mllib_boost(b, classify.boost_fit_mllib(a, 5)))]
     out += [(kind, classify.mllib_predict(b, classify.mllib_fit(a, kind))) for kind in ("lr", "svc", "rf", "gbt", "mlp")]
-    bins = written(classify.binize(rows, classify.bin_edges(rows, sample_rows=EDGE_ROWS)).withColumn("task", F.lit("A")), "bins")
+    bins = written(classify.binize(rows, classify.bin_edges(rows.where(F.col("pattern_id") < EDGE_PATTERNS))).withColumn("task", F.lit("A")), "bins")
     test, train = bins.where("half = 'b'"), bins.where("half = 'a'")
     out.append(("boosted_stumps", classify.boost_predict_binned(test, classify.boost_binned(train, ROUNDS))))
     out.append(("boosted_real_valued", classify.boost_predict_binned(test, classify.boost_real(train, ROUNDS), real=True)))
