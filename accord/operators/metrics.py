@@ -7,6 +7,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 
+#: Bins of scores that one task runs through for a curve.
+BINS = 4096
+
+
 def accuracy(df: DataFrame, *by: str) -> DataFrame:
     return df.groupBy(*by).agg(F.count("*").alias("n"), F.round(F.avg((F.col("pred") == F.col("y")).cast("double")), 6).alias("accuracy"))
 
@@ -16,18 +20,32 @@ def _counts(df: DataFrame, by: tuple[str, ...]) -> DataFrame:
     return df.groupBy(*by, "d").agg(F.sum(F.col("y").cast("bigint")).alias("pos"), F.sum((1 - F.col("y")).cast("bigint")).alias("neg"))
 
 
+def _placed(df: DataFrame, by: tuple[str, ...]) -> tuple[DataFrame, W]:
+    """_counts() with bin, the rows of both classes in lower bins (lower_pos, lower_neg) and in all (all_pos, all_neg); and the bin's window by score.
+
+    Scores fall into BINS bins of equal width first. Only bins are run through in one task; scores are ordered within their bin, so the result is exact."""
+    c = _counts(df, by)
+    ends = F.broadcast(c.agg(F.min("d").alias("low_d"), F.max("d").alias("high_d")))  # one row
+    at = F.floor(F.try_divide(F.col("d") - F.col("low_d"), F.col("high_d") - F.col("low_d")) * BINS)
+    c = c.crossJoin(ends).withColumn("bin", F.coalesce(F.least(at, F.lit(BINS - 1)), F.lit(0))).drop("low_d", "high_d")
+    per = c.groupBy(*by, "bin").agg(F.sum("pos").alias("p"), F.sum("neg").alias("n"))
+    lower, whole = W.partitionBy(*by).orderBy("bin").rowsBetween(W.unboundedPreceding, -1), W.partitionBy(*by)
+    zero = lambda x: F.coalesce(x, F.lit(0))
+    per = per.select(*by, "bin", zero(F.sum("p").over(lower)).alias("lower_pos"), zero(F.sum("n").over(lower)).alias("lower_neg"), F.sum("p").over(whole).alias("all_pos"), F.sum("n").over(whole).alias("all_neg"))
+    return c.join(per, [*by, "bin"]), W.partitionBy(*by, "bin").orderBy("d").rowsBetween(W.unboundedPreceding, -1)
+
+
 def roc(df: DataFrame, *by: str) -> DataFrame:
     """(by, d, fpr, tpr) when rows with a score of d or more are called forged; rows of equal score are called together."""
-    down = W.partitionBy(*by).orderBy(F.desc("d")).rowsBetween(W.unboundedPreceding, 0)
-    whole = W.partitionBy(*by)
-    c = _counts(df, by)
-    return c.select(*by, "d", F.try_divide(F.sum("neg").over(down), F.sum("neg").over(whole)).alias("fpr"), F.try_divide(F.sum("pos").over(down), F.sum("pos").over(whole)).alias("tpr"))
+    c, under = _placed(df, by)
+    over = lambda x: F.col(f"all_{x}") - F.col(f"lower_{x}") - F.coalesce(F.sum(x).over(under), F.lit(0))
+    return c.select(*by, "d", F.try_divide(over("neg"), F.col("all_neg")).alias("fpr"), F.try_divide(over("pos"), F.col("all_pos")).alias("tpr"))
 
 
 def auc(df: DataFrame, *by: str) -> DataFrame:
     """(by, auc): share of (forged, genuine) pairs in which the forged one has the larger score, ties a half. Null for a single class."""
-    below = W.partitionBy(*by).orderBy("d").rowsBetween(W.unboundedPreceding, -1)
-    c = _counts(df, by).withColumn("under", F.coalesce(F.sum("neg").over(below), F.lit(0)))
+    c, under = _placed(df, by)
+    c = c.withColumn("under", F.col("lower_neg") + F.coalesce(F.sum("neg").over(under), F.lit(0)))
     return c.groupBy(*by).agg(F.round(F.try_divide(F.sum(F.col("pos") * (2 * F.col("under") + F.col("neg"))).cast("double"), (2 * F.sum("pos") * F.sum("neg")).cast("double")), 6).alias("auc"))
 
 

@@ -81,6 +81,33 @@ def test_live_detection_equals_the_batch(spark, tmp_path):
     assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k], abs=1e-9) for k in got)
 
 
+def test_live_pairing_over_a_restart(spark, tmp_path):
+    """Frames in any order, some twice, over two runs of one checkpoint: every pair of neighbours once, as in the batch."""
+    rng = np.random.default_rng(5)
+    frames = {(v, t): rng.normal(size=6).round(3).tolist() for v in ("a", "b") for t in range(12) if (v, t) != ("b", 5)}
+    order = rng.permutation(len(frames))
+    rows = [(*k, f"2024-01-01 00:00:{k[1]:02}", frames[k]) for k in (list(frames)[i] for i in order)]
+    at, out = str(tmp_path / "frames"), str(tmp_path / "out")
+
+    def put(some):
+        spark.createDataFrame(some, "video_id string, t int, s string, position array<double>").withColumn("ts", F.to_timestamp("s")).drop("s").coalesce(1).write.mode("append").parquet(at)
+
+    def run():
+        stream = spark.readStream.schema("video_id string, t int, position array<double>, ts timestamp").option("maxFilesPerTrigger", 1).parquet(at).withWatermark("ts", "1 hour")
+        q = live.paired(stream).writeStream.format("parquet").option("path", out).option("checkpointLocation", str(tmp_path / "pairing")).trigger(availableNow=True).start()
+        assert q.awaitTermination(180)
+
+    put(rows[:9]), put(rows[9:14])
+    run()
+    put(rows[12:]), put(rows[:3])
+    run()
+    got = [(r.video_id, r.t, [(m.dx, m.dy) for m in r.motion]) for r in spark.read.parquet(out).collect()]
+    want = {(v, t): np.subtract(frames[v, t + 1], frames[v, t]).reshape(-1, 2) for v, t in frames if (v, t + 1) in frames}
+    assert sorted(g[:2] for g in got) == sorted(want)
+    for v, t, m in got:
+        assert np.allclose(m, want[v, t])
+
+
 def test_files_round_trip(spark, tmp_path):
     df = carriers.read(spark, SF, "supplier")
     for kind in ("parquet", "orc", "json", "csv"):
@@ -138,4 +165,4 @@ def test_entry(spark):
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries())
-    assert e.entry(spark).count() == 4
+    assert e.entry(spark).count() == 16
