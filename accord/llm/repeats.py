@@ -33,7 +33,7 @@ from accord.llm.common import dropped, table, written
 WINDOW, TRIGGER, MODULUS = 200, 100, 64
 GRAM = WINDOW - TRIGGER + 1
 #: Entries of one trigger string up to which they are compared in one task.
-MOST_TOGETHER = 4096
+MOST_TOGETHER = 1024
 #: Bytes of entries that are put in order at once; groups are never cut.
 AT_ONCE = 1 << 20
 #: Parts over which the entries of a very common trigger string are dealt.
