@@ -2,7 +2,7 @@
 
 Texts become TF-IDF vectors of hashed byte n-grams of the lower-case text, of length 1. Each language has several centroids, from spherical k-means
 over a bounded sample of labelled documents (about train_docs in all, dealt evenly over the languages, and some LEAST_DOCS of each at least; the choice goes by
-a hash of the id). The sample's texts become counts where they are read, and each language is clustered by itself. A text gets the language of the centroid with
+a hash of id and text, repeated rows count once). The sample's texts become counts where they are read, and each language is clustered by itself. A text gets the language of the centroid with
 the largest cosine; it is rejected if that is below what nearly all training texts of the language reach, by a margin.
 
 Nulls: a null text, or one without a letter, is `und` with score 0 and rejected; a null language isn't learnt from; a null id is never held out. Texts are
@@ -100,8 +100,8 @@ def fit(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "l
     sizes = rows.groupBy("l").count()  # one row per language
     each = F.greatest(F.lit(train_docs) / F.greatest(F.count("*").over(Window.partitionBy()), F.lit(1)), F.lit(LEAST_DOCS))
     share = sizes.select(F.col("l").alias("known"), (each / F.col("count") * (1 << 30)).alias("share"))
-    sample = rows.where(F.col("t").rlike(r"\p{L}")).join(F.broadcast(share), (F.col("l") == F.col("known")) & (F.pmod(F.xxhash64("k"), F.lit(1 << 30)) < F.col("share")))
-    sample = written(_counted(sample), "sample")
+    sample = rows.where(F.col("t").rlike(r"\p{L}")).join(F.broadcast(share), (F.col("l") == F.col("known")) & (F.pmod(F.xxhash64("k", "t"), F.lit(1 << 30)) < F.col("share")))
+    sample = written(_counted(sample).distinct(), "sample")  # repeated rows are one document
     docs_in = sample.count()
     if not docs_in:
         return None

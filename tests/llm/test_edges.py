@@ -58,6 +58,13 @@ def test_every_language_is_learnt(spark):
     assert len(set(model[0])) == 300
 
 
+def test_repeated_rows_are_learnt_from_once(spark):
+    one = spark.createDataFrame([(None, "the same words of one text", "en")] * 400 + [(i, f"das ist ein text {i}", "de") for i in range(30)], "doc_id long, text string, lang string")
+    few = spark.createDataFrame([(None, "the same words of one text", "en")] + [(i, f"das ist ein text {i}", "de") for i in range(30)], "doc_id long, text string, lang string")
+    a, b = (langid.fit(df, train_docs=100_000) for df in (one, few))
+    assert a[0] == b[0] and np.allclose(a[1], b[1]) and np.allclose(a[2], b[2])
+
+
 def test_signs_are_no_letters(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     odd = spark.createDataFrame([("½ ² Ⅷ",), ("١٢ ①",), ("a",)], "text string")
