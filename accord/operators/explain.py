@@ -10,13 +10,18 @@ from accord.operators import distance, pattern, sampling
 from accord.sources.carriers import LANDMARKS, component_of
 
 
-def mean_agreement(groups: DataFrame, n: int = 1000, seed: int = 0) -> DataFrame:
-    """(source, i, j, mean): mean of the 0/1 matrices of n pairs of each source, without weights."""
+def agreement_counts(groups: DataFrame, n: int = 1000, seed: int = 0) -> DataFrame:
+    """(source, i, j, w, n_pairs): in how many of n pairs of each source i and j agree."""
     some = sampling.pick_n(groups, n, "source", seed).withColumn("one", F.lit(1))
     size = some.groupBy("source").agg(F.count("*").alias("n_pairs"))
     cells = pattern.build_tall(some, ["source"], "one")
     grid = size.crossJoin(_grid(groups))
-    return grid.join(cells, ["source", "i", "j"], "left").select("source", "i", "j", (F.coalesce("w", F.lit(0)).cast("double") / F.col("n_pairs")).alias("mean"))
+    return grid.join(cells, ["source", "i", "j"], "left").select("source", "i", "j", F.coalesce("w", F.lit(0)).cast("bigint").alias("w"), "n_pairs")
+
+
+def mean_agreement(groups: DataFrame, n: int = 1000, seed: int = 0) -> DataFrame:
+    """(source, i, j, mean): mean of the 0/1 matrices of n pairs of each source, without weights."""
+    return agreement_counts(groups, n, seed).select("source", "i", "j", (F.col("w").cast("double") / F.col("n_pairs")).alias("mean"))
 
 
 def _grid(df: DataFrame) -> DataFrame:
@@ -29,10 +34,12 @@ def _component(c: str):
     return F.element_at(F.array(*[F.lit(component_of(i)) for i in range(LANDMARKS)]), F.col(c) + 1)
 
 
-def component_matrix(mean: DataFrame) -> DataFrame:
-    """(source, a, b, mean): mean agreement between and within facial components."""
+def component_matrix(counts: DataFrame) -> DataFrame:
+    """(source, a, b, mean): mean agreement between and within facial components, from agreement_counts(). Whole numbers are added up and divided once, so that
+    the order of the cells can't decide which way a mean is rounded that lies just between two."""
     a, b = F.greatest(_component("i"), _component("j")), F.least(_component("i"), _component("j"))
-    return mean.select("source", a.alias("a"), b.alias("b"), "mean").groupBy("source", "a", "b").agg(F.avg("mean").alias("mean"))
+    rows = counts.select("source", a.alias("a"), b.alias("b"), "w", "n_pairs")
+    return rows.groupBy("source", "a", "b").agg((F.sum("w").cast("double") / F.sum("n_pairs")).alias("mean"))
 
 
 def structure_checks(mean: DataFrame) -> DataFrame:

@@ -24,9 +24,12 @@ mean AS (SELECT s.source, c.i, c.j, c.ci, c.cj, coalesce(agc.n, 0)::DOUBLE / s.n
 )
 
 
+def _sectors_of_sources(spark, d) -> DataFrame:
+    return grouping.sectors(sampling.pick_n(strong_face(spark, d), 1000, "source"), 6)
+
+
 def _mean(spark, d) -> DataFrame:
-    groups = grouping.sectors(sampling.pick_n(strong_face(spark, d), 1000, "source"), 6)
-    return explain.mean_agreement(groups, 1000)
+    return explain.mean_agreement(_sectors_of_sources(spark, d), 1000)
 
 
 @query("mean_agreement", P.q(*_MEAN, select="SELECT source, i, j, round(mean, 6) AS mean FROM mean"))
@@ -36,7 +39,7 @@ def mean_agreement(spark, d):
 
 @query("component_matrix", P.q(*_MEAN, select="SELECT source, greatest(ci, cj) AS a, least(ci, cj) AS b, round(avg(mean), 6) AS mean FROM mean GROUP BY ALL"))
 def component_matrix(spark, d):
-    return explain.component_matrix(_mean(spark, d)).withColumn("mean", F.round("mean", 6))
+    return explain.component_matrix(explain.agreement_counts(_sectors_of_sources(spark, d), 1000)).withColumn("mean", F.round("mean", 6))
 
 
 def _btw(x: str, y: str) -> str:
